@@ -6,9 +6,10 @@ from collections.abc import Callable
 
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from termatlas.llm import mixing, near_dup, pieces
-from termatlas.llm.tables import documents
+from termatlas.llm import mixing, near_dup, pieces, toxicity
+from termatlas.llm.tables import documents, table
 
 
 def op2_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -16,6 +17,11 @@ def op2_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixed.select("doc_id", "size", "source_size", "target", "taken", "copies")
 
 
+def op6_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    scored = toxicity.toxicity(documents(spark, sf_dir, "doc_id", "text"), table(spark, sf_dir, "labels", "doc_id", "toxic"))
+    return scored.select("doc_id", "held_out", "score", "predicted", F.size("sentences").cast("long").alias("n_offending"))
+
+
 def op8_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_dup.near_duplicates(documents(spark, sf_dir, "doc_id", "text"), percent=85)
 
@@ -51,6 +57,7 @@ FROM documents d JOIN named c USING (doc_id) LEFT JOIN sizes z USING (doc_id)
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op2_mixing": op2_mixing,
+        "op6_toxicity": op6_toxicity,
         "op8_minhash": op8_minhash,
         "op9_sentencepiece": op9_sentencepiece,
     }
