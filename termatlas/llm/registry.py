@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from termatlas.llm import mixing, near_dup, pieces, secrets, toxicity
+from termatlas.llm import mixing, near_dup, personal, pieces, secrets, toxicity
 from termatlas.llm.tables import documents, table
 
 
@@ -17,6 +17,10 @@ def op2_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixed.select("doc_id", "size", "source_size", "target", "taken", "copies")
 
 
+def op3_personal(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return secrets.digests(personal.personal(documents(spark, sf_dir, "doc_id", "text")), personal.KINDS)
+
+
 def op4_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secrets.digests(secrets.secrets(documents(spark, sf_dir, "doc_id", "text")), secrets.KINDS)
 
@@ -61,6 +65,7 @@ FROM documents d JOIN named c USING (doc_id) LEFT JOIN sizes z USING (doc_id)
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op2_mixing": op2_mixing,
+        "op3_personal": op3_personal,
         "op4_secrets": op4_secrets,
         "op6_toxicity": op6_toxicity,
         "op8_minhash": op8_minhash,
