@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from termatlas.llm import mixing, near_dup, personal, pieces, secrets, toxicity
+from termatlas.llm import licenses, mixing, near_dup, personal, pieces, secrets, toxicity
 from termatlas.llm.tables import documents, table
 
 
@@ -62,6 +62,10 @@ FROM documents d JOIN named c USING (doc_id) LEFT JOIN sizes z USING (doc_id)
 """
 
 
+def op10_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return licenses.digests(licenses.licenses(documents(spark, sf_dir, "doc_id", "text")))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op2_mixing": op2_mixing,
@@ -70,6 +74,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op6_toxicity": op6_toxicity,
         "op8_minhash": op8_minhash,
         "op9_sentencepiece": op9_sentencepiece,
+        "op10_licenses": op10_licenses,
     }
 
 
