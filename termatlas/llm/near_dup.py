@@ -12,8 +12,9 @@ is one shingle, a text without words is the empty set and linked with nothing.
    whole texts of the rest decide.
 4. Components of these links. A bucket whose classes are then all in one component can add
    nothing. Of the others, classes outside the centre's component are compared with all
-   classes of other components, in blocks of at most about BLOCK rows a side, so that
-   no link is lost and members of one component are never paired with each other.
+   classes of other components, in blocks of about BLOCK rows a side, first by signature, then
+   on whole texts. A block gives back links, not pairs; no link is lost, and members
+   of one component are never compared with each other.
 
 At a similarity of 0.85 a pair shares no bucket with probability (1 - 0.85**5)**24 < 1e-6,
 and the signature check drops it with probability < 1e-6.
@@ -77,11 +78,16 @@ class MinHasher:
         self.a = (rng.integers(0, 1 << 63, (hashes, 1), dtype=np.uint64) << np.uint64(1)) | np.uint64(1)
         self.b = rng.integers(0, 1 << 63, (hashes, 1), dtype=np.uint64)
 
+        self.room = np.empty((hashes, 256), np.uint64)  # stays in the processor's cache
+
     def __call__(self, shingles: np.ndarray) -> np.ndarray:
-        low = None
-        for at in range(0, len(shingles), 2048):
-            part = (self.a * shingles[at : at + 2048] + self.b).min(axis=1)
-            low = part if low is None else np.minimum(low, part)
+        low = np.full(len(self.a), ~np.uint64(0))
+        for at in range(0, len(shingles), 256):
+            part = shingles[at : at + 256]
+            room = self.room[:, : len(part)]
+            np.multiply(self.a, part, out=room)
+            room += self.b
+            np.minimum(low, room.min(axis=1), out=low)
         return (low >> np.uint64(32)).astype(np.uint32)
 
 
@@ -155,39 +161,107 @@ def _links(pairs: DataFrame, sigs: DataFrame, texts: DataFrame, percent: int) ->
     return materialize(both.where(_confirming(percent)(F.col("s.text"), F.col("t.text"))).select("a", "b"), "links")
 
 
-def _rest(buckets: DataFrame, found: DataFrame, sigs: DataFrame, percent: int) -> DataFrame:
-    """Pairs across components in buckets with several, by blocks; buckets: bucket, rep, n."""
+def _dealt(buckets: DataFrame, found: DataFrame) -> DataFrame:
+    """Members of buckets with several components, by blocks of rows to compare: bucket, i, j, chunk, rep, n, component.
+
+    Chunks below `outer` hold the members outside the centre's component, the others the rest.
+    A block pairs chunk i with chunk j >= i; two chunks of the rest never meet.
+    """
     own = buckets.join(found.select(F.col("node").alias("rep"), "component"), "rep", "left").withColumn("component", F.coalesce("component", "rep"))
     home = own.groupBy("bucket").agg(F.min_by("component", "rep").alias("home"), F.min("component").alias("lo"), F.max("component").alias("hi")).where("lo < hi")
-    own = own.join(home.select("bucket", "home"), "bucket")
-    split = own.groupBy("bucket").agg(*(F.ceil(F.sum(F.when(c, 1).otherwise(0)) / F.lit(BLOCK)).cast("int").alias(k) for k, c in (("inner", F.col("component") == F.col("home")), ("outer", F.col("component") != F.col("home")))))
-    own = own.join(split, "bucket").join(sigs.select(F.col("doc").alias("rep"), "sig"), "rep")
-    h, outside = F.xxhash64("rep"), F.col("component") != F.col("home")
-    chunk = F.when(outside, F.pmod(h, F.col("outer"))).otherwise(F.col("outer") + F.pmod(h, F.greatest("inner", F.lit(1)))).cast("int")
-    others = F.when(outside, F.sequence(F.lit(0), F.col("outer") + F.col("inner") - 1)).otherwise(F.sequence(F.lit(0), F.col("outer") - 1))
-    dealt = own.withColumn("chunk", chunk).withColumn("other", F.explode(others))
-    dealt = dealt.select("bucket", F.least("chunk", "other").alias("i"), F.greatest("chunk", "other").alias("j"), "chunk", "rep", "n", "component", "sig")
+    own = own.join(home.select("bucket", "home"), "bucket").withColumn("outside", F.col("component") != F.col("home"))
+    parts = (F.ceil(F.sum(F.when(c, 1).otherwise(0)) / F.lit(BLOCK)).cast("int").alias(k) for k, c in (("outer", F.col("outside")), ("inner", ~F.col("outside"))))
+    own = own.join(own.groupBy("bucket").agg(*parts), "bucket")
+    h = F.xxhash64("rep")
+    chunk = F.when(F.col("outside"), F.pmod(h, F.col("outer"))).otherwise(F.col("outer") + F.pmod(h, F.greatest("inner", F.lit(1)))).cast("int")
+    others = F.sequence(F.lit(0), F.when(F.col("outside"), F.col("outer") + F.col("inner")).otherwise(F.col("outer")) - 1)
+    rows = own.withColumn("chunk", chunk).withColumn("other", F.explode(others))
+    return rows.select("bucket", F.least("chunk", "other").alias("i"), F.greatest("chunk", "other").alias("j"), "chunk", "rep", "n", "component")
+
+
+BLOCK_KEY = ("bucket", "i", "j")
+
+
+def _grouped(frames: Iterator[pd.DataFrame], each) -> Iterator[pd.DataFrame]:
+    """each(block) -> DataFrame or None, over the whole blocks of sorted frames."""
+    open_ = None
+    for frame in frames:
+        if open_ is not None:
+            frame = pd.concat([open_, frame], ignore_index=True)
+        keys = frame[list(BLOCK_KEY)].to_numpy()
+        cuts = [0, *(np.flatnonzero((keys[1:] != keys[:-1]).any(axis=1)) + 1)]
+        out = [r for a, b in zip(cuts, cuts[1:], strict=False) if (r := each(frame.iloc[a:b])) is not None]
+        open_ = frame.iloc[cuts[-1] :]
+        if out:
+            yield pd.concat(out, ignore_index=True)
+    if open_ is not None and len(open_) and (r := each(open_)) is not None:
+        yield r
+
+
+def _sides(block: pd.DataFrame) -> Iterator[tuple[int, np.ndarray]]:
+    """(x, ys) of row places to compare: each pair of the block's two chunks once, across components."""
+    chunk, comp = block.chunk.to_numpy(), block.component.to_numpy()
+    i, j = block.i.iloc[0], block.j.iloc[0]
+    right = np.flatnonzero(chunk == j)
+    for x in np.flatnonzero(chunk == i):
+        y = right[comp[right] != comp[x]]
+        yield x, y[y > x] if i == j else y
+
+
+def _near(rows: DataFrame, sigs: DataFrame, percent: int) -> DataFrame:
+    """The rows of blocks that have a partner with a similar signature and size."""
     least = least_agreement(percent)
 
-    def compare(block: pd.DataFrame) -> pd.DataFrame:
-        block = block.reset_index(drop=True)
-        sig = np.frombuffer(b"".join(block.sig), np.uint8).reshape(len(block), -1)
-        i, j = int(block.i.iloc[0]), int(block.j.iloc[0])
-        left = np.flatnonzero(block.chunk.to_numpy() == i)
-        right = np.flatnonzero(block.chunk.to_numpy() == j)
-        n, comp, rep = block.n.to_numpy(), block.component.to_numpy(), block.rep.to_numpy()
-        a, b = [], []
-        for x in left:
-            y = right[(comp[right] != comp[x]) & (100 * np.minimum(n[right], n[x]) >= percent * np.maximum(n[right], n[x]))]
-            if i == j:
-                y = y[rep[y] < rep[x]]
-            y = y[(sig[y] == sig[x]).sum(axis=1) >= least]
-            a += [rep[x]] * len(y)
-            b += list(rep[y])
-        pair = pd.DataFrame({"a": a, "b": b}, dtype="int64")
-        return pd.DataFrame({"a": pair.max(axis=1), "b": pair.min(axis=1)}, dtype="int64")
-
-    return dealt.groupBy("bucket", "i", "j").applyInPandas(compare, "a long, b long").distinct()
+    def each(block: pd.DataFrame) -> pd.DataFrame | None:
+        sig, n = np.frombuffer(b"".join(block.sig), np.uint8).reshape(len(block), -1), block.n.to_numpy()
+        keep = np.zeros(len(block), bool)
+        for x, y in _sides(block):
+            y = y[100 * np.minimum(n[y], n[x]) >= percent * np.maximum(n[y], n[x])]
+            if len(y) and len(y := y[(sig[y] == sig[x]).sum(axis=1) >= least]):
+                keep[x] = keep[y] = True
+        return block[keep].drop(columns="sig") if keep.any() else None
+
+    given = rows.join(sigs.select(F.col("doc").alias("rep"), "sig"), "rep").select(*rows.columns, "sig")
+    return given.repartition(*BLOCK_KEY).sortWithinPartitions(*BLOCK_KEY).mapInPandas(lambda frames: _grouped(frames, each), rows.schema)
+
+
+def _block_links(rows: DataFrame, texts: DataFrame, percent: int) -> DataFrame:
+    """Links (a, b) across components in blocks, confirmed on whole texts; of links within a block, enough to connect what they connect."""
+
+    def confirm(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        shingler = Shingler()
+
+        def each(block: pd.DataFrame) -> pd.DataFrame | None:
+            sets = [shingler(t) for t in block.text]
+            rep, comp, n = block.rep.to_numpy(), list(block.component), np.array([len(x) for x in sets])
+            flat, place = np.unique(np.concatenate(sets), return_inverse=True)
+            starts = np.concatenate([[0], np.cumsum(n)])
+            mark, top, links = np.zeros(len(flat), np.int32), {c: c for c in comp}, []
+
+            def root(c):
+                while top[c] != c:
+                    c = top[c]
+                return c
+
+            for x, ys in _sides(block):
+                ys = ys[100 * np.minimum(n[ys], n[x]) >= percent * np.maximum(n[ys], n[x])]
+                if not len(ys):
+                    continue
+                own = place[starts[x] : starts[x + 1]]
+                mark[own] = 1
+                both = np.array([mark[place[starts[y] : starts[y + 1]]].sum() for y in ys])
+                mark[own] = 0
+                for y in ys[100 * both >= percent * (n[ys] + n[x] - both)]:
+                    p, q = root(comp[x]), root(comp[y])
+                    if p != q:
+                        top[max(p, q)] = min(p, q)
+                        links.append((max(rep[x], rep[y]), min(rep[x], rep[y])))
+            return pd.DataFrame(links, columns=["a", "b"], dtype="int64") if links else None
+
+        yield from _grouped(frames, each)
+
+    given = rows.join(texts.withColumnRenamed("doc", "rep"), "rep").select(*rows.columns, "text")
+    return given.repartition(*BLOCK_KEY).sortWithinPartitions(*BLOCK_KEY).mapInPandas(confirm, "a long, b long").distinct()
 
 
 def near_duplicates(docs: DataFrame, percent: int = 85, key: str = "doc_id", text: str = "text") -> DataFrame:
@@ -205,9 +279,9 @@ def near_duplicates(docs: DataFrame, percent: int = 85, key: str = "doc_id", tex
     sig = reps.select("doc", "sig")
     links = _links(star, sig, texts, percent)
     found = connected_components(links)
-    more = materialize(_rest(buckets.select("bucket", "rep", "n"), found, sig, percent).join(star, ["a", "b"], "left_anti"), "rest")
-    if not more.isEmpty():
-        links = links.unionByName(_links(more, sig, texts, percent))
+    rest = materialize(_near(_dealt(buckets.select("bucket", "rep", "n"), found), sig, percent), "rest")
+    if not rest.isEmpty():
+        links = links.unionByName(materialize(_block_links(rest, texts, percent), "links"))
         found = connected_components(links)
     named = classes.join(found.withColumnRenamed("node", "rep"), "rep", "left").select("fp", F.coalesce("component", "rep").alias("component"))
     out = sigs.join(named, "fp", "left").select(F.col("doc").alias("doc_id"), F.col("n").alias("n_shingles"), F.coalesce("component", "doc").alias("component_id"))
