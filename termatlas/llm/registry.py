@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from termatlas.llm import licenses, mixing, near_dup, personal, pieces, secrets, toxicity
+from termatlas.llm import licenses, mixing, near_dup, personal, pieces, quality, secrets, toxicity
 from termatlas.llm.tables import documents, table
 
 
@@ -25,6 +25,11 @@ def op4_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secrets.digests(secrets.secrets(documents(spark, sf_dir, "doc_id", "text")), secrets.KINDS)
 
 
+def op5_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    judged = quality.quality(documents(spark, sf_dir, "doc_id", "text", "lang"), table(spark, sf_dir, "labels", "doc_id", "quality"))
+    return judged.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", F.array_join("failed_rules", ",").alias("failed_rules"))
+
+
 def op6_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     scored = toxicity.toxicity(documents(spark, sf_dir, "doc_id", "text"), table(spark, sf_dir, "labels", "doc_id", "toxic"))
     return scored.select("doc_id", "held_out", "score", "predicted", F.size("sentences").cast("long").alias("n_offending"))
@@ -71,6 +76,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op2_mixing": op2_mixing,
         "op3_personal": op3_personal,
         "op4_secrets": op4_secrets,
+        "op5_quality": op5_quality,
         "op6_toxicity": op6_toxicity,
         "op8_minhash": op8_minhash,
         "op9_sentencepiece": op9_sentencepiece,
