@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from termatlas.llm import licenses, mixing, near_dup, personal, pieces, quality, secrets, toxicity
+from termatlas.llm import licenses, mixing, mtree, near_dup, personal, pieces, quality, secrets, toxicity
 from termatlas.llm.tables import documents, table
 
 
@@ -35,6 +35,10 @@ def op6_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return scored.select("doc_id", "held_out", "score", "predicted", F.size("sentences").cast("long").alias("n_offending"))
 
 
+def op7_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mtree.top_inner_products(table(spark, sf_dir, "embeddings", "vec_id", "embedding"), k=20, every=20)
+
+
 def op8_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_dup.near_duplicates(documents(spark, sf_dir, "doc_id", "text"), percent=85)
 
@@ -44,6 +48,19 @@ def op9_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pieces.encode_decode(documents(spark, sf_dir, "doc_id", "text"), model, ("n_tokens", "ids_sha256", "decoded_sha256"))
 
 
+OP7_SQL = r"""
+WITH v AS (
+  SELECT vec_id, list_transform(embedding, lambda x: floor(64 * x::DOUBLE)) AS e FROM embeddings
+  WHERE embedding IS NOT NULL AND len(list_filter(embedding, lambda x: x IS NULL OR NOT isfinite(x))) = 0
+), scored AS (
+  SELECT q.vec_id AS query_id, c.vec_id AS vec_id, list_dot_product(q.e, c.e)::BIGINT AS score
+  FROM v q JOIN v c ON q.vec_id <> c.vec_id WHERE q.vec_id % 20 = 0
+), ranked AS (
+  SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id) AS rank FROM scored
+)
+SELECT query_id, rank::INTEGER AS rank, vec_id, score FROM ranked WHERE rank <= 20
+"""
+
 OP8_SQL = r"""
 WITH RECURSIVE words AS (
   SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS w FROM documents
@@ -78,6 +95,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op4_secrets": op4_secrets,
         "op5_quality": op5_quality,
         "op6_toxicity": op6_toxicity,
+        "op7_topk": op7_topk,
         "op8_minhash": op8_minhash,
         "op9_sentencepiece": op9_sentencepiece,
         "op10_licenses": op10_licenses,
@@ -85,4 +103,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op8_minhash": OP8_SQL}
+    return {"op7_topk": OP7_SQL, "op8_minhash": OP8_SQL}
