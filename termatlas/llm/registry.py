@@ -8,10 +8,16 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from termatlas.llm import licenses, mixing, mtree, near_dup, personal, pieces, quality, secrets, toxicity
+from termatlas.llm import chat, licenses, mixing, mtree, near_dup, personal, pieces, quality, secrets, toxicity
 from termatlas.llm.tables import documents, table
 
 
+def op1_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
+    pieces_ = chat.transcribe(table(spark, sf_dir, "conversations", "conv_id", "turn", "role", "text"))
+    parsed = chat.by_row(chat.parse(pieces_, chat.fit(pieces_)))
+    return parsed.select(F.col("id").alias("conv_id"), F.col("seq").alias("turn"), "recovered", "begins", "n_lines", "rendered", chat.held_out("id").alias("held_out"))
+
+
 def op2_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     mixed = mixing.mix(documents(spark, sf_dir, "doc_id", "source", "text"))
     return mixed.select("doc_id", "size", "source_size", "target", "taken", "copies")
@@ -90,6 +96,7 @@ def op10_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
+        "op1_chat": op1_chat,
         "op2_mixing": op2_mixing,
         "op3_personal": op3_personal,
         "op4_secrets": op4_secrets,

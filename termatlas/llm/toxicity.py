@@ -154,33 +154,54 @@ def _descend(words: list[str], y: np.ndarray, bags: list, empty: np.ndarray, rou
     return Model(float(x[-2]), float(squash(x[-1])), {w: float(b) for w, b in zip(words, x, strict=False) if abs(b) > 1e-3})
 
 
+def _scorer(model: Model):
+    """scorer(text, cut) -> score, sentences of at least cut (None: no sentences)."""
+    sums, base, leak = _Sums(model.weights), math.log1p(-model.chance(0.0)), math.log1p(-model.leak)
+
+    def scorer(text: str | None, cut: float | None) -> tuple[float, list[dict]]:
+        keep, at = leak, []
+        # lower() can change lengths; sentences are cut from the raw text
+        for s in SENTENCE.finditer(text or ""):
+            words = WORDS(s.group().lower())
+            if not words:
+                continue
+            z = sum(map(sums.__getitem__, words))
+            if z == 0:
+                keep += base
+                continue
+            p = model.chance(z)
+            keep += math.log1p(-min(p, 1 - 1e-12))
+            if cut is not None and p >= cut:
+                at.append({"start": s.start(), "end": s.end(), "score": p})
+        return min(max(-math.expm1(keep), 0.0), 1.0), at
+
+    return scorer
+
+
+def clean(docs: DataFrame, model: Model, cut: float = 0.5, text: str = "text") -> DataFrame:
+    """The rows of docs, with all their columns, whose score is under the cut."""
+    at = docs.columns.index(text)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        scorer = _scorer(model)
+        for batch in batches:
+            yield batch.filter(pa.array([scorer(v.as_py(), None)[0] < cut for v in batch.column(at)], pa.bool_()))
+
+    return docs.mapInArrow(run, docs.schema)
+
+
 def score(docs: DataFrame, model: Model, locate: float | None = None, key: str = "doc_id", text: str = "text") -> DataFrame:
     """key, score; with locate also the sentences (start, end, score) of at least that probability, in code points."""
     kind = docs.schema[key].dataType.simpleString()
     spans = pa.list_(pa.struct([("start", pa.int32()), ("end", pa.int32()), ("score", pa.float64())]))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        sums, base = _Sums(model.weights), math.log1p(-model.chance(0.0))
-        leak = math.log1p(-model.leak)
+        scorer = _scorer(model)
         for batch in batches:
             scores, found = [], []
             for value in batch.column(1):
-                raw, keep, at = value.as_py() or "", leak, []
-                # lower() can change lengths; sentences are cut from the raw text
-                for s in SENTENCE.finditer(raw):
-                    words = WORDS(s.group().lower())
-                    if not words:
-                        continue
-                    z = sum(map(sums.__getitem__, words))
-                    if z == 0:
-                        keep += base
-                        continue
-                    p = model.chance(z)
-                    keep += math.log1p(-min(p, 1 - 1e-12))
-                    if locate is not None and p >= locate:
-                        at.append({"start": s.start(), "end": s.end(), "score": p})
-                scores.append(min(max(-math.expm1(keep), 0.0), 1.0))
-                found.append(at)
+                p, at = scorer(value.as_py(), locate)
+                scores.append(p), found.append(at)
             out = [batch.column(0), pa.array(scores, pa.float64())]
             yield pa.RecordBatch.from_arrays(out + ([pa.array(found, spans)] if locate is not None else []), names=[key, "score"] + (["sentences"] if locate is not None else []))
 
