@@ -57,7 +57,7 @@ class Shingler:
 
     def __call__(self, text: str | None) -> np.ndarray:
         words = (text or "").encode("utf-8", "surrogatepass").lower().split()  # of bytes: only A-Z, only ASCII space
-        if len(self.words) > 1_000_000:
+        if len(self.words) > 100_000:
             self.words.clear()
         h = np.fromiter(map(self.words.__getitem__, words), np.uint64, len(words))
         if not len(h):

@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame
 
 MARK = "▁"
 #: Entries and characters a task's table holds before it starts anew; results don't depend on them.
-TABLE_WORDS, TABLE_CHARS, LONGEST_KEPT = 400_000, 8_000_000, 80
+TABLE_WORDS, TABLE_CHARS, LONGEST_KEPT = 100_000, 2_000_000, 60
 
 
 class WordTable:

@@ -47,7 +47,7 @@ class _Sums(dict):
         self.weights = weights
 
     def __missing__(self, word: str) -> float:
-        if len(self) > 300_000:
+        if len(self) > 100_000:
             self.clear()
         z = sum(self.weights.get(f, 0.0) for f in features(word))
         if len(word) < 60:
