@@ -150,12 +150,30 @@ def _confirming(percent: int):
     return confirm
 
 
+#: Bits of the map of wanted ids; with the 4 KB rows of Spark's bitmaps, a broadcast of at most 8 MB.
+MAP_BITS = 1 << 26
+
+
+def _wanted(texts: DataFrame, ids: DataFrame) -> DataFrame:
+    """The rows of texts whose doc is in ids (column doc), and a few others: a bitmap of hashed ids spares the others' shuffle.
+
+    Of fixed size however many ids there are; when many, it lets more rows pass.
+    """
+    place = F.pmod(F.xxhash64("doc"), F.lit(MAP_BITS))
+    maps = ids.select(F.bitmap_bucket_number(place).alias("part"), F.bitmap_bit_position(place).alias("at")).groupBy("part").agg(F.bitmap_construct_agg("at").alias("map"))
+    at = F.bitmap_bit_position(place)
+    byte = F.conv(F.hex(F.substring("map", (F.floor(at / 8) + 1).cast("int"), F.lit(1))), 16, 10).cast("int")
+    rows = texts.withColumn("part", F.bitmap_bucket_number(place)).join(F.broadcast(maps), "part")
+    return rows.where(F.getbit(byte, F.pmod(at, F.lit(8)).cast("int")) == 1).select(*texts.columns)
+
+
 def _links(pairs: DataFrame, sigs: DataFrame, texts: DataFrame, percent: int) -> DataFrame:
     """The pairs (a, b) that hold on whole texts."""
     x, y = sigs.select("doc", "sig").alias("x"), sigs.select("doc", "sig").alias("y")
     near = pairs.join(x, F.col("a") == F.col("x.doc")).join(y, F.col("b") == F.col("y.doc"))
     near = near.where(_agreeing(least_agreement(percent))(F.col("x.sig"), F.col("y.sig"))).select("a", "b")
     near = materialize(near, "near")
+    texts = _wanted(texts, near.select(F.explode(F.array("a", "b")).alias("doc")))
     s, t = texts.alias("s"), texts.alias("t")
     both = near.join(s, F.col("a") == F.col("s.doc")).join(t, F.col("b") == F.col("t.doc"))
     return materialize(both.where(_confirming(percent)(F.col("s.text"), F.col("t.text"))).select("a", "b"), "links")
@@ -260,6 +278,7 @@ def _block_links(rows: DataFrame, texts: DataFrame, percent: int) -> DataFrame:
 
         yield from _grouped(frames, each)
 
+    texts = _wanted(texts, rows.select(F.col("rep").alias("doc")))
     given = rows.join(texts.withColumnRenamed("doc", "rep"), "rep").select(*rows.columns, "text")
     return given.repartition(*BLOCK_KEY).sortWithinPartitions(*BLOCK_KEY).mapInPandas(confirm, "a long, b long").distinct()
 
