@@ -72,8 +72,9 @@ def squared_steps(a: Column | str, b: Column | str, size_e6: int = SIZE) -> Colu
 
 
 def decay(distance: Column | str, focus: Column | str, spread: Column | str, min_distance: float = 1.0) -> Column:
-    """focus * distance ** -spread, distances clamped from below, at most 1."""
-    return F.least(_c(focus) * F.pow(F.greatest(_c(distance), F.lit(min_distance)), -_c(spread)), F.lit(1.0))
+    """focus * distance ** -spread, distances clamped from below, at most 1; null if any of them is."""
+    d, p = _c(distance), _c(focus) * F.pow(F.greatest(_c(distance), F.lit(min_distance)), -_c(spread))
+    return F.when(d.isNotNull() & p.isNotNull(), F.least(p, F.lit(1.0)))
 
 
 def register_sql(spark: SparkSession) -> None:

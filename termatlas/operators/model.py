@@ -269,4 +269,4 @@ def as_of(asked: DataFrame, models: DataFrame, at: str = "at") -> DataFrame:
 
 def disc_mean(spark: SparkSession, points: int = 200_000, seed: int = 42) -> DataFrame:
     """ratio: mean distance to the centre of uniform points in a unit disc, by sampling; tends to two thirds."""
-    return spark.range(points).select(F.avg(F.sqrt(F.rand(seed))).alias("ratio"))
+    return spark.range(points).select(F.sqrt(F.rand(seed)).alias("d")).agg(F.avg("d").alias("ratio"))
