@@ -58,7 +58,7 @@ class Model:
 
     @classmethod
     def of(cls, start: np.ndarray, move: np.ndarray, emit: np.ndarray, smooth: float = 0.5) -> Model:
-        log = lambda x: np.log((x + smooth) / (x + smooth).sum(axis=-1, keepdims=True))
+        log = lambda x, s=smooth: np.log((x + s) / (x + s).sum(axis=-1, keepdims=True))
         first = np.arange(STATES) % 2 == 0
         start, move = log(start), log(move)
         start[~first] = -1e9  # a transcript starts with a turn
@@ -66,7 +66,11 @@ class Model:
             for t in range(STATES):
                 if t % 2 and t // 2 != s // 2:
                     move[s, t] = -1e9  # a turn keeps its role
-        return cls(start, move, log(emit))
+        # a line's parts are taken as independent: rare combinations keep what each part says
+        by_part = emit.reshape(STATES, 5, 2, 4)
+        marks, asks, sizes = log(by_part.sum(axis=(2, 3)), smooth / 20), log(by_part.sum(axis=(1, 3))), log(by_part.sum(axis=(1, 2)))
+        both = marks[:, :, None, None] + asks[:, None, :, None] + sizes[:, None, None, :]
+        return cls(start, move, both.reshape(STATES, SYMBOLS))
 
     def through(self, seen: np.ndarray, initial: bool) -> np.ndarray:
         """Best scores from each state before the lines (one row for the start) to each state at their end."""
