@@ -713,3 +713,104 @@ def flagship(spark: SparkSession, sf: str) -> DataFrame:
     atlas = _ring_atlas(spark, sf)
     hot = atlas.hot_places(5).select("term", "cell", F.col("est").cast("double").alias("est"), F.lit("hot_place").alias("how"))
     return hot.unionByName(atlas.place_frequency(_asked(exact.counts(_occ(spark, sf)))).select("term", "cell", "est", "how"))
+
+
+# --- relational surroundings ------------------------------------------------------------------------
+
+
+@query(_replay(10) + "SELECT coalesce(s.term, c.term) AS term, coalesce(s.cell, c.cell) AS cell, s.f, c.n FROM (SELECT * FROM summary) s FULL OUTER JOIN counts c ON c.term = s.term AND c.cell = s.cell")
+def summary_vs_truth_outer(spark, sf):
+    """Every stored or counted place, with both numbers where both exist."""
+    occ = _occ(spark, sf)
+    return M.counts_of(counters.build(occ, 10)).withColumnRenamed("n", "f").join(exact.counts(occ), ["term", "cell"], "full_outer").select("term", "cell", "f", "n")
+
+
+@query(EVENTS + "SELECT cell FROM (SELECT cell FROM ranked WHERE term = 'view' INTERSECT SELECT cell FROM ranked WHERE term = 'error')")
+def shared_cells_intersect(spark, sf):
+    c = exact.counts(_occ(spark, sf))
+    return c.where("term = 'view'").select("cell").intersect(c.where("term = 'error'").select("cell"))
+
+
+@query(EVENTS + "SELECT cell FROM counts WHERE term = 'error' EXCEPT ALL SELECT cell FROM counts WHERE term <> 'error'")
+def own_cells_except(spark, sf):
+    c = exact.counts(_occ(spark, sf))
+    return c.where("term = 'error'").select("cell").exceptAll(c.where("term <> 'error'").select("cell"))
+
+
+@query(EVENTS + "SELECT term, (ntile(4) OVER (PARTITION BY term ORDER BY n, cell))::INTEGER AS quarter, cell, n, rank() OVER (PARTITION BY term ORDER BY n DESC)::INTEGER AS rank, dense_rank() OVER (PARTITION BY term ORDER BY n DESC)::INTEGER AS dense FROM counts")
+def place_ranks(spark, sf):
+    from pyspark.sql import Window
+
+    w = Window.partitionBy("term")
+    down = w.orderBy(F.desc("n"))
+    return exact.counts(_occ(spark, sf)).select("term", F.ntile(4).over(w.orderBy("n", "cell")).alias("quarter"), "cell", "n", F.rank().over(down).alias("rank"), F.dense_rank().over(down).alias("dense"))
+
+
+@query(EVENTS + "SELECT cell, sum(CASE WHEN term = 'click' THEN n END)::BIGINT AS click, sum(CASE WHEN term = 'error' THEN n END)::BIGINT AS error, sum(CASE WHEN term = 'view' THEN n END)::BIGINT AS view FROM counts WHERE term IN ('click', 'error', 'view') GROUP BY cell")
+def term_pivot(spark, sf):
+    c = exact.counts(_occ(spark, sf)).where(F.col("term").isin("click", "error", "view"))
+    return c.groupBy("cell").pivot("term", ["click", "error", "view"]).agg(F.sum("n"))
+
+
+@query(f"WITH {_events_sql()} SELECT msg_id, term, count(*) OVER (PARTITION BY term ORDER BY seq RANGE BETWEEN 3600000000 PRECEDING AND CURRENT ROW) AS last_hour FROM occ")
+def hourly_range_frame(spark, sf):
+    from pyspark.sql import Window
+
+    w = Window.partitionBy("term").orderBy("seq").rangeBetween(-3_600_000_000, Window.currentRow)
+    return _occ(spark, sf).select("msg_id", "term", F.count("*").over(w).alias("last_hour"))
+
+
+@query(f"WITH {_DOCS} SELECT cell, count(DISTINCT msg_id) AS messages FROM occ WHERE msg_id NOT IN (SELECT d.doc_id FROM documents d WHERE EXISTS (SELECT 1 FROM benchmark b WHERE contains(d.text, b.text))) GROUP BY cell")
+def uncontaminated_anti(spark, sf):
+    """Messages without a passage of the benchmark, a table of a few hundred rows."""
+    docs, bench = read(spark, sf, "documents"), read(spark, sf, "benchmark")
+    hit = docs.select("doc_id", "text").join(F.broadcast(bench.select(F.col("text").alias("passage"))), F.contains(F.col("text"), F.col("passage"))).select(F.col("doc_id").alias("msg_id")).distinct()
+    return adapters.documents(spark, sf).join(hit, "msg_id", "left_anti").groupBy("cell").agg(F.count_distinct("msg_id").alias("messages"))
+
+
+@query(EVENTS + "SELECT c.term, c.cell, c.n FROM counts c WHERE c.n > (SELECT avg(d.n) FROM counts d WHERE d.term = c.term) AND NOT EXISTS (SELECT 1 FROM counts o WHERE o.cell = c.cell AND o.term <> c.term)")
+def sql_own_hot_cells(spark, sf):
+    """SQL over the views: places above their term's mean that no other term has."""
+    answers.register(spark, counts=exact.counts(_occ(spark, sf)))
+    return spark.sql("SELECT c.term, c.cell, c.n FROM counts c WHERE c.n > (SELECT avg(d.n) FROM counts d WHERE d.term = c.term) AND NOT EXISTS (SELECT 1 FROM counts o WHERE o.cell = c.cell AND o.term <> c.term)")
+
+
+@query(f"WITH {_events_sql()} SELECT term, cell, count(*) AS n FROM occ GROUP BY term, cell")
+def sql_cell_function(spark, sf):
+    """Cells by the SQL function, inlined into the plan."""
+    answers.register(spark, occ=_occ(spark, sf))
+    return spark.sql("SELECT term, cell_id(lon_e6, lat_e6) AS cell, count(*) AS n FROM occ GROUP BY 1, 2")
+
+
+@query()
+def sql_surface(spark, sf):
+    from termatlas.functions import sql
+
+    sql.register(spark)
+    return spark.sql("SELECT * FROM surface(46906, 0.09D, 3.2D, 0.0001D)")
+
+
+@query(EVENTS + "SELECT term, least(50, count(*)) * 13 AS words, least(50, count(*)) * 13 * 8 AS bytes FROM counts GROUP BY term")
+def state_space(spark, sf):
+    """Words and bytes of ring summaries of 50 counters and 10 bands."""
+    return metrics.state_space(R.build(_occ(spark, sf), 50))
+
+
+@query()
+def likelihood_terms(spark, sf):
+    """Likelihood terms of a fit on bands and on cells: the cost that doesn't depend on hardware."""
+    occ = materialize(_occ(spark, sf), "occ")
+    ring, fine = R.edges(), M.fine_radii()
+    s = materialize(R.build(occ, 50, ring), "summary")
+    rows = M.fit(M.ring_rows(s, methods.tables(spark, ring), ring, 1)).unionByName(M.fit(M.cell_rows(M.counts_of(s), M.centres_of(s, 1), methods.tables(spark, fine), fine), source="cells"))
+    # a fit on single cells would take every cell of the map at each evaluation
+    return metrics.evaluations(rows).withColumn("cells_of_the_map", F.lit(geo.rows() * geo.columns()))
+
+
+@query()
+def equal_space_documents(spark, sf):
+    """The equal-space table on messages: terms drawn from the bag of words, a budget that forces evictions among 80 places."""
+    occ = adapters.documents(spark, sf)
+    terms = materialize(workloads.sampled_terms(occ, n=200), "terms")
+    bench = workloads.Bench(occ.join(F.broadcast(terms.select("term")), "term", "left_semi"), candidates=3)
+    return workloads.equal_space(bench, words=81)
