@@ -24,6 +24,7 @@ from dataclasses import dataclass
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from termatlas.llm.tables import bounded_batches
 
 # fixed values: words, base phrases, and wordings of public licences with their key phrases
 WORD = re.compile(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+")
@@ -94,7 +95,7 @@ def document_frequencies(docs: DataFrame, templates=TEMPLATES, text: str = "text
                 seen.update(known.intersection(words(value.as_py())))
         yield pa.RecordBatch.from_arrays([pa.array(["", *order], pa.string()), pa.array([n, *(seen[w] for w in order)], pa.int64())], names=["word", "n"])
 
-    got = {r.word: r.n for r in docs.select(text).mapInArrow(run, "word string, n long").groupBy("word").agg(F.sum("n").alias("n")).collect()}
+    got = {r.word: r.n for r in bounded_batches(docs).select(text).mapInArrow(run, "word string, n long").groupBy("word").agg(F.sum("n").alias("n")).collect()}
     return got, got.pop("", 0)
 
 
@@ -149,7 +150,7 @@ def scan(docs: DataFrame, ix: Index, key: str = "doc_id", text: str = "text") ->
                 found.append([{"label": a, "score": s, "word": i} for a, s, i in match(own, at, ix)])
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), pa.array(base, base_type), pa.array(found, match_type)], names=[key, "n_words", "base", "matches"])
 
-    return docs.select(key, text).mapInArrow(run, f"`{key}` {kind}, n_words long, base array<struct<label:string,word:long>>, matches array<struct<label:string,score:double,word:long>>")
+    return bounded_batches(docs).select(key, text).mapInArrow(run, f"`{key}` {kind}, n_words long, base array<struct<label:string,word:long>>, matches array<struct<label:string,score:double,word:long>>")
 
 
 def licenses(docs: DataFrame, templates=TEMPLATES, key: str = "doc_id", text: str = "text") -> DataFrame:

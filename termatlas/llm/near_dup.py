@@ -37,6 +37,7 @@ from pyspark.sql import functions as F
 
 from termatlas.functions.scratch import materialize
 from termatlas.llm.components import connected_components
+from termatlas.llm.tables import bounded_batches
 
 SHINGLE, ROWS, BANDS, SEED, BLOCK = 5, 5, 24, 20240229, 256
 HASHES = ROWS * BANDS
@@ -126,7 +127,7 @@ def signatures(docs: DataFrame, key: str = "doc_id", text: str = "text") -> Data
                 bands.append([xxhash.xxh3_64_intdigest(r.tobytes(), i) - (1 << 63) for i, r in enumerate(rows)])
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), pa.array(fp, pa.binary()), pa.array(sig, pa.binary()), pa.array(bands, pa.list_(pa.int64()))], names=["doc", "n", "fp", "sig", "bands"])
 
-    return docs.select(F.col(key).cast("long").alias("doc"), F.col(text).alias("text")).mapInArrow(run, schema)
+    return bounded_batches(docs).select(F.col(key).cast("long").alias("doc"), F.col(text).alias("text")).mapInArrow(run, schema)
 
 
 def _agreeing(least: int):

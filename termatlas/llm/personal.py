@@ -31,6 +31,7 @@ from pyspark.sql import functions as F
 
 from termatlas.functions.scratch import materialize
 from termatlas.llm.spans import SPAN, SPAN_SQL, as_rows, ordered
+from termatlas.llm.tables import bounded_batches
 
 KINDS, CONTEXT = ("email", "ip", "card", "phone"), "context"
 MIN_LENGTH, ROUNDS, PRIOR, LEAST_SEEDS, ACCEPT = 5, 3, 1.0, 3, 0.8
@@ -124,7 +125,7 @@ def places(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFram
                 found.append([{"kind": k, "start": a, "end": b, "instance": x.lower(), "patterns": contexts(t, a, b)} for k, a, b, x in own])
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(base, pa.list_(SPAN)), pa.array(found, pa.list_(PLACE))], names=[key, "base", "places"])
 
-    out = docs.select(key, text).mapInArrow(run, f"`{key}` {kind}, base array<{SPAN_SQL}>, places array<{PLACE_SQL}>")
+    out = bounded_batches(docs).select(key, text).mapInArrow(run, f"`{key}` {kind}, base array<{SPAN_SQL}>, places array<{PLACE_SQL}>")
     return out.withColumn("row", F.monotonically_increasing_id())
 
 

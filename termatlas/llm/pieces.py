@@ -19,6 +19,7 @@ import numpy as np
 import pyarrow as pa
 import sentencepiece
 from pyspark.sql import DataFrame
+from termatlas.llm.tables import bounded_batches
 
 MARK = "▁"
 #: Entries and characters a task's table holds before it starts anew; results don't depend on them.
@@ -100,4 +101,4 @@ def encode_decode(df: DataFrame, model: str, outputs: tuple[str, ...] = ("n_toke
                         got["decoded_sha256"].append(hashlib.sha256(words.encode("utf-8", "surrogatepass")).hexdigest())
             yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(got[name], FIELDS[name][1]) for name in outputs)], names=[key, *outputs])
 
-    return df.select(key, text).mapInArrow(run, f"`{key}` {kind}, " + ", ".join(f"{name} {FIELDS[name][0]}" for name in outputs))
+    return bounded_batches(df).select(key, text).mapInArrow(run, f"`{key}` {kind}, " + ", ".join(f"{name} {FIELDS[name][0]}" for name in outputs))

@@ -29,6 +29,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from termatlas.llm.spans import SPAN, SPAN_SQL, as_rows, free, ordered
+from termatlas.llm.tables import bounded_batches
 
 KINDS, RANDOM_KIND = ("assign", "access", "hex"), "random"
 MAX_SAMPLE, RANDOM, FALSE_RATE, LEAST = 4_000, 20_000, 1e-4, 20
@@ -181,7 +182,7 @@ def scan(docs: DataFrame, model: Markov, key: str = "doc_id", text: str = "text"
                 base.append(as_rows(b)), spans.append(as_rows(all_spans(t, b, model)))
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(base, pa.list_(SPAN)), pa.array(spans, pa.list_(SPAN))], names=[key, "base", "spans"])
 
-    return docs.select(key, text).mapInArrow(run, f"`{key}` {kind}, base array<{SPAN_SQL}>, spans array<{SPAN_SQL}>")
+    return bounded_batches(docs).select(key, text).mapInArrow(run, f"`{key}` {kind}, base array<{SPAN_SQL}>, spans array<{SPAN_SQL}>")
 
 
 def redact(docs: DataFrame, model: Markov, text: str = "text", mark: str = "<SECRET>", length: str | None = "n_chars") -> DataFrame:
@@ -193,20 +194,20 @@ def redact(docs: DataFrame, model: Markov, text: str = "text", mark: str = "<SEC
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            out = []
+            out, sizes = [], []
             for value in batch.column(names.index(text)):
                 t = value.as_py()
                 spans = all_spans(t, base_spans(t), model) if t else []
                 out.append("".join(mark if i else t[a:b] for i, a, b in _pieces(t, spans)) if spans else t)
+                sizes.append(len(out[-1]) if spans else None)
             columns = list(batch.columns)
             if length in names:
-                was, at = columns[names.index(text)].to_pylist(), names.index(length)
-                sizes = [n if x == y else len(y) for n, x, y in zip(columns[at].to_pylist(), was, out, strict=True)]
-                columns[at] = pa.array(sizes, columns[at].type)
+                at = names.index(length)
+                columns[at] = pa.array([n if s is None else s for n, s in zip(columns[at].to_pylist(), sizes, strict=True)], columns[at].type)
             columns[names.index(text)] = pa.array(out, pa.string())
             yield pa.RecordBatch.from_arrays(columns, names=names)
 
-    return docs.mapInArrow(run, docs.schema)
+    return bounded_batches(docs).mapInArrow(run, docs.schema)
 
 
 def digests(found: DataFrame, kinds: tuple[str, ...], key: str = "doc_id") -> DataFrame:

@@ -28,6 +28,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from termatlas.functions.scratch import materialize
+from termatlas.llm.tables import bounded_batches
 
 MAX_LABELLED, MAX_WORDS, LEAST_DOCS, LEAST_GAIN = 20_000, 2_048, 3, 10.0
 PREFIXES = range(4, 10)
@@ -187,7 +188,7 @@ def clean(docs: DataFrame, model: Model, cut: float = 0.5, text: str = "text") -
         for batch in batches:
             yield batch.filter(pa.array([scorer(v.as_py(), None)[0] < cut for v in batch.column(at)], pa.bool_()))
 
-    return docs.mapInArrow(run, docs.schema)
+    return bounded_batches(docs).mapInArrow(run, docs.schema)
 
 
 def score(docs: DataFrame, model: Model, locate: float | None = None, key: str = "doc_id", text: str = "text") -> DataFrame:
@@ -206,7 +207,7 @@ def score(docs: DataFrame, model: Model, locate: float | None = None, key: str =
             yield pa.RecordBatch.from_arrays(out + ([pa.array(found, spans)] if locate is not None else []), names=[key, "score"] + (["sentences"] if locate is not None else []))
 
     schema = f"`{key}` {kind}, score double" + (", sentences array<struct<start:int,end:int,score:double>>" if locate is not None else "")
-    return docs.select(key, text).mapInArrow(run, schema)
+    return bounded_batches(docs).select(key, text).mapInArrow(run, schema)
 
 
 def toxicity(docs: DataFrame, labels: DataFrame, label: str = "toxic") -> DataFrame:
