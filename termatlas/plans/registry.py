@@ -814,3 +814,22 @@ def equal_space_documents(spark, sf):
     terms = materialize(workloads.sampled_terms(occ, n=200), "terms")
     bench = workloads.Bench(occ.join(F.broadcast(terms.select("term")), "term", "left_semi"), candidates=3)
     return workloads.equal_space(bench, words=81)
+
+
+# --- the experiments where the decay law is true ---------------------------------------------------
+
+
+def _power_law(name: str, run: Callable[[workloads.Bench], DataFrame]) -> None:
+    def q(spark: SparkSession, sf: str) -> DataFrame:
+        return run(workloads.Bench(adapters.power_law(spark), candidates=3))
+
+    q.__name__ = f"power_law_{name}"
+    query()(q)
+
+
+_power_law("multi_term", lambda b: workloads.multi_term(b, capacity=50, cell_capacity=216, top=60, per_bin=100))
+_power_law("accuracy", lambda b: workloads.frequency_accuracy(b, terms=60))
+_power_law("equal_space", workloads.equal_space)
+_power_law("policies", workloads.policy_table)
+_power_law("ratio_sweep", lambda b: workloads.ratio_sweep(b, ratios=(0.1, 0.2, 0.3, 0.4, 0.5, 0.6, 2 / 3, 0.7, 0.8, 0.9)))
+_power_law("stability", workloads.stability)

@@ -131,3 +131,32 @@ def pages(spark: SparkSession, sf_dir: str) -> DataFrame:
     lang = F.regexp_extract("html", 'lang="([a-z]{2})"', 1)
     lon, lat = _language_place(lang, F.pmod("page_id", F.lit(20)))
     return _located(p.select(F.col("page_id").alias("seq"), F.timestamp_seconds("page_id").alias("ts"), F.col("page_id").alias("msg_id"), F.explode(text.distinct_terms(text.strip_markup("html"))).alias("term"), lon.alias("lon_e6"), lat.alias("lat_e6")))
+
+
+def power_law(spark: SparkSession, terms: int = 60, arrivals: int = 1500, places: int = 12, seed: int = 42) -> DataFrame:
+    """A generated stream in which the decay law is true: term i has a spread between 1.6 and 3.6 around one of `places` centres.
+
+    A distance's density is d ** (1 - spread) between half a cell and 90 cells, by inverse
+    transform; bearings are uniform. Terms of a place are a few cells apart, so pairs co-occur
+    near it. Some terms are several times more frequent. Everything is a hash of numbers.
+    """
+
+    def uniform(*of: Column) -> Column:
+        return (F.pmod(F.xxhash64(*of, F.lit(seed)), F.lit(1 << 40)) + 0.5) / float(1 << 40)
+
+    t = F.col("t")
+    rows = spark.range(terms).select(F.col("id").cast("int").alias("t")).withColumn("k", F.explode(F.sequence(F.lit(0), (F.lit(arrivals) * (1 + 3 * F.pmod(t, F.lit(4)))).cast("int") - 1)))
+    place = F.pmod(t, F.lit(places))
+    spread = 1.6 + 2.0 * uniform(t, F.lit("spread"))
+    step = 2.0 - spread
+    step = F.when(F.abs(step) < 1e-3, F.lit(1e-3)).otherwise(step)
+    lo, hi = F.pow(F.lit(0.5), step), F.pow(F.lit(90.0), step)
+    d = F.pow(lo + uniform(t, F.col("k"), F.lit("d")) * (hi - lo), 1 / step)
+    turn = uniform(t, F.col("k"), F.lit("turn")) * (2 * math.pi)
+    lat0 = F.pmod(place * 17, F.lit(50)) - 25 + F.floor(uniform(t, F.lit("lat")) * 5) + 0.5
+    lon0 = place * 29 - 175 + F.floor(uniform(t, F.lit("lon")) * 5) + 0.5
+    lat = F.greatest(F.lit(-89.5), F.least(lat0 + d * F.sin(turn), F.lit(89.5)))
+    lon = lon0 + d * F.cos(turn) / F.greatest(F.cos(F.radians(lat)), F.lit(0.05))
+    seq = F.pmod(F.xxhash64("t", "k", F.lit(seed + 1)), F.lit(1 << 45))
+    out = rows.select(seq.alias("seq"), F.timestamp_micros(seq).alias("ts"), seq.alias("msg_id"), F.concat(F.lit("t"), t.cast("string")).alias("term"), F.floor(lon * 1e6).cast("long").alias("lon_e6"), F.floor(lat * 1e6).cast("long").alias("lat_e6"))
+    return _located(out)
