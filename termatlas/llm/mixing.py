@@ -7,7 +7,8 @@ a pair; words move from one to the other, at random in the direction that keeps
 expectations, until one of the two probabilities is 0 or 1. The other is carried on. Blocks
 of about FAN documents are folded this way, then FAN residuals of blocks, and so on up
 a tree, so each source's expected words are kept exactly down to one last residual, which
-is rounded to the nearer integer. No block grows with its source.
+is rounded to the nearer integer. Larger documents meet first, so what remains is mostly
+small. No block grows with its source.
 
 Null and empty texts have size 0 and take no words; their copies are drawn one by one.
 A null source is a source of its own, last in order. Rows that share a doc_id are
@@ -53,7 +54,7 @@ def _uniform(*of: Column) -> Column:
     return F.pmod(F.xxhash64(*of), F.lit(1 << 53)) / F.lit(TWO53)
 
 
-_UNIT = "struct<h:bigint,doc_id:bigint,size:bigint,p:double>"
+_UNIT = "struct<order:bigint,h:bigint,doc_id:bigint,size:bigint,p:double>"
 _DONE = "array<struct<doc_id:bigint,size:bigint,up:int>>"
 
 
@@ -64,7 +65,7 @@ def _pair(seed: int):
         return F.struct(unit["doc_id"].alias("doc_id"), unit["size"].alias("size"), up.cast("int").alias("up"))
 
     def at(unit: Column, p: Column) -> Column:
-        return F.struct(unit["h"].alias("h"), unit["doc_id"].alias("doc_id"), unit["size"].alias("size"), p.alias("p"))
+        return F.struct(unit["order"].alias("order"), unit["h"].alias("h"), unit["doc_id"].alias("doc_id"), unit["size"].alias("size"), p.alias("p"))
 
     def step(state: Column, x: Column) -> Column:
         c = state["carry"]
@@ -91,7 +92,7 @@ def _pair(seed: int):
 def pivotal(units: DataFrame, blocks: Column, most: int, seed: int) -> DataFrame:
     """source, doc_id, size, up of units (source, n, h, doc_id, size, p in (0, 1)); most: units of the largest source."""
     start = F.struct(F.lit(None).cast(_UNIT).alias("carry"), F.array().cast(_DONE).alias("done"))
-    level = units.select("source", F.pmod(F.col("h"), blocks).alias("block"), F.struct("h", "doc_id", "size", "p").alias("unit"))
+    level = units.select("source", F.pmod(F.col("h"), blocks).alias("block"), F.struct((-F.col("size")).alias("order"), "h", "doc_id", "size", "p").alias("unit"))
     n, parts = max(1, -(-most // FAN)), []
     while True:
         folded = level.groupBy("source", "block").agg(F.array_sort(F.collect_list("unit")).alias("units"))
