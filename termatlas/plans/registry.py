@@ -833,3 +833,26 @@ _power_law("equal_space", workloads.equal_space)
 _power_law("policies", workloads.policy_table)
 _power_law("ratio_sweep", lambda b: workloads.ratio_sweep(b, ratios=(0.1, 0.2, 0.3, 0.4, 0.5, 0.6, 2 / 3, 0.7, 0.8, 0.9)))
 _power_law("stability", workloads.stability)
+
+
+# --- streams ------------------------------------------------------------------------------------------
+
+
+@query(_replay(10) + "SELECT term, cell, f, err FROM summary")
+def stream_counters(spark, sf):
+    """Counters kept by a stateful stream over the table's files, as its sink holds them at the end: those of the replay in order."""
+    import uuid
+
+    from termatlas.functions.scratch import shared_dir
+    from termatlas.sources import sinks, tables
+
+    key, store = "spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"
+    was = spark.conf.get(key, None)
+    place = f"{shared_dir(spark)}/stream-{uuid.uuid4().hex}"
+    spark.conf.set(key, store)
+    try:
+        occ = adapters.located_events(tables.stream(spark, f"{sf}/events.parque[t]", "events", 100))
+        summaries.start(occ, f"{place}/out", f"{place}/checkpoint", capacity=10, policy="reset", watermark="100 days").awaitTermination()
+    finally:
+        spark.conf.set(key, was) if was else spark.conf.unset(key)
+    return counters.exploded(sinks.latest(spark, f"{place}/out")).select("term", "cell", "f", "err")
