@@ -2,12 +2,13 @@
 
 TEMPLATES holds short wordings of common licences, each with the key phrases that must
 stand in a text for the licence to be named. Their words make a lexicon of bounded size; a
-first pass counts, over all documents, in how many each of its words occurs. A text's RAREST
-lexicon words of highest inverse document frequency are looked up in the postings
-(template, position); a posting and a place in the text vote for a template at an
-offset, the difference of the two positions. Offsets with enough votes are aligned word
-for word, and the key phrases are verified at the aligned place, moved by SLACK at most.
-The share of a template's words that align is the match's score.
+first pass counts, over all documents, in how many each of its words occurs. A template is
+looked up by its own words of highest inverse document frequency, one more than may fail
+to align: wherever LEAST_SHARE of its words stand, one of these stands too, so no place is
+lost, however long the text or many its licences. A looked-up word's place in the text
+gives an offset, the difference of both positions. There the key phrases are verified,
+moved by SLACK at most, and the template is aligned word for word. The share of a
+template's words that align is the match's score.
 
 Null and empty texts have no words, no labels and score 0. Rows with equal keys stay
 separate rows.
@@ -17,7 +18,7 @@ from __future__ import annotations
 
 import math
 import re
-from collections import Counter, defaultdict
+from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -48,7 +49,7 @@ TEMPLATES = (
     ("unlicense", "this is free and unencumbered software released into the public domain", ("released into the public domain",)),
     ("reserved", "copyright all rights reserved", ("all rights reserved",)),
 )
-RAREST, SLACK, LEAST_SHARE = 16, 2, 0.7
+SLACK, LEAST_SHARE = 2, 0.7
 _UPPER = {c: c + 32 for c in range(ord("A"), ord("Z") + 1)}
 
 
@@ -59,8 +60,9 @@ def words(text: str | None) -> list[str]:
 @dataclass
 class Index:
     templates: list[tuple[str, list[str], list[tuple[int, list[str]]]]]
-    postings: dict[str, list[tuple[int, int]]]
-    idf: dict[str, float]
+    needed: list[frozenset[str]]  # by template: the words of its key phrases
+    rare: list[list[int]]  # by template: the places of its rarest words
+    known: frozenset[str]
 
 
 def lexicon(templates=TEMPLATES) -> list[str]:
@@ -69,8 +71,8 @@ def lexicon(templates=TEMPLATES) -> list[str]:
 
 def index(templates=TEMPLATES, counts: dict[str, int] | None = None, total: int = 0) -> Index:
     """counts: documents with each lexicon word, of total."""
-    rows, postings = [], defaultdict(list)
-    for k, (label, text, keys) in enumerate(templates):
+    rows, needed, rare = [], [], []
+    for label, text, keys in templates:
         own = text.split()
         places = []
         for key in keys:
@@ -78,9 +80,12 @@ def index(templates=TEMPLATES, counts: dict[str, int] | None = None, total: int
             at = next(i for i in range(len(own)) if own[i : i + len(part)] == part)
             places.append((at, part))
         rows.append((label, own, places))
-        for i, w in enumerate(own):
-            postings[w].append((k, i))
-    return Index(rows, dict(postings), {w: math.log((1 + total) / (1 + (counts or {}).get(w, 0))) + 1e-9 * len(w) for w in postings})
+        needed.append(frozenset(w for _, part in places for w in part))
+        # of so many places one at least aligns wherever LEAST_SHARE of the words do
+        missing = max(n for n in range(len(own)) if (len(own) - n) / len(own) >= LEAST_SHARE)
+        idf = [math.log((1 + total) / (1 + (counts or {}).get(w, 0))) + 1e-9 * len(w) for w in own]
+        rare.append(sorted(range(len(own)), key=lambda i: (-idf[i], i))[: missing + 1])
+    return Index(rows, needed, rare, frozenset(lexicon(templates)))
 
 
 def document_frequencies(docs: DataFrame, templates=TEMPLATES, text: str = "text") -> tuple[dict[str, int], int]:
@@ -105,26 +110,21 @@ def _consecutive(own: list[str], phrase: list[str], at: dict[str, list[int]]) ->
 
 def match(own: list[str], at: dict[str, list[int]], ix: Index) -> list[tuple[str, float, int]]:
     """(label, score, first word) of each template that stands in the words; at: places of the lexicon's words."""
-    rare = sorted((w for w in at if w in ix.postings), key=lambda w: (-ix.idf[w], w))[:RAREST]
-    votes: Counter = Counter()
-    for w in rare:
-        for k, i in ix.postings[w]:
-            for p in at[w]:
-                votes[k, p - i] += 1
-    best: dict[int, tuple[float, int]] = {}
-    rare = set(rare)
-    for (k, offset), n in votes.items():
-        label, template, keys = ix.templates[k]
-        if n < max(2, math.ceil(0.5 * sum(w in rare for w in template))) or n < min(2, len(template)):
+    found = []
+    for (label, template, keys), needed, rare in zip(ix.templates, ix.needed, ix.rare, strict=True):
+        if not needed <= at.keys():
             continue
-        lo = max(0, -offset)
-        same = sum(a == b for a, b in zip(template[lo:], own[max(0, offset) :], strict=False))
-        share = same / len(template)
-        if share < LEAST_SHARE or share <= best.get(k, (0.0, 0))[0]:
-            continue
-        if all(any(own[s : s + len(part)] == part for s in range(max(0, offset + i - SLACK), offset + i + SLACK + 1)) for i, part in keys):
-            best[k] = (share, max(0, offset))
-    return [(ix.templates[k][0], share, first) for k, (share, first) in sorted(best.items())]
+        best = (0.0, 0)
+        for offset in {p - i for i in rare for p in at.get(template[i], ())}:
+            if not all(any(own[s : s + len(part)] == part for s in range(max(0, offset + i - SLACK), offset + i + SLACK + 1)) for i, part in keys):
+                continue
+            lo = max(0, -offset)
+            share = sum(a == b for a, b in zip(template[lo:], own[max(0, offset) : max(0, offset + len(template))], strict=False)) / len(template)
+            if share >= LEAST_SHARE:
+                best = max(best, (share, -max(0, offset)))
+        if best[0]:
+            found.append((label, best[0], -best[1]))
+    return found
 
 
 def scan(docs: DataFrame, ix: Index, key: str = "doc_id", text: str = "text") -> DataFrame:
@@ -135,7 +135,7 @@ def scan(docs: DataFrame, ix: Index, key: str = "doc_id", text: str = "text") ->
     phrases = [(p.split(), label) for p, label in BASE]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known = set(ix.postings).union(p[0] for p, _ in phrases)
+        known = set(ix.known).union(p[0] for p, _ in phrases)
         for batch in batches:
             n, base, found = [], [], []
             for value in batch.column(1):

@@ -318,6 +318,45 @@ def test_op10_base_and_method(spark):
     assert rows[5].labels == "mit" and rows[5].score == 1.0 and rows[7].labels == ""
 
 
+def test_op10_does_not_depend_on_the_texts_length(spark):
+    every = " / ".join(f"filler {k} {text} end" for k, (_, text, _) in enumerate(licenses.TEMPLATES))
+    bsd = next(text for label, text, _ in licenses.TEMPLATES if label == "bsd")
+    texts = [every, f"{bsd} and it is licensed under the mit license"] + ["plain words of no licence"] * 20
+    rows = {r.doc_id: r for r in licenses.digests(licenses.licenses(frame(spark, texts))).collect()}
+    assert set(rows[0].labels.split(",")) >= {label for label, _, _ in licenses.TEMPLATES}
+    assert rows[1].labels == "bsd,mit" and rows[2].labels == ""
+
+
+def test_op10_finds_what_a_search_of_all_offsets_finds():
+    rng, lexicon = random.Random(11), licenses.lexicon()
+    counts = {w: rng.randrange(50) for w in lexicon}
+    ix, hits = licenses.index(counts=counts, total=50), 0
+    for _ in range(300):
+        own = []
+        for _, text, _ in rng.sample(licenses.TEMPLATES, 4):
+            w = text.split()
+            for _ in range(rng.randrange(4)):
+                w[rng.randrange(len(w))] = rng.choice(lexicon)
+            own += w[rng.randrange(3) :] + rng.choices(lexicon, k=rng.randrange(5))
+        at = collections.defaultdict(list)
+        for i, w in enumerate(own):
+            at[w].append(i)
+        want = []
+        for label, text, keys in licenses.TEMPLATES:
+            t, best = text.split(), 0
+            for offset in range(-len(t), len(own)):
+                near = [" ".join(t).split(key)[0].count(" ") + offset for key in keys]
+                stands = all(any(own[s : s + len(k.split())] == k.split() for s in range(max(0, p - licenses.SLACK), p + licenses.SLACK + 1)) for p, k in zip(near, keys, strict=True))
+                same = sum(0 <= offset + i < len(own) and own[offset + i] == w for i, w in enumerate(t))
+                if stands and same / len(t) >= licenses.LEAST_SHARE:
+                    best = max(best, same / len(t))
+            if best:
+                want.append((label, best))
+        assert [x[:2] for x in licenses.match(own, dict(at), ix)] == want
+        hits += len(want)
+    assert hits > 300
+
+
 def test_op1_recovers_roles(spark, sf):
     c = spark.read.parquet(f"{sf}/conversations.parquet")
     p = chat.transcribe(c)
