@@ -3,12 +3,15 @@
 A state is a role at the first line of a turn or within one. A line's symbol joins its
 speaker marker's class, whether it asks, and its length. The model's tables are smoothed
 counts over all labelled lines outside the holdout. Viterbi runs over whole transcripts in
-blocks of BLOCK positions: each block gives the best score from any state before it to any
+blocks of at most BLOCK rows, cut from all rows in order, so that many rows without a
+position, or at the same one, are many blocks: each block gives the best score from any state before it to any
 state at its end, a small matrix; the matrices of a transcript are chained, and each
 block is then decoded between its two known states. So no task holds a transcript's lines.
 
 A row is a piece of a transcript at a position (null: last), of one or more lines; rows at
-the same position follow each other by text. Null and empty texts are one empty line.
+the same position follow each other by text. Each row has an identity of its own, so equal
+rows stay separate rows, in parse() and in by_row(). A row without an id belongs to no known
+transcript and is one of its own. Null and empty texts are one empty line.
 Markers that name a role are removed from the content; others are part of it.
 """
 
@@ -21,6 +24,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -122,7 +126,7 @@ def fit(pieces: DataFrame) -> Model:
     turns = own.select("id", "seq", (code * 2 + F.when(single, 0).otherwise(1)).alias("last"), (code * 2).alias("first")).distinct()
     after = turns.select("id", (F.col("seq") - 1).alias("seq"), F.col("first").alias("b"))
     between = turns.join(after, ["id", "seq"]).groupBy(F.lit("move").alias("kind"), F.col("last").alias("a"), "b").agg(F.count("*").alias("n"))
-    opening = own.groupBy("id").agg(F.min_by(code * 2, "seq").alias("b")).groupBy(F.lit("start").alias("kind"), F.lit(0).alias("a"), "b").agg(F.count("*").alias("n"))
+    opening = own.where(F.col("id").isNotNull()).groupBy("id").agg(F.min_by(code * 2, "seq").alias("b")).groupBy(F.lit("start").alias("kind"), F.lit(0).alias("a"), "b").agg(F.count("*").alias("n"))
     inside = own.select("text", "role").mapInPandas(count, "kind string, a int, b int, n long")
     start, move, emit = np.zeros(STATES), np.zeros((STATES, STATES)), np.zeros((STATES, SYMBOLS))
     for r in inside.unionByName(between).unionByName(opening).groupBy("kind", "a", "b").agg(F.sum("n").alias("n")).collect():
@@ -133,15 +137,43 @@ def fit(pieces: DataFrame) -> Model:
     return Model.of(start, move, emit)
 
 
-def parse(pieces: DataFrame, model: Model) -> DataFrame:
-    """id, seq, line (within the row), role, begins, content: one row for each line of pieces (id, seq, text)."""
+def dealt_rows(pieces: DataFrame) -> DataFrame:
+    """row, transcript, id, seq, text, block, place: the rows in order of transcript and position, in blocks of at most BLOCK.
+
+    Rows are dealt by ranges of the whole order, ties told apart by row, so neither a long transcript nor a common position stays in one task.
+    Blocks follow the order; a block ends where its transcript or its range ends.
+    """
+    row = F.col("row").cast("string")
+    rows = pieces.select("id", F.col("seq").cast("long").alias("seq"), F.coalesce("text", F.lit("")).alias("text")).withColumn("row", F.monotonically_increasing_id())
+    rows = rows.select("row", F.coalesce(F.concat(F.lit("id "), F.col("id").cast("string")), F.concat(F.lit("row "), row)).alias("transcript"), "id", "seq", "text")
+    order = [F.col("transcript"), F.col("seq").asc_nulls_last(), F.col("text"), F.col("row")]
+    # the rows' numbers are written before they are dealt: a range's bounds are sampled from the same rows
+    spread = materialize(rows, "rows").repartitionByRange(*order).sortWithinPartitions(*order).withColumn("part", F.spark_partition_id())
+
+    def number(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        last, block, place = None, -1, 0
+        for batch in batches:
+            blocks, places = [], []
+            base = batch.column("part")[0].as_py() << 40 if batch.num_rows else 0
+            for t in batch.column("transcript").to_pylist():
+                place += 1
+                if t != last or place == BLOCK:
+                    last, block, place = t, block + 1, 0
+                blocks.append(base + block), places.append(place)
+            kept = [batch.column(n) for n in batch.schema.names if n != "part"]
+            yield pa.RecordBatch.from_arrays([*kept, pa.array(blocks, pa.int64()), pa.array(places, pa.int32())], names=[*(n for n in batch.schema.names if n != "part"), "block", "place"])
+
     kind = pieces.schema["id"].dataType.simpleString()
-    key = ["id", "block"]
-    rows = pieces.select("id", "seq", F.coalesce("text", F.lit("")).alias("text"), F.floor(F.coalesce("seq", F.lit(LAST)) / BLOCK).cast("long").alias("block"))
-    rows = rows.where(F.col("id").isNotNull())
-    first = rows.groupBy("id").agg(F.min("block").alias("opening"))
-    dealt = materialize(rows.join(first, "id").withColumn("initial", F.col("block") == F.col("opening")).drop("opening"), "pieces")
-    order = [*key, "seq", "text"]
+    return materialize(spread.mapInArrow(number, f"row long, transcript string, id {kind}, seq long, text string, block long, place int"), "dealt")
+
+
+def parse(pieces: DataFrame, model: Model) -> DataFrame:
+    """row (its identity), id, seq, line (within the row), role, begins, content: one row for each line of pieces (id, seq, text)."""
+    rows = dealt_rows(pieces)
+    key = ["transcript", "block"]
+    first = rows.groupBy("transcript").agg(F.min("block").alias("opening"))
+    dealt = rows.join(first, "transcript").select(*key, "place", "row", "text", (F.col("block") == F.col("opening")).alias("initial"))
+    order = [*key, "place"]
 
     def seen_of(group: pd.DataFrame) -> np.ndarray:
         return np.array([symbol(x) for t in group.text for x in lines(t)])
@@ -149,7 +181,7 @@ def parse(pieces: DataFrame, model: Model) -> DataFrame:
     def chain(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         def each(group: pd.DataFrame) -> pd.DataFrame:
             m = model.through(seen_of(group), bool(group.initial.iloc[0]))
-            return pd.DataFrame({"id": [group.id.iloc[0]], "block": [group.block.iloc[0]], "m": [m.ravel()]})
+            return pd.DataFrame({"transcript": [group.transcript.iloc[0]], "block": [group.block.iloc[0]], "m": [m.ravel()]})
 
         yield from grouped(frames, key, each)
 
@@ -165,27 +197,28 @@ def parse(pieces: DataFrame, model: Model) -> DataFrame:
             for b in reversed(back):
                 ends.append(int(b[ends[-1]]))
             ends.reverse()
-            return pd.DataFrame({"id": group.id.to_numpy(), "block": group.block.to_numpy(), "before": [-1, *ends[:-1]], "end": ends})
+            return pd.DataFrame({"transcript": group.transcript.to_numpy(), "block": group.block.to_numpy(), "before": [-1, *ends[:-1]], "end": ends})
 
-        yield from grouped(frames, ["id"], each)
+        yield from grouped(frames, ["transcript"], each)
 
     def decode(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         def each(group: pd.DataFrame) -> pd.DataFrame:
             path = model.path(seen_of(group), int(group.before.iloc[0]), int(group.end.iloc[0]))
             out, k = [], 0
-            for i, s, t in zip(group.id, group.seq, group.text, strict=True):
+            for row, t in zip(group.row, group.text, strict=True):
                 for n, x in enumerate(lines(t)):
-                    out.append((i, s, n, ROLES[path[k] // 2], path[k] % 2 == 0, x[marker(x)[1] :]))
+                    out.append((row, n, ROLES[path[k] // 2], path[k] % 2 == 0, x[marker(x)[1] :]))
                     k += 1
-            return pd.DataFrame(out, columns=["id", "seq", "line", "role", "begins", "content"])
+            return pd.DataFrame(out, columns=["row", "line", "role", "begins", "content"])
 
         yield from grouped(frames, key, each)
 
     inside = dealt.repartition(*key).sortWithinPartitions(*order)
-    blocks = materialize(inside.mapInPandas(chain, f"id {kind}, block long, m array<double>"), "chains")
-    ends = blocks.repartition("id").sortWithinPartitions(*key).mapInPandas(walk, f"id {kind}, block long, before int, end int")
+    blocks = materialize(inside.mapInPandas(chain, "transcript string, block long, m array<double>"), "chains")
+    ends = blocks.repartition("transcript").sortWithinPartitions(*key).mapInPandas(walk, "transcript string, block long, before int, end int")
     joined = dealt.join(ends, key).repartition(*key).sortWithinPartitions(*order)
-    return joined.select("id", "block", "seq", "text", "before", "end").mapInPandas(decode, f"id {kind}, seq long, line int, role string, begins boolean, content string")
+    decoded = joined.select(*key, "row", "text", "before", "end").mapInPandas(decode, "row long, line int, role string, begins boolean, content string")
+    return rows.select("row", "id", "seq").join(decoded, "row")
 
 
 def render(role: str | Column, content: str | Column) -> Column:
@@ -195,11 +228,11 @@ def render(role: str | Column, content: str | Column) -> Column:
 
 
 def by_row(parsed: DataFrame) -> DataFrame:
-    """id, seq, recovered (role of the row's first line), begins, n_lines, rendered: canonical form of each row's lines.
+    """id, seq, recovered (role of the row's first line), begins, n_lines, rendered: canonical form of each row's lines, one for each row that was parsed.
 
     Lines of a row that begin further turns, or roles, are rendered as turns of their own.
     """
-    own = parsed.groupBy("id", "seq").agg(F.array_sort(F.collect_list(F.struct("line", "role", "begins", "content"))).alias("x"))
+    own = parsed.groupBy("row", "id", "seq").agg(F.array_sort(F.collect_list(F.struct("line", "role", "begins", "content"))).alias("x"))
     start = F.struct(F.lit("").alias("role"), F.lit("").alias("text"))
 
     def add(s: Column, x: Column) -> Column:

@@ -368,6 +368,26 @@ def test_op1_recovers_roles(spark, sf):
     assert "<|assistant|>\nyes\n<|end|>\n<|user|>\nno?" in chat.by_row(chat.parse(one, chat.fit(p))).where("id = 2").first().rendered
 
 
+def test_op1_keeps_rows_without_keys_and_equal_rows(spark, sf):
+    c = spark.read.parquet(f"{sf}/conversations.parquet")
+    model = chat.fit(chat.transcribe(c))
+    rows = [(None, 1, "User: lost\nline"), (None, None, "Bot: also lost"), (None, 1, None), (1, 0, "User: same\nsecond"), (1, 0, "User: same\nsecond"), (1 << 60, None, "User: b"), (1 << 60, None, "Bot: a\nmore"), (1 << 60, 7, "System: c")]
+    out = chat.by_row(chat.parse(spark.createDataFrame(rows, "id long, seq long, text string"), model)).collect()
+    want = collections.Counter((i, s, (t or "").count("\n") + 1) for i, s, t in rows)
+    assert collections.Counter((r.id, r.seq, r.n_lines) for r in out) == want
+    assert sorted(r.rendered for r in out if r.id == 1) == ["<|user|>\nsame\nsecond\n<|end|>\n"] * 2
+    assert {r.rendered for r in out if r.id == 1 << 60 and r.seq is None} == {"<|user|>\nb\n<|end|>\n", "<|assistant|>\na\nmore\n<|end|>\n"}
+    assert {(r.recovered, r.rendered) for r in out if r.id is None and r.seq is None} == {("assistant", "<|assistant|>\nalso lost\n<|end|>\n")}
+
+
+def test_op1_deals_a_common_position_into_bounded_blocks(spark):
+    hot = spark.range(2000).select(F.lit(5).cast("long").alias("id"), F.when(F.col("id") < 1000, F.lit(None)).otherwise(3).cast("long").alias("seq"), F.lit("User: x").alias("text"))
+    dealt = chat.dealt_rows(hot)
+    assert dealt.count() == 2000 and dealt.groupBy("block").count().agg(F.max("count")).first()[0] <= chat.BLOCK
+    ordered = [(r.seq is None) for r in dealt.orderBy("block", "place").collect()]
+    assert ordered == sorted(ordered)
+
+
 def test_blocks_of_a_transcript_join_exactly():
     rng = np.random.default_rng(2)
     model = chat.Model.of(rng.random(6) * 9, rng.random((6, 6)) * 9, rng.random((6, chat.SYMBOLS)) * 9)
