@@ -20,8 +20,8 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The document with the smallest id of each group; rows without an id stay."""
-    gone = near_dup.near_duplicates(docs, percent=85).where("doc_id is not null and not kept").select("doc_id").distinct()
+    """The document with the smallest id of each group of a similarity of 0.8 or more; rows without an id stay."""
+    gone = near_dup.near_duplicates(docs, percent=80).where("doc_id is not null and not kept").select("doc_id").distinct()
     return docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
 
 

@@ -4,7 +4,8 @@ A document's set holds the distinct shingles of SHINGLE consecutive words; a sho
 is one shingle, a text without words is the empty set and linked with nothing.
 
 1. One pass over the texts gives each document its set's size, a 128-bit fingerprint of
-   the set, HASHES universal-hash minima and the keys of BANDS bands of ROWS minima.
+   the set, HASHES universal-hash minima and the keys of bands of them: 24 bands of 5
+   minima for a threshold of 85 % or more, 30 bands of 4 from 80 %.
 2. Documents with equal sets form a class, represented by its smallest id; only classes
    go on, so groups of copies never meet pair by pair.
 3. In each band bucket the class with the smallest id is the centre; every other class
@@ -16,8 +17,8 @@ is one shingle, a text without words is the empty set and linked with nothing.
    on whole texts. A block gives back links, not pairs; no link is lost, and members
    of one component are never compared with each other.
 
-At a similarity of 0.85 a pair shares no bucket with probability (1 - 0.85**5)**24 < 1e-6,
-and the signature check drops it with probability < 1e-6.
+At a similarity of 0.85 a pair shares no bucket with probability (1 - 0.85**5)**24 < 1e-6, at
+0.8 with (1 - 0.8**4)**30 < 2e-7; the signature check drops it with probability < 1e-6.
 
 Null ids take no part in linking; their rows come back with their class's id, or null.
 Rows that share an id count as one document. A null text has the empty set.
@@ -39,8 +40,14 @@ from termatlas.functions.scratch import materialize
 from termatlas.llm.components import connected_components
 from termatlas.llm.tables import bounded_batches
 
-SHINGLE, ROWS, BANDS, SEED, BLOCK = 5, 5, 24, 20240229, 256
-HASHES = ROWS * BANDS
+SHINGLE, HASHES, SEED, BLOCK = 5, 120, 20240229, 256
+
+
+def rows_of_band(percent: int) -> int:
+    """Minima of a band; of the same HASHES, a lower threshold has more and shorter bands."""
+    if percent < 80:
+        raise ValueError("bands are made for thresholds of 80 % or more")
+    return 5 if percent >= 85 else 4
 
 
 class _Hashes(dict):
@@ -106,8 +113,9 @@ def least_agreement(percent: int, hashes: int = HASHES) -> int:
     return max(1, int(hashes * p - 5 * (hashes * p * (1 - p)) ** 0.5))
 
 
-def signatures(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
+def signatures(docs: DataFrame, key: str = "doc_id", text: str = "text", percent: int = 85) -> DataFrame:
     """doc, n, fp (null for the empty set), sig (low bytes of the minima), bands (bucket keys)."""
+    band = rows_of_band(percent)
     schema = "doc long, n long, fp binary, sig binary, bands array<long>"
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -123,7 +131,7 @@ def signatures(docs: DataFrame, key: str = "doc_id", text: str = "text") -> Data
                 low = hasher(s)
                 fp.append(hashlib.blake2b(s.tobytes(), digest_size=16).digest())
                 sig.append(low.astype(np.uint8).tobytes())
-                rows = low.reshape(BANDS, ROWS)
+                rows = low.reshape(-1, band)
                 bands.append([xxhash.xxh3_64_intdigest(r.tobytes(), i) - (1 << 63) for i, r in enumerate(rows)])
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), pa.array(fp, pa.binary()), pa.array(sig, pa.binary()), pa.array(bands, pa.list_(pa.int64()))], names=["doc", "n", "fp", "sig", "bands"])
 
@@ -286,7 +294,7 @@ def _block_links(rows: DataFrame, texts: DataFrame, percent: int) -> DataFrame:
 
 def near_duplicates(docs: DataFrame, percent: int = 85, key: str = "doc_id", text: str = "text") -> DataFrame:
     """doc_id, n_shingles, component_id, kept for each row; links at 100 * intersection >= percent * union, percent >= 80."""
-    sigs = materialize(signatures(docs, key, text), "signatures")
+    sigs = materialize(signatures(docs, key, text, percent), "signatures")
     texts = docs.where(F.col(key).isNotNull() & F.col(text).isNotNull()).select(F.col(key).cast("long").alias("doc"), text).toDF("doc", "text")
     classes = materialize(sigs.where("doc is not null and n > 0").groupBy("fp").agg(F.min("doc").alias("rep")), "classes")
     c = classes.select(F.col("fp").alias("class_fp"), "rep")

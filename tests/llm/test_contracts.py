@@ -401,3 +401,17 @@ def test_blocks_of_a_transcript_join_exactly():
     last = int(at.argmax())
     assert last == whole[-1]
     assert (model.path(parts[2], int(whole[13]), int(whole[-1])) == whole[14:]).all()
+
+
+def test_pipeline_drops_near_copies_from_080(spark, sf):
+    import corpus_pipeline
+
+    rows = {}
+    for i in range(40):
+        for k, n in enumerate((55, 49, 48)):  # shared shingles over all: 46 / 56, 40 / 50, 39 / 49
+            own = [f"w{i}x{n}x{j}" for j in range(n)]
+            rows[1000 * k + 2 * i] = " ".join(own)
+            rows[1000 * k + 2 * i + 1] = " ".join([*own[:24], "other", *own[25:]])
+    docs = spark.createDataFrame([(i, t, "en", "src0", len(t)) for i, t in rows.items()], DOCS)
+    kept = {r.doc_id for r in corpus_pipeline.drop_near_duplicates(spark, docs, sf).collect()}
+    assert kept == {i for i in rows if i % 2 == 0 or i >= 2000}
