@@ -46,7 +46,8 @@ def op7_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op8_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return near_dup.near_duplicates(documents(spark, sf_dir, "doc_id", "text"), percent=85)
+    found = near_dup.near_duplicates(documents(spark, sf_dir, "doc_id", "text"), percent=85)
+    return found.select("doc_id", "n_shingles", "component_id", "kept")
 
 
 def op9_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -67,6 +68,53 @@ WITH v AS (
 SELECT query_id, rank::INTEGER AS rank, vec_id, score FROM ranked WHERE rank <= 20
 """
 
+def op5_sql(risk: float = 0.01, delta: float = 0.1) -> str:
+    """The measures, the joint levels and their binomial certificates, from the rules' table."""
+    levels, names = [], list(quality.RULES)
+    for rule, (over, under, high, cutoffs) in quality.RULES.items():
+        row = ", ".join(f"{c if high else -c!r}::DOUBLE" for c in cutoffs)
+        value = f"{'' if high else '-'}(CASE WHEN {under} > 0 THEN {over}::DOUBLE / {under} ELSE 0 END)"
+        levels.append(f"(SELECT CASE WHEN n < {len(cutoffs)} THEN n ELSE {quality.LEVELS} END FROM (SELECT len(list_filter([{row}], lambda c: {value} <= c)) AS n)) AS l_{rule}")
+    failed = ", ".join(f"CASE WHEN l_{r} <= c.level THEN '{r}' END" for r in names)
+    return rf"""
+WITH t AS (
+  SELECT doc_id, lang, coalesce(text, '') AS t FROM documents
+), w AS (
+  SELECT *, regexp_extract_all(t, '[^\x20\x09-\x0D]+') AS w, list_filter(string_split(t, chr(10)), lambda x: regexp_matches(x, '[^\x20\x09-\x0D]')) AS l FROM t
+), windows AS (
+  SELECT doc_id, i, array_to_string(w[i:i + 2], ' ') AS g FROM (SELECT doc_id, w, unnest(range(1, len(w) - 1)) AS i FROM w WHERE len(w) > 2)
+), again AS (
+  SELECT doc_id, i FROM (SELECT doc_id, i, count(*) OVER (PARTITION BY doc_id, g) AS n FROM windows) WHERE n > 1
+), repeats AS (
+  SELECT doc_id, count(DISTINCT spot) AS n FROM (SELECT doc_id, unnest([i, i + 1, i + 2]) AS spot FROM again) GROUP BY doc_id
+), m AS (
+  SELECT w.doc_id, lang, len(w)::BIGINT AS n_words, length(regexp_replace(t, '[\x20\x09-\x0D]', '', 'g'))::BIGINT AS word_chars,
+    length(regexp_replace(t, '[^#*$%&|<>]', '', 'g'))::BIGINT AS n_symbols, length(regexp_replace(t, '[^!]', '', 'g'))::BIGINT AS n_marks,
+    length(regexp_replace(t, '[^A-Z]', '', 'g'))::BIGINT AS n_capitals, len(l)::BIGINT AS n_lines, (len(l) - len(list_distinct(l)))::BIGINT AS n_dup_lines,
+    coalesce(r.n, 0)::BIGINT AS n_repeat_words
+  FROM w LEFT JOIN repeats r USING (doc_id)
+), measured AS (
+  SELECT *, n_words < 50 OR 100 * n_repeat_words > 50 * n_words AS base_failed, {", ".join(levels)} FROM m
+), leveled AS (
+  SELECT *, least({", ".join(f"l_{r}" for r in names)}) AS level FROM measured
+), good AS (
+  SELECT doc_id FROM labels WHERE doc_id IS NOT NULL GROUP BY doc_id HAVING avg(quality) >= 0.5
+), held AS (
+  SELECT lang, level FROM leveled JOIN good USING (doc_id) WHERE NOT base_failed
+), trials AS (
+  SELECT lang, x.n AS level, count(*) AS n, count(*) FILTER (level <= x.n) AS k FROM held, range(0, {quality.LEVELS}) x(n) GROUP BY lang, x.n
+), tested AS (
+  SELECT lang, level, list_sum(list_transform(range(0, k + 1), lambda i: exp(lgamma(n + 1) - lgamma(i + 1) - lgamma(n - i + 1) + i * ln({risk}::DOUBLE) + (n - i) * ln(1 - {risk}::DOUBLE))))
+    <= {delta}::DOUBLE / (SELECT count(*) FROM (SELECT DISTINCT lang FROM held)) AS fits FROM trials
+), certified AS (
+  SELECT lang, max(level) AS level FROM (SELECT *, bool_and(fits) OVER (PARTITION BY lang ORDER BY level) AS ok FROM tested) WHERE ok GROUP BY lang
+)
+SELECT d.doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed,
+  NOT base_failed AND coalesce(d.level > c.level, true) AS kept, coalesce(array_to_string([{failed}], ','), '') AS failed_rules
+FROM leveled d LEFT JOIN certified c ON d.lang IS NOT DISTINCT FROM c.lang
+"""
+
+
 OP8_SQL = r"""
 WITH RECURSIVE words AS (
   SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS w FROM documents
@@ -110,4 +158,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op7_topk": OP7_SQL, "op8_minhash": OP8_SQL}
+    return {"op5_quality": op5_sql(), "op7_topk": OP7_SQL, "op8_minhash": OP8_SQL}
