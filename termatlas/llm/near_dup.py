@@ -21,7 +21,8 @@ At a similarity of 0.85 a pair shares no bucket with probability (1 - 0.85**5)**
 0.8 with (1 - 0.8**4)**30 < 2e-7; the signature check drops it with probability < 1e-6.
 
 Null ids take no part in linking; their rows come back with their class's id, or null.
-Rows that share an id count as one document. A null text has the empty set.
+Rows that share an id are documents of their own, with their own sets, linked under that id;
+`stays` names one row of each component, also where rows are repeated. A null text has the empty set.
 """
 
 from __future__ import annotations
@@ -114,15 +115,15 @@ def least_agreement(percent: int, hashes: int = HASHES) -> int:
 
 
 def signatures(docs: DataFrame, key: str = "doc_id", text: str = "text", percent: int = 85) -> DataFrame:
-    """doc, n, fp (null for the empty set), sig (low bytes of the minima), bands (bucket keys)."""
+    """doc, t (a hash of the text), n, fp (null for the empty set), sig (low bytes of the minima), bands (bucket keys)."""
     band = rows_of_band(percent)
-    schema = "doc long, n long, fp binary, sig binary, bands array<long>"
+    schema = "doc long, t long, n long, fp binary, sig binary, bands array<long>"
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         shingler, hasher = Shingler(), MinHasher()
         for batch in batches:
             n, fp, sig, bands = [], [], [], []
-            for value in batch.column(1):
+            for value in batch.column(2):
                 s = shingler(value.as_py())
                 n.append(len(s))
                 if not len(s):
@@ -133,9 +134,11 @@ def signatures(docs: DataFrame, key: str = "doc_id", text: str = "text", percent
                 sig.append(low.astype(np.uint8).tobytes())
                 rows = low.reshape(-1, band)
                 bands.append([xxhash.xxh3_64_intdigest(r.tobytes(), i) - (1 << 63) for i, r in enumerate(rows)])
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), pa.array(fp, pa.binary()), pa.array(sig, pa.binary()), pa.array(bands, pa.list_(pa.int64()))], names=["doc", "n", "fp", "sig", "bands"])
+            made = [pa.array(n, pa.int64()), pa.array(fp, pa.binary()), pa.array(sig, pa.binary()), pa.array(bands, pa.list_(pa.int64()))]
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), *made], names=["doc", "t", "n", "fp", "sig", "bands"])
 
-    return bounded_batches(docs).select(F.col(key).cast("long").alias("doc"), F.col(text).alias("text")).mapInArrow(run, schema)
+    given = bounded_batches(docs).select(F.col(key).cast("long").alias("doc"), F.xxhash64(text).alias("t"), F.col(text).alias("text"))
+    return given.mapInArrow(run, schema).withColumn("row", F.monotonically_increasing_id())
 
 
 def _agreeing(least: int):
@@ -293,12 +296,17 @@ def _block_links(rows: DataFrame, texts: DataFrame, percent: int) -> DataFrame:
 
 
 def near_duplicates(docs: DataFrame, percent: int = 85, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """doc_id, n_shingles, component_id, kept for each row; links at 100 * intersection >= percent * union, percent >= 80."""
+    """doc_id, n_shingles, component_id, kept (its id names its component), stays, text_hash for each row.
+
+    Links hold at 100 * intersection >= percent * union, percent >= 80. Of the rows with an id, one of each component stays;
+    so do rows with the empty set, or without an id.
+    """
     sigs = materialize(signatures(docs, key, text, percent), "signatures")
     texts = docs.where(F.col(key).isNotNull() & F.col(text).isNotNull()).select(F.col(key).cast("long").alias("doc"), text).toDF("doc", "text")
-    classes = materialize(sigs.where("doc is not null and n > 0").groupBy("fp").agg(F.min("doc").alias("rep")), "classes")
-    c = classes.select(F.col("fp").alias("class_fp"), "rep")
-    reps = materialize(sigs.where("n > 0").join(c, (F.col("doc") == F.col("rep")) & (F.col("fp") == F.col("class_fp"))).select("doc", "n", "sig", "bands"), "representatives")
+    least = sigs.where("doc is not null and n > 0").groupBy("fp").agg(F.min(F.struct("doc", "row")).alias("least"))
+    classes = materialize(least.select("fp", F.col("least.doc").alias("rep"), F.col("least.row").alias("rep_row")), "classes")
+    c = classes.select("rep_row")
+    reps = materialize(sigs.join(c, F.col("row") == F.col("rep_row")).select(F.col("doc"), "n", "sig", "bands", "fp"), "representatives")
     bands = reps.select(F.col("doc").alias("rep"), "n", F.explode("bands").alias("bucket"))
     shared = bands.groupBy("bucket").agg(F.min(F.struct("rep", "n")).alias("centre"), F.max("rep").alias("last")).where("centre.rep < last").select("bucket", "centre")
     buckets = materialize(bands.join(shared, "bucket").select("bucket", "rep", "n", "centre"), "buckets")
@@ -311,6 +319,25 @@ def near_duplicates(docs: DataFrame, percent: int = 85, key: str = "doc_id", tex
     if not rest.isEmpty():
         links = links.unionByName(materialize(_block_links(rest, texts, percent), "links"))
         found = connected_components(links)
-    named = classes.join(found.withColumnRenamed("node", "rep"), "rep", "left").select("fp", F.coalesce("component", "rep").alias("component"))
-    out = sigs.join(named, "fp", "left").select(F.col("doc").alias("doc_id"), F.col("n").alias("n_shingles"), F.coalesce("component", "doc").alias("component_id"))
-    return out.withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(False)))
+    named = classes.join(found.withColumnRenamed("node", "rep"), "rep", "left").select("fp", "rep_row", F.coalesce("component", "rep").alias("component"))
+    out = sigs.join(named, "fp", "left").select(F.col("doc").alias("doc_id"), F.col("n").alias("n_shingles"), F.coalesce("component", "doc").alias("component_id"), "row", "rep_row", F.col("t").alias("text_hash"))
+    out = out.withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(False)))
+    stays = F.col("doc_id").isNull() | F.col("rep_row").isNull() | (F.col("kept") & (F.col("row") == F.col("rep_row")))
+    return out.withColumn("stays", stays).drop("row", "rep_row")
+
+
+def drop_near_duplicates(docs: DataFrame, percent: int = 80, key: str = "doc_id", text: str = "text") -> DataFrame:
+    """The rows of docs, with all their columns, that stay."""
+    judged = materialize(near_duplicates(docs, percent, key, text).where("doc_id is not null").select(F.col("doc_id").alias("_nd_id"), F.col("text_hash").alias("_nd_hash"), "stays"), "judged")
+    by = judged.groupBy("_nd_id", "_nd_hash").agg(F.sum(F.col("stays").cast("int")).alias("_nd_stay"), F.count("*").alias("_nd_n")).where("_nd_stay < _nd_n")
+    by = materialize(by.select("_nd_id", "_nd_hash", "_nd_stay"), "gone")
+    same = (F.col(f"`{key}`").cast("long") == F.col("_nd_id")) & (F.xxhash64(text) == F.col("_nd_hash"))
+    out = docs.join(by.drop("_nd_stay"), same, "left_anti").select(*docs.columns)
+    repeated = by.where("_nd_stay > 0")
+    if repeated.isEmpty():
+        return out
+    # of repeated rows one stays, the least in its other columns
+    row = F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("_nd_row")
+    one = docs.select(row, F.col(f"`{key}`").cast("long").alias("_nd_i"), F.xxhash64(text).alias("_nd_h"))
+    one = one.join(repeated, (F.col("_nd_i") == F.col("_nd_id")) & (F.col("_nd_h") == F.col("_nd_hash")), "left_semi")
+    return out.unionByName(one.groupBy("_nd_i", "_nd_h").agg(F.min("_nd_row").alias("_nd_row")).select("_nd_row.*"))
