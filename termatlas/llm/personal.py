@@ -6,7 +6,8 @@ of MIN_LENGTH or more characters with a digit (or an @) that no seed overlaps. B
 with the lexical patterns of their place: the word on the left, the two on the left, and
 the words on both sides.
 
-Spark then scores the graph of patterns and instances in ROUNDS rounds: a pattern's
+Spark then scores the graph of patterns and instances in rounds, until one accepts nothing
+new (ROUNDS at most): a pattern's
 confidence for a kind is the weight of its instances of that kind over that of all its
 instances (with PRIOR doubtful ones added); an instance's is the noisy-or of its
 patterns' that have LEAST_SEEDS or more different instances of confidence 0.5 and over.
@@ -34,14 +35,14 @@ from termatlas.llm.spans import SPAN, SPAN_SQL, as_rows, ordered
 from termatlas.llm.tables import bounded_batches
 
 KINDS, CONTEXT = ("email", "ip", "card", "phone"), "context"
-MIN_LENGTH, ROUNDS, PRIOR, LEAST_SEEDS, ACCEPT = 5, 3, 1.0, 3, 0.8
+MIN_LENGTH, ROUNDS, PRIOR, LEAST_SEEDS, ACCEPT = 5, 20, 1.0, 3, 0.8
 # fixed values: the patterns of the base kinds
 LOCAL = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789._%+-")
 DOMAIN = re.compile(r"[A-Za-z0-9-]++(?:\.[A-Za-z0-9-]++)++")
 IP = re.compile(r"(?<![0-9])[0-9]++(?:\.[0-9]++){3}")
 CARD = re.compile(r"[0-9](?:[\x20-]?[0-9])++")
 PHONE = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
-DIGITS, TOKEN, WORDS = re.compile(r"[0-9]"), re.compile(r"[^\s]*[0-9@][^\s]*"), re.compile(r"[^\W\d_]+")
+DIGITS, MARKED, TOKEN, WORDS = re.compile(r"[0-9]"), re.compile(r"[0-9@]"), re.compile(r"\S+"), re.compile(r"[^\W\d_]+")
 EDGE = "\"'`.,;:!?()[]{}<>*#$%&|=+"
 
 
@@ -89,7 +90,7 @@ def candidates(text: str, base: list[tuple[str, int, int]]) -> Iterator[tuple[in
             a += 1
         while a < b and text[b - 1] in EDGE:
             b -= 1
-        if b - a < MIN_LENGTH:
+        if b - a < MIN_LENGTH or not MARKED.search(text, a, b):
             continue
         while k < len(base) and base[k][1] < b:
             ends = max(ends, base[k][2])
@@ -135,7 +136,7 @@ def bootstrap(found: DataFrame, rounds: int = ROUNDS) -> tuple[DataFrame, DataFr
     edges = materialize(seen.groupBy("pattern", "instance", "kind").agg(F.count("*").alias("n")), "graph")
     seeds = edges.where("kind <> ''").select("instance", "kind").distinct().withColumn("confidence", F.lit(1.0))
     # only what stands in a pattern of some seed can ever be reached in a round
-    known, scored = seeds, None
+    known, scored, before = seeds, None, None
     total = edges.groupBy("pattern").agg(F.sum("n").alias("total"))
     for _ in range(rounds):
         weight = edges.drop("kind").join(known, "instance").groupBy("pattern", "kind").agg(F.sum(F.col("n") * F.col("confidence")).alias("w"), F.count_distinct(F.when(F.col("confidence") >= 0.5, F.col("instance"))).alias("support"))
@@ -145,7 +146,10 @@ def bootstrap(found: DataFrame, rounds: int = ROUNDS) -> tuple[DataFrame, DataFr
         reached = edges.where("kind = ''").select("instance", "pattern").join(scored, "pattern").groupBy("instance", "kind").agg((-F.expm1(doubt)).alias("confidence"))
         best = reached.groupBy("instance").agg(F.max(F.struct("confidence", "kind")).alias("b")).select("instance", "b.kind", "b.confidence").where(F.col("confidence") >= ACCEPT)
         best = materialize(best.join(seeds.select("instance"), "instance", "left_anti"), "instances")
-        known = seeds.unionByName(best)
+        now = tuple(best.agg(F.count("*"), F.bit_xor(F.xxhash64("instance", "kind"))).first())
+        if now == before or not now[0]:
+            break
+        known, before = seeds.unionByName(best), now
     return best, scored
 
 
