@@ -6,12 +6,13 @@ models: one of random strings, one of ordinary words and identifiers. A token is
 secret (kind `random`) when the log-likelihood ratio per transition passes a cutoff.
 
 Both models are trained from labelled samples: the positives are what the fixed patterns
-find in at most MAX_SAMPLE documents (those with the smallest hash of their id) and
-RANDOM strings over common key alphabets from a seeded generator; the negatives
-are those documents' other words and compounds of them, and of COMMON words of code, written as
-identifiers. A fifth of both samples is held out and sets the cutoff: halfway from the mean
+find in at most MAX_SAMPLE documents (those with the smallest hash of id and text; equal rows
+count once) and RANDOM strings over common key alphabets from a seeded generator; the negatives
+are those documents' other words (the first LONGEST characters of each; MAX_TOKENS distinct ones by
+hash) and compounds of them, and of COMMON words of code, written as identifiers. A fifth of both samples is held out and sets the cutoff: halfway from the mean
 that all but FALSE_RATE of the ordinary ones keep below to the one that all but a hundredth
-of the random ones pass. Scanning is one pass over whole texts.
+of the random ones pass. Scanning is one pass over whole
+texts; where a token touches a fixed pattern's span, its parts outside are scored.
 
 A null text counts as empty. Rows with equal keys stay separate rows; a null key is kept.
 """
@@ -28,11 +29,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from termatlas.llm.spans import SPAN, SPAN_SQL, as_rows, free, ordered
+from termatlas.llm.spans import SPAN, SPAN_SQL, as_rows, ordered
 from termatlas.llm.tables import bounded_batches
 
 KINDS, RANDOM_KIND = ("assign", "access", "hex"), "random"
-MAX_SAMPLE, RANDOM, FALSE_RATE, LEAST = 4_000, 20_000, 1e-4, 20
+MAX_SAMPLE, MAX_TOKENS, LONGEST, RANDOM, FALSE_RATE, LEAST = 4_000, 200_000, 200, 20_000, 1e-4, 20
 # fixed values: the patterns of the base kinds
 ASSIGN = re.compile(r"""(?ai)(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""")
 ACCESS = re.compile(r"AKIA[A-Z0-9]+")
@@ -117,7 +118,9 @@ def identifiers(words: list[str], seed: int = 6) -> list[str]:
 
 def fit(docs: DataFrame, key: str = "doc_id", text: str = "text", most: int = MAX_SAMPLE) -> Markov:
     """The models of at most `most` documents' tokens."""
-    pick = docs.where(F.col(key).isNotNull()).select(key).orderBy(F.xxhash64(key), key).limit(most).distinct()
+    h = F.xxhash64(key, text)
+    cut = docs.select(h.alias("h")).orderBy("h").limit(most).agg(F.max("h")).first()[0]
+    sample = docs.where(h <= F.lit(cut if cut is not None else 0)).select(key, text).distinct()
 
     def tokens(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -133,11 +136,11 @@ def fit(docs: DataFrame, key: str = "doc_id", text: str = "text", most: int = MA
                 for w in WORD.findall(rest):
                     # words repeat a lot; a document counts one once
                     if w not in seen:
-                        seen.add(w), words.append(w[:200]), labels.append(0)
+                        seen.add(w), words.append(w[:LONGEST]), labels.append(0)
             yield pa.RecordBatch.from_arrays([pa.array(words, pa.string()), pa.array(labels, pa.int32())], names=["token", "y"])
 
-    got = docs.join(F.broadcast(pick), key).select(text).mapInArrow(tokens, "token string, y int")
-    got = got.groupBy("token").agg(F.max("y").alias("y")).orderBy(F.xxhash64("token"), "token").limit(200_000).toPandas()
+    got = sample.select(text).mapInArrow(tokens, "token string, y int")
+    got = got.groupBy("token").agg(F.max("y").alias("y")).orderBy(F.xxhash64("token"), "token").limit(MAX_TOKENS).toPandas()
     bad = list(got.token[got.y == 1]) + random_strings(RANDOM)
     plain = list(got.token[got.y == 0])
     ordinary = plain + identifiers([w for w in plain if w.isalpha()]) + identifiers(COMMON * 40)
@@ -165,7 +168,7 @@ def _pieces(text: str, spans: list[tuple[str, int, int]]) -> Iterator[tuple[int,
 
 
 def all_spans(text: str, base: list[tuple[str, int, int]], model: Markov) -> list[tuple[str, int, int]]:
-    more = [(RANDOM_KIND, m.start(), m.end()) for m in TOKEN.finditer(text) if free(m.start(), m.end(), base) and model.secret(m.group())]
+    more = [(RANDOM_KIND, m.start(), m.end()) for taken, a, b in _pieces(text, base) if not taken for m in TOKEN.finditer(text, a, b) if model.secret(m.group())]
     return ordered(base + more, (*KINDS, RANDOM_KIND)) if more else base
 
 

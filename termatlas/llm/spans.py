@@ -27,7 +27,3 @@ def digest(spans: list[tuple[str, int, int]]) -> str:
 def as_rows(spans: list[tuple[str, int, int]]) -> list[dict]:
     return [{"kind": k, "start": a, "end": b} for k, a, b in spans]
 
-
-def free(start: int, end: int, taken: list[tuple[str, int, int]]) -> bool:
-    """Whether start:end overlaps none of the spans."""
-    return all(end <= a or start >= b for _, a, b in taken)
