@@ -6,8 +6,9 @@ a visible cause. Only document labels are used to fit; the fitted sentence model
 locates the offending sentences.
 
 Fitting takes at most MAX_LABELLED labelled documents (those with the smallest hash of
-their id), a bound that makes their join a broadcast and their texts a bounded table; words come
-from counts over all of these. Scoring is one pass over whole texts.
+their id) and, of these in that order, at most MAX_CHARS characters of whole texts: bounds that make
+their join a broadcast and their sentences fit the driver. Words come from counts over all
+of these. Rows that share an id are fitted by the least of their texts. Scoring is one pass over whole texts.
 
 A null or empty text has the leak's score and no sentences. Documents with several labels
 count as toxic if any says so; labels that are null, or of unknown documents, are left out.
@@ -24,13 +25,13 @@ from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from termatlas.functions.scratch import materialize
 from termatlas.llm.tables import bounded_batches
 
-MAX_LABELLED, MAX_WORDS, LEAST_DOCS, LEAST_GAIN = 20_000, 2_048, 3, 10.0
+MAX_LABELLED, MAX_CHARS, MAX_WORDS, LEAST_DOCS, LEAST_GAIN = 20_000, 48_000_000, 2_048, 3, 10.0
 PREFIXES = range(4, 10)
 SENTENCE, WORDS = re.compile(r"[^.!?\n]+[.!?]*"), re.compile(r"[^\W\d_]+").findall
 
@@ -87,7 +88,11 @@ def labelled(docs: DataFrame, labels: DataFrame, label: str, most: int = MAX_LAB
     """text, y of at most `most` labelled documents outside the holdout."""
     y = labels.where(F.col("doc_id").isNotNull() & F.col(label).isNotNull() & ~held_out()).groupBy("doc_id").agg(F.max(label).cast("int").alias("y"))
     y = y.orderBy(F.xxhash64("doc_id"), "doc_id").limit(most)
-    return docs.select("doc_id", "text").join(F.broadcast(y), "doc_id").select("text", "y")
+    rows = docs.select("doc_id", "text").join(F.broadcast(y), "doc_id").groupBy("doc_id").agg(F.min("text").alias("text"), F.first("y").alias("y"))
+    rows = materialize(rows.withColumn("n", F.coalesce(F.length("text"), F.lit(0))), "labelled")
+    so_far = F.sum("n").over(Window.orderBy(F.xxhash64("doc_id"), "doc_id"))
+    kept = rows.select("doc_id", so_far.alias("so_far")).where(F.col("so_far") <= MAX_CHARS).select("doc_id")
+    return rows.join(F.broadcast(kept), "doc_id").select("text", "y")
 
 
 def _vocabulary(rows: DataFrame) -> list[str]:
@@ -117,7 +122,7 @@ def _vocabulary(rows: DataFrame) -> list[str]:
 
 
 def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", most: int = MAX_LABELLED, rounds: int = 400) -> Model:
-    rows = materialize(labelled(docs, labels, label, most), "labelled")
+    rows = materialize(labelled(docs, labels, label, most), "fitted")
     words = _vocabulary(rows)
     if not words:
         return Model()
@@ -126,18 +131,20 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", most: int = MA
     def bags(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             found = [_bag(t.as_py(), known) for t in batch.column(0)]
-            yield pa.RecordBatch.from_arrays([batch.column(1), pa.array([b for b, _ in found], pa.list_(pa.list_(pa.int32()))), pa.array([e for _, e in found], pa.int64())], names=["y", "bag", "empty"])
+            sizes = [np.array([len(s) for s in b], np.int32).tobytes() for b, _ in found]
+            own = [np.array([w for s in b for w in s], np.int16).tobytes() for b, _ in found]
+            yield pa.RecordBatch.from_arrays([batch.column(1), pa.array(sizes, pa.binary()), pa.array(own, pa.binary()), pa.array([e for _, e in found], pa.int64())], names=["y", "sizes", "words", "empty"])
 
-    got = rows.mapInArrow(bags, "y int, bag array<array<int>>, empty long").toPandas()
-    return _descend(words, got.y.to_numpy(float), list(got.bag), got["empty"].to_numpy(float), rounds)
+    got = rows.mapInArrow(bags, "y int, sizes binary, words binary, empty long").toPandas()
+    return _descend(words, got.y.to_numpy(float), list(got.sizes), b"".join(got.words), got["empty"].to_numpy(float), rounds)
 
 
-def _descend(words: list[str], y: np.ndarray, bags: list, empty: np.ndarray, rounds: int) -> Model:
-    """Adam on the penalised noisy-or likelihood."""
-    doc = np.array([d for d, bag in enumerate(bags) for _ in bag], np.int64)
-    length = np.array([len(s) for bag in bags for s in bag], np.int64)
-    sentence = np.repeat(np.arange(len(length)), length)
-    word = np.array([w for bag in bags for s in bag for w in s], np.int64)
+def _descend(words: list[str], y: np.ndarray, sizes: list[bytes], own: bytes, empty: np.ndarray, rounds: int) -> Model:
+    """Adam on the penalised noisy-or likelihood; sizes of each document's sentences, and all their words, are packed numbers."""
+    doc = np.repeat(np.arange(len(sizes), dtype=np.int32), [len(s) // 4 for s in sizes])
+    length = np.frombuffer(b"".join(sizes), np.int32)
+    sentence = np.repeat(np.arange(len(length), dtype=np.int32), length)
+    word = np.frombuffer(own, np.int16)
     x = np.concatenate([np.full(len(words), 0.5), [-6.0, np.log(max(y.mean(), 1e-3) / 4)]])  # weights, bias, logit of the leak
     m = v = np.zeros_like(x)
     squash = lambda z: 1 / (1 + np.exp(-np.clip(z, -40, 40)))
