@@ -4,8 +4,8 @@ Vectors become integers, floor(64 x). With M at least every vector's norm, x get
 coordinate, the root of M**2 - |x|**2, and a query gets 0: then the squared distance is
 |q|**2 + M**2 - 2 q.x, a metric whose nearest rows are those of the largest inner product.
 
-Rows are dealt by their nearest of a bounded sample of PIVOTS rows, and a hash within a
-pivot with many rows, into shards of about SHARD rows. A shard is a tree of pages of at most
+Rows are dealt by their nearest of a bounded sample of PIVOTS rows, and by number within a
+pivot with many rows (whatever their ids and values), into shards of about SHARD rows. A shard is a tree of pages of at most
 PAGE entries: leaves keep rows with their distance to the page's routing object, inner
 pages keep routing objects with covering radii and the distance to their parent. It is
 packed as one binary value. Queries travel in blocks of BLOCK; each block meets each
@@ -32,7 +32,7 @@ from pyspark.sql import functions as F
 
 from termatlas.functions.scratch import materialize
 
-SCALE, PIVOTS, SHARD, PAGE, BLOCK = 64, 256, 8192, 256, 1024
+SCALE, PIVOTS, SHARD, PAGE, BLOCK = 64, 256, 2048, 256, 1024
 
 
 def integers(vector: Column) -> Column:
@@ -184,12 +184,12 @@ def build(rows: DataFrame, most: float) -> DataFrame:
         y = lifted(np.stack(x.to_numpy()), most) if len(x) else np.empty((0, pivots.shape[1]))
         return pd.Series(((pivots**2).sum(axis=1) - 2 * y @ pivots.T).argmin(axis=1).astype(np.int32))
 
-    near = materialize(rows.withColumn("pivot", nearest("x")), "routed")
+    near = materialize(rows.withColumn("pivot", nearest("x")).withColumn("number", F.monotonically_increasing_id()), "routed")
     # neighbouring pivots are gathered up to SHARD rows, a pivot with more is split by a hash
     size = near.groupBy("pivot").agg(F.count("*").alias("n"))
     before = F.sum("n").over(Window.orderBy("pivot").rowsBetween(Window.unboundedPreceding, -1))
     plan = size.select("pivot", F.ceil(F.col("n") / SHARD).alias("parts"), F.floor(F.coalesce(before, F.lit(0)) / SHARD).alias("base"), (F.col("n") > SHARD).alias("split"))
-    placed = near.join(F.broadcast(plan), "pivot").withColumn("shard", F.when(F.col("split"), F.concat_ws("-", F.lit("p"), "pivot", F.pmod(F.xxhash64("id", F.lit(1)), F.col("parts")))).otherwise(F.concat_ws("-", F.lit("b"), "base")))
+    placed = near.join(F.broadcast(plan), "pivot").withColumn("shard", F.when(F.col("split"), F.concat_ws("-", F.lit("p"), "pivot", F.pmod(F.xxhash64("number", F.lit(1)), F.col("parts")))).otherwise(F.concat_ws("-", F.lit("b"), "base")))
 
     def tree(shard: pd.DataFrame) -> pd.DataFrame:
         x = np.stack(shard.x.to_numpy()).astype(np.int64)
