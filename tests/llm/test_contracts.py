@@ -95,6 +95,10 @@ def test_secret_model_and_redaction(spark):
     assert model.secret("wJalrXUtnFEMIK7MDENGbPxRfiCYZZ") and not model.secret("get_user_account_by_identifier")
     out = {r.doc_id: r.text for r in secrets.redact(docs, model).collect()}
     assert out[40] == "key <SECRET> end" and out[41] == "<SECRET>" and out[42] is None and out[43] == "" and out[0].startswith("plain")
+    key, tail = "AKIA" + "B7Q2" * 4, "wJalrXUtnFEMIK7MDENGbPxRfiCYZZ"
+    both = f"{key}/{tail} end"
+    base = secrets.base_spans(both)
+    assert secrets.all_spans(both, base, model) == [("access", 0, 20), ("random", 20, 21 + len(tail))]
     rows = {r.doc_id: r for r in secrets.digests(secrets.scan(docs, model), secrets.KINDS).collect()}
     assert rows[41].n_assign == 1 and rows[42].spans == "" and rows[40].spans == "random:4:44"
 
@@ -128,10 +132,32 @@ def test_binomial_tails_and_certificates(spark):
     labels = spark.createDataFrame([(i, int(i < 900)) for i in range(930)], "doc_id long, quality int")
     out = quality.quality(docs, labels)
     assert out.where("doc_id < 900 and not kept").count() <= 9 and out.where("doc_id >= 900 and kept").count() == 0
+    odd = docs.withColumn("lang", F.when(F.col("doc_id") % 2 == 0, F.lit("")))
+    strata = quality.certify(quality.measures(odd), labels, delta=0.2).collect()
+    assert sorted(str(r.lang) for r in strata) == ["", "None"]
     none = quality.quality(docs, labels.where("1 = 0"))
     assert none.where("kept = base_failed").count() == 0
 
 
+def test_joint_rejections_keep_to_the_risk(spark):
+    # several rules each reject another 0.5 % of the good documents: together they pass the risk
+    marks = {0: "!", 1: "#"}
+    rows = []
+    for i in range(4000):
+        words = [f"w{i}x{j}" for j in range(60)]
+        if i % 200 in (0, 1):
+            words = [w + marks[i % 200] * 12 for w in words]
+        elif i % 200 == 2:
+            words = [w.upper() + "ABCDEF" * 8 for w in words]
+        elif i % 200 == 3:
+            words = words[:40] + ["same old words again"] * 9
+        rows.append((i, " ".join(words), "en", "s", 0))
+    docs = spark.createDataFrame(rows, DOCS)
+    labels = spark.range(4000).select(F.col("id").alias("doc_id"), F.lit(1).alias("quality"))
+    out = quality.quality(docs, labels)
+    assert out.where("not kept and not base_failed").count() <= 0.01 * 4000
+
+
 def test_op2_mix(spark, sf, texts):
     rows = registry.queries()["op2_mixing"](spark, sf).collect()
     again = {r.doc_id: r.taken for r in registry.queries()["op2_mixing"](spark, sf).collect()}
@@ -157,21 +183,45 @@ def test_op2_mix(spark, sf, texts):
 
 def test_mix_of_odd_rows(spark):
     rows = [(1, "a b c", None), (2, None, "x"), (3, "", "x"), (None, "d e", "x"), (4, "f " * 50, "y"), (4, "f " * 50, "y"), (5, "g", "z")]
-    docs = spark.createDataFrame(rows, "doc_id long, text string, source string").withColumn("size", F.lit("clash"))
-    out = mixing.mix(docs)
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    for name in ("size", "k", "z", "s", "r", "g", "n", "copies", "unit", "_copy"):
+        docs = docs.withColumn(name, F.lit(f"own {name}"))
+    out, groups = mixing.mix(docs), mixing.mixed_groups(docs)
     assert out.count() == 7 and out.where("taken > 3 * size or taken is null").count() == 0
-    assert mixing.take(docs, out).columns == docs.columns
-    assert mixing.take(docs, out).count() == out.agg(F.sum("copies")).first()[0]
-    assert mixing.mix(docs.where("1 = 0")).count() == 0
+    taken = mixing.take(docs, groups)
+    assert taken.columns == docs.columns and taken.count() == out.agg(F.sum("copies")).first()[0]
+    assert {r.k for r in taken.collect()} == {"own k"} and {r["copies"] for r in taken.collect()} == {"own copies"}
+    assert mixing.mix(docs.where("1 = 0")).count() == 0 == mixing.take(docs.where("1 = 0"), groups).count()
+
+
+def test_mix_of_a_hot_group_of_equal_rows(spark):
+    same = spark.range(25_000).select(F.lit(None).cast("long").alias("doc_id"), F.lit("one two three").alias("text"), F.lit("a").alias("source"))
+    other = spark.range(500).select("id", F.array_join(F.array_repeat(F.lit("w"), (F.col("id") % 40 + 1).cast("int")), " ").alias("text"), F.concat(F.lit("s"), F.col("id") % 3).alias("source"))
+    docs = same.union(other)
+    out = mixing.mix(docs)
+    by = out.groupBy("source").agg(F.first("target").alias("target"), F.sum("taken").alias("taken"), F.max("size").alias("most")).collect()
+    assert out.count() == 25_500 and all(abs(r.taken - r.target) <= r.most for r in by)
+    assert mixing.take(docs, mixing.mixed_groups(docs)).count() == out.agg(F.sum("copies")).first()[0]
+
+
+@pytest.mark.parametrize("folder", ["sf0.01", "sf0.1"])
+def test_sources_come_near_their_targets(spark, folder):
+    docs = spark.read.parquet(f"/root/testdata/{folder}/documents.parquet")
+    out = mixing.mix(docs).cache()
+    median = out.agg(F.median("size")).first()[0]
+    for r in out.groupBy("source").agg(F.first("target").alias("target"), F.sum("taken").alias("taken")).collect():
+        assert abs(r.taken - r.target) <= max(0.005 * r.target, median), r
+    out.unpersist()
 
 
 def test_pivotal_rounding_is_unbiased(spark):
     n, runs = 400, 40
-    units = spark.range(n).select(F.lit("s").alias("source"), F.col("id").alias("doc_id"), (F.col("id") % 17 + 1).alias("size"), F.lit(0.3).alias("p"))
+    # one of 900 words among many of 1 to 17
+    units = spark.range(n).select(F.lit("s").alias("source"), F.col("id").alias("doc_id"), F.when(F.col("id") == 7, 900).otherwise(F.col("id") % 17 + 1).cast("long").alias("size"), F.lit(0).cast("long").alias("g"), F.lit(0.3).alias("p"))
     total = units.agg(F.sum("size")).first()[0]
     up = collections.Counter()
     for seed in range(6):
-        out = mixing.pivotal(units.withColumn("h", F.xxhash64(F.lit(seed), "doc_id")), F.lit(7), n, seed).collect()
+        out = mixing.pivotal(units.withColumn("h", F.xxhash64(F.lit(seed), "doc_id")), seed, fan=16).collect()
         assert len(out) == n and abs(sum(r.size * r.up for r in out) - 0.3 * total) <= 17
         up.update(r.doc_id for r in out if r.up)
     assert runs and abs(sum(up.values()) / (6 * n) - 0.3) < 0.03
@@ -415,3 +465,42 @@ def test_pipeline_drops_near_copies_from_080(spark, sf):
     docs = spark.createDataFrame([(i, t, "en", "src0", len(t)) for i, t in rows.items()], DOCS)
     kept = {r.doc_id for r in corpus_pipeline.drop_near_duplicates(spark, docs, sf).collect()}
     assert kept == {i for i in rows if i % 2 == 0 or i >= 2000}
+
+
+def test_near_duplicates_of_rows_that_share_an_id(spark):
+    long = " ".join(f"w{i}" for i in range(40))
+    unique = " ".join(f"u{i}" for i in range(40))
+    rows = [(2, long), (5, long), (5, unique), (7, long), (7, long), (8, unique + " more"), (None, long), (9, ""), (9, ""), (2, long)]
+    docs = spark.createDataFrame([(i, t, "en", "s", k) for k, (i, t) in enumerate(rows)], DOCS).withColumn("stays", F.lit("own"))
+    out = near_dup.drop_near_duplicates(docs)
+    assert out.columns == docs.columns and {r.stays for r in out.collect()} == {"own"}
+    got = sorted((str(r.doc_id), r.text) for r in out.collect())
+    assert got == sorted([("2", long), ("5", unique), ("None", long), ("9", ""), ("9", "")])
+    with pytest.raises(ValueError):
+        near_dup.near_duplicates(docs, percent=70)
+
+
+def test_long_texts_take_linear_time():
+    import time
+
+    model = secrets.Markov(np.zeros((len(secrets.ALPHABET) + 1,) * 2), 1.0)
+    for text in ("7 " + "x" * 1_000_000, "a@" * 500_000, "0123456789abcdef0123456789 " * 40_000, "4 " * 500_000, "+1 " * 300_000, "token=abcdefgh " * 60_000):
+        began = time.perf_counter()
+        base = personal.base_spans(text)
+        list(personal.candidates(text, base))
+        secrets.all_spans(text, secrets.base_spans(text), model)
+        assert time.perf_counter() - began < 8, text[:20]
+
+
+def test_empty_tables_and_clashing_columns(spark):
+    docs = frame(spark, ["plain words here and there", None]).withColumn("row", F.lit("own")).withColumn("base", F.lit("own")).withColumn("n", F.lit("own"))
+    none = docs.where("1 = 0")
+    labels = spark.createDataFrame([], "doc_id long, quality int, toxic int")
+    runs = {
+        "personal": personal.personal, "secrets": secrets.secrets, "licenses": licenses.licenses, "near": near_dup.near_duplicates, "mix": mixing.mix,
+        "quality": lambda d: quality.quality(d, labels), "toxicity": lambda d: toxicity.toxicity(d, labels),
+    }
+    for name, run in runs.items():
+        assert run(none).count() == 0, name
+        assert run(docs).count() == 2, name
+        assert run(docs.union(docs)).count() == 4, name
