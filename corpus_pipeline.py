@@ -1,7 +1,8 @@
 """A training corpus from `documents`: five stages, each written as Parquet and read again by the next.
 
 Every stage works on all rows that its predecessor kept and, but for the last, returns the
-columns of `documents`. No stage has a DuckDB twin: tests compare them with brute force.
+columns of `documents`. SQL cannot express the stages; tests/llm runs them one by one against
+brute force where there is one.
 """
 
 from __future__ import annotations
@@ -21,8 +22,7 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The document with the smallest id of each group of a similarity of 0.8 or more; rows without an id stay."""
-    gone = near_dup.near_duplicates(docs, percent=80).where("doc_id is not null and not kept").select("doc_id").distinct()
-    return docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
+    return near_dup.drop_near_duplicates(docs, percent=80)
 
 
 def redact_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -32,7 +32,7 @@ def redact_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Rows as often as the mix of sources takes them."""
-    return mixing.take(docs, mixing.mix(docs))
+    return mixing.take(docs, mixing.mixed_groups(docs))
 
 
 def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
