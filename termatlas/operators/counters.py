@@ -12,6 +12,7 @@ for the merge as for a single summary, but order inside the term is that of the
 
 from __future__ import annotations
 
+import heapq
 import math
 from collections.abc import Iterator
 
@@ -30,16 +31,24 @@ def capacity(eps: float) -> int:
 
 
 class Counters:
-    """The core: at most `capacity` counters, in plain Python."""
+    """The core: at most `capacity` counters, in plain Python.
+
+    Each counter has one entry in a heap, which may lag behind it; entries are brought up to date when
+    they come to the top, so finding the smallest takes a logarithm of the counters, amortised.
+    """
 
     def __init__(self, capacity: int):
         self.capacity, self.total, self.replaced = capacity, 0, 0
         self.f: dict[int, int] = {}
         self.err: dict[int, int] = {}
         self.born: dict[int, int] = {}
+        self.heap: list[tuple[int, int]] = []
 
     def lowest(self) -> int:
-        return min(self.f, key=lambda c: (self.f[c], c))
+        heap, f = self.heap, self.f
+        while heap[0][0] != f[heap[0][1]]:
+            heapq.heapreplace(heap, (f[heap[0][1]], heap[0][1]))
+        return heap[0][1]
 
     def observe(self, cell: int, n: int = 1, seq: int = 0) -> int | None:
         """Count n arrivals in a row at a cell; the cell that lost its counter, if one did."""
@@ -50,10 +59,12 @@ class Counters:
         self.born[cell] = seq
         if len(self.f) < self.capacity:
             self.f[cell], self.err[cell] = n, 0
+            heapq.heappush(self.heap, (n, cell))
             return None
         victim = self.lowest()
         self.err[cell] = self.f.pop(victim)
         self.f[cell] = self.err[cell] + n
+        heapq.heapreplace(self.heap, (self.f[cell], cell))
         del self.err[victim], self.born[victim]
         self.replaced += 1
         return victim
@@ -79,7 +90,9 @@ def arrivals(occ: DataFrame, panes: int = 1) -> DataFrame:
     """term, pane, cell, ts, seq, msg_id, dealt by (term, pane) and sorted by arrival inside; cells are never null."""
     pane = F.lit(0) if panes == 1 else F.pmod(F.xxhash64("msg_id", "seq"), F.lit(panes)).cast("int")
     rows = occ.where(F.col("term").isNotNull() & F.col("cell").isNotNull()).select("term", pane.alias("pane"), "cell", "ts", "seq", "msg_id")
-    return rows.repartition("term", "pane").sortWithinPartitions("term", "pane", "ts", "seq", "msg_id", "cell")
+    # a replay is long for its few bytes, so tasks are not merged by size
+    tasks = int(occ.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    return rows.repartition(tasks, "term", "pane").sortWithinPartitions("term", "pane", "ts", "seq", "msg_id", "cell")
 
 
 def replay(frames: Iterator[pd.DataFrame], new, finish) -> Iterator[pd.DataFrame]:
@@ -120,14 +133,20 @@ def merge(summaries: DataFrame, capacity: int) -> DataFrame:
     """One SUMMARY per term of several: sums, absent cells counted with their summary's smallest counter, the largest kept.
 
     A counter's f stays at least its true count, f - err at most; sums of counters may then pass the total.
+    Bands are summed over the summaries that hold the cell and scaled by the arrivals of all: parts that are
+    dealt by hash see the same distribution, so this is an estimate without bias, but without a bound.
     """
     one = summaries.select("term", "total", "n_replaced", "centers", absent_bound().alias("bound"))
     sums = one.groupBy("term").agg(F.sum("total").alias("total"), F.sum("n_replaced").alias("n_replaced"), F.sum("bound").alias("bounds"))
-    cells = one.select("term", "bound", F.explode("centers").alias("c")).groupBy("term", "c.cell").agg(F.sum("c.f").alias("f"), F.sum("c.err").alias("err"), F.sum("bound").alias("known"), F.min("c.born_seq").alias("born_seq"))
-    cells = cells.join(sums.select("term", "bounds"), "term").withColumn("more", F.col("bounds") - F.col("known"))
-    cells = cells.select("term", "cell", (F.col("f") + F.col("more")).alias("f"), (F.col("err") + F.col("more")).alias("err"), "born_seq")
+    add = lambda a, b: F.zip_with(a, b, lambda x, y: F.coalesce(x, F.lit(0.0)) + F.coalesce(y, F.lit(0.0)))
+    rings = F.aggregate(F.collect_list("c.rings"), F.array().cast("array<double>"), add).alias("rings")
+    held = one.select("term", "bound", "total", F.explode("centers").alias("c")).groupBy("term", "c.cell")
+    cells = held.agg(F.sum("c.f").alias("f"), F.sum("c.err").alias("err"), F.sum("bound").alias("known"), F.sum("total").alias("seen"), F.min("c.born_seq").alias("born_seq"), rings)
+    cells = cells.join(sums.select("term", "bounds", F.col("total").alias("every")), "term").withColumn("more", F.col("bounds") - F.col("known"))
+    scaled = F.transform("rings", lambda x: x * F.col("every") / F.col("seen")).alias("rings")
+    cells = cells.select("term", "cell", (F.col("f") + F.col("more")).alias("f"), (F.col("err") + F.col("more")).alias("err"), "born_seq", scaled)
     best = cells.withColumn("rank", F.row_number().over(Window.partitionBy("term").orderBy(F.desc("f"), "err", "cell"))).where(F.col("rank") <= capacity)
-    centre = F.struct("rank", F.struct("cell", "f", "err", F.array().cast("array<double>").alias("rings"), "born_seq").alias("c"))
+    centre = F.struct("rank", F.struct("cell", "f", "err", "rings", "born_seq").alias("c"))
     rows = best.groupBy("term").agg(F.transform(F.array_sort(F.collect_list(centre)), lambda x: x["c"]).alias("centers"))
     out = rows.join(sums, "term").select("term", "total", F.lit(capacity).alias("capacity"), F.lit("merged").alias("policy"), "n_replaced", F.lit(False).alias("frozen"), F.col("centers").cast(f"array<{CENTRE}>").alias("centers"))
     return out

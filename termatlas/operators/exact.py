@@ -46,7 +46,8 @@ def term_pairs(occ: DataFrame, terms: DataFrame) -> DataFrame:
     """a, b (a < b), n_places, joint, n_a, n_b, ratio: pairs of given terms with a common place.
 
     joint sums the smaller counts over places; ratio is joint over the larger of both totals.
-    The terms are a chosen list; cells have few of them, so a self-join on cell stays small.
+    The terms are a chosen list: a self-join on cell gives at most (terms of a cell)**2 / 2 rows a cell,
+    summed on the map side to one a pair. Terms above a share of the messages are bounded by that share.
     """
     c = counts(occ.join(terms.select("term"), "term", "left_semi"))
     t = totals(c)

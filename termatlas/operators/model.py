@@ -24,10 +24,11 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from termatlas.functions import geo
+from termatlas.functions.scratch import materialize
 from termatlas.operators import rings as R
 
 LIKELIHOODS = ("trial", "occurrence", "presence", "share", "literal_bands")
-ALPHA_MAX, ALPHA_STEPS, FOCUS_STEPS = 8.0, 42, 44
+ALPHA_MAX, ALPHA_STEPS, FOCUS_STEPS = 8.0, 32, 32  # a spread to 2e-6, a focus to 6e-9 of itself
 BANDS = "array<struct<d:double,n:double,cells:double,occ:double>>"
 MODEL = "term string, rank int, center_cell int, focus double, spread double, loglik double, total long, likelihood string, source string, n_eval long, fitted_at long"
 
@@ -90,13 +91,18 @@ def fit_arrays(d: np.ndarray, n: np.ndarray, cells: np.ndarray, occ: np.ndarray,
     return focus, alpha, loglik, (ALPHA_STEPS + 3) * (1 if likelihood == "share" else FOCUS_STEPS + 1)
 
 
-def _padded(bands: pd.Series) -> list[np.ndarray]:
-    width = max((len(b) for b in bands), default=0) or 1
-    out = [np.zeros((len(bands), width)) for _ in range(4)]
-    for i, b in enumerate(bands):
-        for k, e in enumerate(b):
-            for j, name in enumerate(("d", "n", "cells", "occ")):
-                out[j][i, k] = e[name] or 0.0
+PARTS, ROOM = ("d", "n", "cells", "occ"), 1 << 16
+
+
+def _padded(part: pd.DataFrame) -> list[np.ndarray]:
+    """Arrays (rows, bands) of the bands' fields; missing bands have no cells."""
+    size = part.d.map(len).to_numpy()
+    here = np.arange(max(size.max(initial=0), 1)) < size[:, None]
+    out = []
+    for name in PARTS:
+        x = np.zeros(here.shape)
+        x[here] = np.nan_to_num(np.concatenate([np.asarray(v, float) for v in part[name]]))
+        out.append(x)
     out[0][out[0] == 0] = 1.0
     return out
 
@@ -108,18 +114,24 @@ def fit(rows: DataFrame, likelihood: str = "trial", min_distance: float = 1.0, a
 
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for frame in frames:
-            for at in range(0, len(frame), 64):  # wide fits stay small in memory
-                part = frame.iloc[at : at + 64]
-                d, n, cells, occ = _padded(part.bands)
+            step = max(8, ROOM // int(frame.d.map(len).max())) if len(frame) else 1  # wide fits stay small in memory
+            for at in range(0, len(frame), step):
+                part = frame.iloc[at : at + step]
+                d, n, cells, occ = _padded(part)
                 focus, spread, loglik, evals = fit_arrays(d, n, cells, occ, part.total.to_numpy(float), likelihood, min_distance, alpha_max)
                 yield pd.DataFrame({
                     "term": part.term, "rank": part["rank"], "center_cell": part.center_cell, "focus": focus, "spread": spread, "loglik": loglik, "total": part.total,
-                    "likelihood": likelihood, "source": source, "n_eval": evals * part.bands.map(len), "fitted_at": part.fitted_at,
+                    "likelihood": likelihood, "source": source, "n_eval": evals * part.d.map(len), "fitted_at": part.fitted_at,
                 })
 
     if "fitted_at" not in rows.columns:
         rows = rows.withColumn("fitted_at", F.col("total"))
-    return rows.select("term", F.col("rank").cast("int").alias("rank"), "center_cell", "total", F.col("bands").cast(BANDS).alias("bands"), F.col("fitted_at").cast("long").alias("fitted_at")).mapInPandas(run, MODEL)
+    given = rows.select("term", F.col("rank").cast("int").alias("rank"), "center_cell", "total", F.col("bands").cast(BANDS).alias("bands"), F.col("fitted_at").cast("long").alias("fitted_at"))
+    # a field at a time: numbers reach numpy without a look at each band
+    fields = (F.col(f"bands.{name}").alias(name) for name in PARTS)
+    # fits are long for their few bytes, so tasks are not merged by size
+    tasks = int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    return given.select("term", "rank", "center_cell", "total", "fitted_at", *fields).repartition(tasks, "term", "center_cell").mapInPandas(run, MODEL)
 
 
 def best_center(models: DataFrame) -> DataFrame:
@@ -128,12 +140,16 @@ def best_center(models: DataFrame) -> DataFrame:
     return models.groupBy("term").agg(F.max_by(F.struct(*names), F.struct("loglik", -F.col("rank"))).alias("m")).select("term", "m.*").select(*models.columns)
 
 
-def ring_rows(summary: DataFrame, table: DataFrame, radii: list[float], candidates: int = 5, size_e6: int = geo.SIZE, distances: str = "cells", include_center: bool = False) -> DataFrame:
-    """Fit rows from the bands of the first `candidates` centres. table: row, band, cells, mean_dist, small and broadcast.
+def _first(candidates: int | None):
+    return F.col("centers") if candidates is None else F.slice("centers", 1, candidates)
+
+
+def ring_rows(summary: DataFrame, table: DataFrame, radii: list[float], candidates: int | None = None, size_e6: int = geo.SIZE, distances: str = "cells", include_center: bool = False) -> DataFrame:
+    """Fit rows from the bands of all centres, or the first `candidates`. table: row, band, cells, mean_dist, small and broadcast.
 
     distances: 'cells' takes the mean distance of a band's cells, 'mid' the band's middle.
     """
-    c = summary.select("term", "total", F.posexplode(F.slice("centers", 1, candidates)).alias("rank", "c")).select("term", "total", "rank", F.col("c.cell").alias("center_cell"), F.col("c.f").alias("f"), F.col("c.rings").alias("rings"))
+    c = summary.select("term", "total", F.posexplode(_first(candidates)).alias("rank", "c")).select("term", "total", "rank", F.col("c.cell").alias("center_cell"), F.col("c.f").alias("f"), F.col("c.rings").alias("rings"))
     mids = R.mean_distance(radii, distances)
     place = F.col("mean_dist") if mids is None else F.element_at(F.array(*map(F.lit, mids)), F.col("band") + 1)
     by_row = table.select("row", F.struct("band", place.alias("d"), "cells").alias("t")).groupBy("row").agg(F.array_sort(F.collect_list("t")).alias("ts"))
@@ -174,21 +190,53 @@ def counts_of(summary: DataFrame) -> DataFrame:
     return summary.select("term", F.explode("centers").alias("c")).select("term", "c.cell", F.col("c.f").alias("n"))
 
 
-def centres_of(summary: DataFrame, candidates: int = 5) -> DataFrame:
-    """term, total, rank (from 0), cell of the first counters."""
-    return summary.select("term", "total", F.posexplode(F.slice("centers", 1, candidates)).alias("rank", "c")).select("term", "total", "rank", "c.cell")
+def centres_of(summary: DataFrame, candidates: int | None = None) -> DataFrame:
+    """term, total, rank (from 0), cell of all counters, or the first."""
+    return summary.select("term", "total", F.posexplode(_first(candidates)).alias("rank", "c")).select("term", "total", "rank", "c.cell")
 
 
-def top_cells(counts: DataFrame, k: int) -> DataFrame:
-    """term, total, rank (from 0), cell: the k cells with the most arrivals, by exact counts."""
+def top_cells(counts: DataFrame, k: int | None) -> DataFrame:
+    """term, total, rank (from 0), cell: the k cells with the most arrivals (None: all), by exact counts."""
     order = Window.partitionBy("term").orderBy(F.desc("n"), "cell")
-    ranked = counts.withColumn("rank", F.row_number().over(order) - 1).where(F.col("rank") < k)
+    ranked = counts.withColumn("rank", F.row_number().over(order) - 1)
+    ranked = ranked if k is None else ranked.where(F.col("rank") < k)
     return ranked.join(counts.groupBy("term").agg(F.sum("n").alias("total")), "term").select("term", "total", "rank", "cell")
 
 
-def fit_exact(counts: DataFrame, table: DataFrame, radii: list[float], candidates: int = 5, likelihood: str = "trial", size_e6: int = geo.SIZE) -> DataFrame:
-    """Reference models from all occurrences: the likeliest of the most frequent cells as centre."""
-    return best_center(fit(cell_rows(counts, top_cells(counts, candidates), table, radii, size_e6), likelihood, source="all"))
+SCREEN, REFINED = 64, 5
+
+
+def screened(counts: DataFrame, centres: DataFrame, likelihood: str = "trial", size_e6: int = geo.SIZE) -> DataFrame:
+    """Of each term's centres (term, total, rank, cell) the REFINED likeliest by a fit on SCREEN bands, which are a few cells wide at most.
+
+    All centres are fitted; only the finer fit, which tells near ones apart, is left to the best of them.
+    """
+    wide = fine_radii(n=SCREEN)
+    table = materialize(R.band_table(counts.sparkSession, wide, size_e6), "screen")
+    models = fit(cell_rows(counts, centres, table, wide, size_e6), likelihood)
+    order = Window.partitionBy("term").orderBy(F.desc("loglik"), "rank")
+    best = models.withColumn("place", F.row_number().over(order)).where(F.col("place") <= REFINED)
+    return materialize(best.select("term", "total", "rank", F.col("center_cell").alias("cell")), "centres")
+
+
+def fit_exact(counts: DataFrame, table: DataFrame, radii: list[float], candidates: int | None = None, likelihood: str = "trial", size_e6: int = geo.SIZE) -> DataFrame:
+    """Reference models from all occurrences: the likeliest of all cells with arrivals as centre, or of the `candidates` most frequent."""
+    centres = top_cells(counts, candidates)
+    centres = screened(counts, centres, likelihood, size_e6) if candidates is None else centres
+    return best_center(fit(cell_rows(counts, centres, table, radii, size_e6), likelihood, source="all"))
+
+
+def single_cell_rows(counts: DataFrame, centres: DataFrame, grid: DataFrame, size_e6: int = geo.SIZE) -> DataFrame:
+    """Fit rows with one band for each cell of the map, nothing collapsed: the fit as first published, for a few centres.
+
+    centres: term, total, rank, cell. Each row holds as many bands as the map has cells.
+    """
+    c = centres.select("term", "total", "rank", F.col("cell").alias("center_cell"))
+    rows = c.join(grid.select("cell"), F.lit(True)).join(counts, ["term", "cell"], "left")
+    d = F.when(F.col("cell") == F.col("center_cell"), F.lit(1.0)).otherwise(geo.cell_distance("center_cell", "cell", size_e6))
+    n = F.coalesce("n", F.lit(0)).cast("double")
+    one = F.struct(d.alias("d"), n.alias("n"), F.lit(1.0).alias("cells"), (n > 0).cast("double").alias("occ"))
+    return rows.groupBy("term", "total", "rank", "center_cell").agg(F.collect_list(one).alias("bands"))
 
 
 def band_loglik(bands: Column, total: Column, focus: Column, spread: Column, likelihood: str = "trial", min_distance: float = 1.0) -> Column:

@@ -15,14 +15,16 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from termatlas.functions import geo
+from termatlas.functions.scratch import materialize
 from termatlas.operators import counters
 from termatlas.operators.counters import SUMMARY, Counters
 
 DISC_MEAN_RATIO, OUTER, CAP, WORDS = 2 / 3, 98.0, 10, 648
+KEPT = 65_536  # cells whose bands a state remembers
 POLICIES = ("transfer", "reset", "freeze", "nearby_skip")
 
 
@@ -65,9 +67,9 @@ def band(distance: Column | str, radii: list[float], mode: str | None = None, ov
         else:
             step = math.log(radii[1] / radii[0])
             guess = F.greatest(F.lit(0), F.least(F.lit(n), F.ceil(F.log(F.greatest(d, F.lit(1e-12)) / radii[0]) / step).cast("int")))
-            ends = F.array(*(F.lit(float(r)) for r in radii), F.lit(float("inf")))
-            low = F.when((guess > 0) & (d <= F.element_at(ends, F.greatest(guess, F.lit(1)))), guess - 1).otherwise(guess)
-            out = F.when(d > F.element_at(ends, low + 1), low + 1).otherwise(low)
+            ends = F.array(F.lit(0.0), *(F.lit(float(r)) for r in radii), F.lit(float("inf")))
+            # the guess is off by one step at most; band k reaches from ends[k] to ends[k + 1]
+            out = guess + (d > F.element_at(ends, guess + 2)).cast("int") - ((guess > 0) & (d <= F.element_at(ends, guess + 1))).cast("int")
     else:
 
         def tree(lo: int, hi: int) -> Column:
@@ -141,8 +143,13 @@ class CellOverlap:
 
 def transfer(old: np.ndarray, radii: np.ndarray, d: float) -> np.ndarray:
     """Starting bands of a centre at distance d from one with bands old, each spread evenly over its band's area."""
+    return band_shares(radii, d) @ old
+
+
+def band_shares(radii: np.ndarray, d: float) -> np.ndarray:
+    """Of the area of old band k, the part in new band i, centres d apart."""
     r = np.concatenate([[0.0], radii])
-    return planar_overlap(radii, d) @ (old / (np.pi * (r[1:] ** 2 - r[:-1] ** 2)))
+    return planar_overlap(radii, d) / (np.pi * (r[1:] ** 2 - r[:-1] ** 2))
 
 
 class RingState:
@@ -160,32 +167,61 @@ class RingState:
         self.slot: dict[int, int] = {}
         m, r = capacity, len(radii)
         self.cell, self.f, self.err, self.born = (np.zeros(m, np.int64) for _ in range(4))
-        self.rings, self.at = np.zeros((m, r)), (np.zeros(m), np.zeros(m))
+        # a last column takes what counts in no band
+        self.counted, self.at, self.slots = np.zeros((m, r + 1)), (np.zeros(m), np.zeros(m)), np.arange(m)
+        # bands of an arriving cell around all centres, kept until a centre changes
+        self.known, self.version, self.changed = {}, 0, np.zeros(m, np.int64)
+        self.overlaps: dict[float, np.ndarray] = {}
+
+    @property
+    def rings(self) -> np.ndarray:
+        return self.counted[:, : len(self.radii)]
+
+    def __getstate__(self) -> dict:
+        return self.__dict__ | {"known": {}, "overlaps": {}}
 
     @property
     def frozen(self) -> bool:
         return self.policy == "freeze" and self.freeze_after is not None and self.total >= self.freeze_after
 
-    def _count(self, place: tuple, n: float, but: int | None) -> None:
-        """Add n arrivals at a place to the proper band of every centre but one."""
+    def _count(self, cell: int, place: tuple, n: float, but: int | None) -> None:
+        """Add n arrivals at a cell to the proper band of every centre but one."""
         used = len(self.slot)
         if not used:
             return
-        d = self.sphere.between((self.at[0][:used], self.at[1][:used]), place)
+        b = self._bands(cell, place)
+        self.counted[self.slots[:used], b[:used]] += n
+        if but is not None and b[but] < len(self.radii):
+            self.counted[but, b[but]] -= n
+
+    def _bands(self, cell: int, place: tuple) -> np.ndarray:
+        """Band of a cell around each centre; the number of bands where it counts in none."""
+        known, used = self.known.get(cell), len(self.slot)
+        if known is not None and known[0] == self.version:
+            return known[1]
+        if known is None:
+            if len(self.known) >= KEPT:
+                self.known.clear()
+            out, old = np.full(self.capacity, len(self.radii), np.int64), self.slots[:used]
+        else:
+            out = known[1]
+            old = np.flatnonzero(self.changed[:used] > known[0])
+        d = self.sphere.between((self.at[0][old], self.at[1][old]), place)
         b = np.searchsorted(self.radii, d)
-        take = d > 0
-        if self.overflow == "drop":
-            take &= b < len(self.radii)
-        if but is not None:
-            take[but] = False
-        k = np.flatnonzero(take)
-        self.rings[k, np.minimum(b[k], len(self.radii) - 1)] += n
+        if self.overflow == "last":
+            np.minimum(b, len(self.radii) - 1, out=b)
+        b[d <= 0] = len(self.radii)
+        out[old] = b
+        self.known[cell] = (self.version, out)
+        return out
 
     def _put(self, k: int, cell: int, place: tuple, f: int, err: int, seq: int, rings: np.ndarray) -> None:
         self.slot[cell] = k
         self.cell[k], self.f[k], self.err[k], self.born[k] = cell, f, err, seq
         self.at[0][k], self.at[1][k] = place
         self.rings[k] = rings
+        self.version += 1
+        self.changed[k] = self.version
 
     def _start(self, cell: int, place: tuple, victim: int) -> np.ndarray:
         """Bands of a cell that takes the victim's counter."""
@@ -198,12 +234,21 @@ class RingState:
             sources = [int(np.argmin(distance))]
         else:  # mean_all
             sources = list(range(self.capacity))
-        got = [self.cells_overlap.shares(cell, int(self.cell[k])) @ self.rings[k] if self.cells_overlap else transfer(self.rings[k], self.radii, float(distance[k])) for k in sources]
+        got = [(self.cells_overlap.shares(cell, int(self.cell[k])) if self.cells_overlap else self._shares(float(distance[k]))) @ self.rings[k] for k in sources]
         rings = np.mean(got, axis=0)
         if self.transfer_center and distance[victim] > 0:
             rings[min(int(np.searchsorted(self.radii, distance[victim])), len(self.radii) - 1)] += self.f[victim]
         return rings
 
+    def _shares(self, d: float) -> np.ndarray:
+        """The part of each old band that a new one takes, by the centres' distance; few distances make up most."""
+        found = self.overlaps.get(d)
+        if found is None:
+            if len(self.overlaps) >= KEPT // 16:
+                self.overlaps.clear()
+            found = self.overlaps[d] = band_shares(self.radii, d)
+        return found
+
     def observe(self, cell: int, n: int = 1, seq: int = 0) -> None:
         """Count n arrivals in a row at a cell."""
         while n:
@@ -218,7 +263,7 @@ class RingState:
         k = self.slot.get(cell)
         if k is not None:
             self.f[k] += n
-            self._count(place, n, k)
+            self._count(cell, place, n, k)
             return
         used = len(self.slot)
         if used < self.capacity and not frozen:
@@ -226,11 +271,11 @@ class RingState:
             if self.backfill and used:
                 d = self.sphere.between((self.at[0][:used], self.at[1][:used]), place)
                 np.add.at(rings, np.minimum(np.searchsorted(self.radii, d), len(self.radii) - 1), self.f[:used])
-            self._count(place, n, None)
+            self._count(cell, place, n, None)
             self._put(used, cell, place, n, 0, seq, rings)
             return
         if frozen:
-            self._count(place, n, None)
+            self._count(cell, place, n, None)
             return
         if self.policy == "nearby_skip":
             d = self.sphere.between(self.at, place)
@@ -238,9 +283,9 @@ class RingState:
                 if self.skip_to == "nearest":
                     near = int(np.argmin(d))
                     self.f[near] += n
-                    self._count(place, n, near)
+                    self._count(cell, place, n, near)
                 else:
-                    self._count(place, n, None)
+                    self._count(cell, place, n, None)
                 return
         low = np.flatnonzero(self.f == self.f.min())
         victim = int(low[np.argmin(self.cell[low])])
@@ -248,7 +293,7 @@ class RingState:
         del self.slot[int(self.cell[victim])]
         self.replaced += 1
         self._put(victim, cell, place, err + n, err, seq, rings)
-        self._count(place, n, victim)
+        self._count(cell, place, n, victim)
 
     def row(self, term: str) -> dict:
         used = len(self.slot)
@@ -257,33 +302,86 @@ class RingState:
         return {"term": term, "total": int(self.total), "capacity": self.capacity, "policy": self.policy, "n_replaced": int(self.replaced), "frozen": self.frozen, "centers": centres}
 
 
-def build(occ: DataFrame, capacity: int, radii: list[float] | None = None, policy: str = "transfer", freeze_fraction: float | None = None, freeze_after_rows: int | None = None, **options) -> DataFrame:
+def build(
+    occ: DataFrame, capacity: int, radii: list[float] | None = None, policy: str = "transfer", freeze_fraction: float | None = None,
+    freeze_after_rows: int | None = None, panes: int = 1, **options
+) -> DataFrame:
     """SUMMARY with bands of each term, by replay in arrival order.
 
-    freeze_fraction needs the terms' lengths, a count by term, joined to the arrivals' terms inside the tasks' keys.
+    With `freeze`, only arrivals up to the freeze are replayed; what follows has no order any more and is
+    counted by (term, cell) and added. panes cut each term into parts that are replayed apart and merged.
     """
     radii = edges() if radii is None else list(radii)
-    rows = counters.arrivals(occ)
-    if policy == "freeze" and freeze_fraction is not None:
-        length = occ.where(F.col("term").isNotNull() & F.col("cell").isNotNull()).groupBy("term").agg(F.count("*").alias("length"))
-        rows = occ.join(length, "term")
-        rows = rows.select("term", F.col("length").alias("pane"), "cell", "ts", "seq", "msg_id").where(F.col("cell").isNotNull()).repartition("term", "pane").sortWithinPartitions("term", "pane", "ts", "seq", "msg_id", "cell")
+    freezes = policy == "freeze" and not (freeze_fraction is None and freeze_after_rows is None)
+    if freezes:
+        first, rest = _at_freeze(occ.where(F.col("term").isNotNull() & F.col("cell").isNotNull()), freeze_fraction, freeze_after_rows)
+        occ = first
 
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        def new(_term: str, pane: int) -> RingState:
-            after = freeze_after_rows if freeze_fraction is None else freeze_fraction * pane
-            return RingState(capacity, radii, policy, freeze_after=after, **options)
+        yield from counters.replay(frames, lambda *_: RingState(capacity, radii, policy, **options), lambda s, t: s.row(t))
+
+    out = counters.arrivals(occ, panes).mapInPandas(run, SUMMARY)
+    if panes > 1:
+        out = counters.merge(out, capacity).withColumn("policy", F.lit(policy))
+    if not freezes:
+        return out
+    reached = F.lit(True) if freeze_fraction is not None else F.col("total") >= freeze_after_rows
+    return _with_rest(out, rest, radii, options).withColumn("frozen", reached)
+
 
-        yield from counters.replay(frames, new, lambda s, t: s.row(t))
+SLICES = 256
 
-    return rows.mapInPandas(run, SUMMARY)
+
+def _at_freeze(occ: DataFrame, fraction: float | None, rows: int | None) -> tuple[DataFrame, DataFrame]:
+    """The arrivals before each term's freeze, and counts (term, cell, n) of those after it.
+
+    Each term's time is cut into SLICES; only the slice in which its freeze falls is sorted.
+    """
+    t = F.unix_micros(F.col("ts").cast("timestamp"))
+    by = occ.groupBy("term").agg(F.count("*").alias("_n"), F.min(t).alias("_lo"), F.max(t).alias("_hi"))
+    after = F.col("_n") * fraction if fraction is not None else F.lit(rows)
+    by = by.select("term", "_lo", "_hi", F.least(F.ceil(after.cast("double")), F.col("_n")).alias("_after"))
+    part = F.floor((t - F.col("_lo")) * SLICES / (F.col("_hi") - F.col("_lo") + 1)).cast("int")
+    cut = occ.join(by, "term").withColumn("_part", part)
+    sizes = cut.groupBy("term", "_part", "_after").agg(F.count("*").alias("_rows"))
+    before = F.coalesce(F.sum("_rows").over(Window.partitionBy("term").orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    plan = materialize(sizes.withColumn("_left", F.col("_after") - before).select("term", "_part", "_left", (F.col("_left") < F.col("_rows")).alias("_split")), "freeze")
+    rows_ = cut.drop("_after").join(plan, ["term", "_part"])
+    names = occ.columns
+    order = Window.partitionBy("term", "_part").orderBy("ts", "seq", "msg_id", "cell")
+    numbered = rows_.where("_split and _left > 0").withColumn("_k", F.row_number().over(order))
+    first = rows_.where("not _split").select(*names).unionByName(numbered.where("_k <= _left").select(*names))
+    late = rows_.where("_left <= 0").select("term", "cell").unionByName(numbered.where("_k > _left").select("term", "cell"))
+    return first, materialize(late.groupBy("term", "cell").agg(F.count("*").alias("n")), "rest")
+
+
+def _with_rest(summary: DataFrame, rest: DataFrame, radii: list[float], options: dict) -> DataFrame:
+    """Frozen summaries with the counts of later arrivals added."""
+    summary = materialize(summary, "frozen")
+    centres = summary.select("term", F.explode("centers").alias("c")).select("term", "c.cell")
+    geometry = {k: options[k] for k in ("overflow", "size_e6", "metric") if k in options}
+    bands = exact(rest, centres, radii, **geometry).groupBy("term", "center_cell").agg(F.map_from_entries(F.collect_list(F.struct("band", F.col("n").cast("double")))).alias("m"))
+    own = centres.join(rest, ["term", "cell"]).select("term", F.col("cell").alias("center_cell"), "n")
+    more = bands.join(own, ["term", "center_cell"], "full_outer").groupBy("term").agg(F.map_from_entries(F.collect_list(F.struct("center_cell", F.struct("m", F.coalesce("n", F.lit(0)).alias("n"))))).alias("more"))
+    totals = rest.groupBy("term").agg(F.sum("n").alias("late"))
+
+    def grown(c: Column) -> Column:
+        late = F.element_at(F.col("more"), c["cell"])
+        rings = F.transform(c["rings"], lambda x, k: x + F.coalesce(F.element_at(late["m"], k), F.lit(0.0)))
+        return F.struct(c["cell"].alias("cell"), (c["f"] + F.coalesce(late["n"], F.lit(0))).alias("f"), c["err"].alias("err"), rings.alias("rings"), c["born_seq"].alias("born_seq"))
+
+    rows = summary.join(more, "term", "left").join(totals, "term", "left")
+    ranked = F.sort_array(F.transform(F.transform("centers", grown), lambda c: F.struct((-c["f"]).alias("a"), c["err"].alias("b"), c["cell"].alias("c"), c.alias("x"))))
+    centers = F.transform(ranked, lambda r: r["x"]).cast(f"array<{counters.CENTRE}>").alias("centers")
+    return rows.select("term", (F.col("total") + F.coalesce("late", F.lit(0))).alias("total"), "capacity", "policy", "n_replaced", F.lit(True).alias("frozen"), centers)
 
 
 def snapshots(occ: DataFrame, capacity: int, slices: int = 20) -> DataFrame:
     """term, part (1..slices), replaced, top1, top3 (cells), centers (cells): counters at equal parts of each term's stream."""
     length = occ.where(F.col("cell").isNotNull()).groupBy("term").agg(F.count("*").alias("length"))
     rows = occ.where(F.col("cell").isNotNull()).join(length, "term").select("term", F.col("length").alias("pane"), "cell", "ts", "seq", "msg_id")
-    rows = rows.repartition("term", "pane").sortWithinPartitions("term", "pane", "ts", "seq", "msg_id", "cell")
+    tasks = int(occ.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    rows = rows.repartition(tasks, "term", "pane").sortWithinPartitions("term", "pane", "ts", "seq", "msg_id", "cell")
     schema = "term string, part int, replaced long, top array<int>, centers array<int>"
 
     class Slices:
@@ -314,7 +412,8 @@ def exact(counts: DataFrame, centres: DataFrame, radii: list[float], overflow: s
     """
     c = centres.select("term", F.col("cell").alias("center_cell"))
     d = geo.cell_distance("center_cell", "cell", size_e6, metric)
-    rows = counts.join(c, "term").withColumn("band", band(d, radii, overflow=overflow)).where(F.col("band").isNotNull())
+    # the distance is a column of its own: a band's conditions use it several times
+    rows = counts.join(c, "term").withColumn("distance", d).withColumn("band", band("distance", radii, overflow=overflow)).where(F.col("band").isNotNull())
     sums = [F.sum("n").alias("n")] + ([F.count("*").alias("occ_cells")] if with_cells else [])
     return rows.groupBy("term", "center_cell", "band").agg(*sums)
 

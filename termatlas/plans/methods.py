@@ -36,15 +36,20 @@ def tables(spark: SparkSession, radii: list[float], size_e6: int = geo.SIZE) ->
     return materialize(R.band_table(spark, radii, size_e6), "bands")
 
 
-def cell_model(occ: DataFrame, capacity: int, table: DataFrame, radii: list[float] | None = None, candidates: int = 5, likelihood: str = "trial") -> Atlas:
-    """Counters only; models see a counter's cell by itself and every other cell of the map as empty."""
+def cell_model(occ: DataFrame, capacity: int, table: DataFrame, radii: list[float] | None = None, candidates: int | None = None, likelihood: str = "trial") -> Atlas:
+    """Counters only; models see a counter's cell by itself and every other cell of the map as empty.
+
+    The centre is the likeliest of all stored cells, or of the first `candidates`.
+    """
     radii = radii or M.fine_radii()
     summary = materialize(counters.build(occ, capacity), "summary")
-    models = materialize(M.fit(M.cell_rows(M.counts_of(summary), M.centres_of(summary, candidates), table, radii), likelihood, source="cells"), "models")
+    counts, centres = M.counts_of(summary), M.centres_of(summary, candidates)
+    centres = M.screened(counts, centres, likelihood) if candidates is None else centres
+    models = materialize(M.fit(M.cell_rows(counts, centres, table, radii), likelihood, source="cells"), "models")
     return Atlas(summary, M.best_center(models), models)
 
 
-def ring_model(occ: DataFrame, capacity: int, table: DataFrame, radii: list[float] | None = None, policy: str = "transfer", candidates: int = 5, likelihood: str = "trial", **options) -> Atlas:
+def ring_model(occ: DataFrame, capacity: int, table: DataFrame, radii: list[float] | None = None, policy: str = "transfer", candidates: int | None = None, likelihood: str = "trial", **options) -> Atlas:
     """Counters with bands, by replay in arrival order; a model sees a few bands a centre."""
     radii = radii or R.edges()
     summary = materialize(R.build(occ, capacity, radii, policy, **options), "summary")
@@ -52,7 +57,7 @@ def ring_model(occ: DataFrame, capacity: int, table: DataFrame, radii: list[floa
     return Atlas(summary, M.best_center(models), models)
 
 
-def ring_model_exact(occ: DataFrame, capacity: int, table: DataFrame, radii: list[float] | None = None, candidates: int = 5, likelihood: str = "trial") -> Atlas:
+def ring_model_exact(occ: DataFrame, capacity: int, table: DataFrame, radii: list[float] | None = None, candidates: int | None = None, likelihood: str = "trial") -> Atlas:
     """Bands by two passes of counting instead of a replay: no order, no skew by term, only sums; the form for stored data."""
     from pyspark.sql import functions as F
 

@@ -83,6 +83,29 @@ last AS (SELECT r.term, r.cs FROM r JOIN (SELECT term, max(k) AS k FROM a GROUP
 summary AS (SELECT term, u.c AS cell, u.f AS f, u.d AS err FROM (SELECT term, unnest(cs) AS u FROM last)){more} """
 
 
+def _band_replay(m: int, policy: str) -> str:
+    """A replay with planar bands (b), where they are whole numbers: for reset, and for a freeze before any replacement."""
+    d2 = "((x.c // 360 - a.cell // 360) * (x.c // 360 - a.cell // 360) + (x.c % 360 - a.cell % 360) * (x.c % 360 - a.cell % 360))"
+    grown = f"list_transform(x.b, lambda v, i: v + CASE WHEN i = {_band_sql(d2)} + 1 THEN 1 ELSE 0 END)"
+    counted = f"CASE WHEN x.c = a.cell THEN struct_pack(f := x.f + 1, c := x.c, d := x.d, b := x.b) ELSE struct_pack(f := x.f, c := x.c, d := x.d, b := {grown}) END"
+    fresh = f"struct_pack(f := {{f}}, c := a.cell, d := {{d}}, b := list_transform(range({len(GRID_EDGES)}), lambda i: 0::BIGINT))"
+    frozen = f"WHEN a.k - 1 >= {m} THEN list_transform(cs, lambda x: {counted})" if policy == "freeze" else ""
+    return f"""
+WITH RECURSIVE {_events_sql()},
+a AS (SELECT term, cell, row_number() OVER (PARTITION BY term ORDER BY seq, msg_id, cell) AS k FROM occ),
+r AS (
+  SELECT term, 0::BIGINT AS k, cast([] AS STRUCT(f BIGINT, c INTEGER, d BIGINT, b BIGINT[])[]) AS cs FROM (SELECT DISTINCT term FROM a)
+  UNION ALL
+  SELECT r.term, a.k, CASE
+    WHEN len(list_filter(cs, lambda x: x.c = a.cell)) > 0 THEN list_transform(cs, lambda x: {counted})
+    {frozen}
+    WHEN len(cs) < {m} THEN list_append(list_transform(cs, lambda x: {counted}), {fresh.format(f="1::BIGINT", d="0::BIGINT")})
+    ELSE list_append(list_transform(list_sort(cs)[2:], lambda x: {counted}), {fresh.format(f="list_sort(cs)[1].f + 1", d="list_sort(cs)[1].f")}) END
+  FROM r JOIN a ON a.term = r.term AND a.k = r.k + 1),
+last AS (SELECT r.term, r.cs FROM r JOIN (SELECT term, max(k) AS k FROM a GROUP BY term) e ON e.term = r.term AND e.k = r.k)
+SELECT term, u.c AS cell, u.f AS f, u.d AS err, array_to_string(u.b, ' ') AS bands FROM (SELECT term, unnest(cs) AS u FROM last)"""
+
+
 def _band_sql(d2: str, edges: tuple[float, ...] = GRID_EDGES) -> str:
     return "CASE " + " ".join(f"WHEN {d2} <= {e * e} THEN {k}" for k, e in enumerate(edges[:-1])) + f" ELSE {len(edges) - 1} END"
 
@@ -152,12 +175,23 @@ def occ_lineitem(spark, sf):
     return _counted(adapters.lineitem(spark, sf))
 
 
-@query()
+_TERMS = "unnest(list_distinct(regexp_extract_all(lower(coalesce({}, '')), '[a-zà-öø-ÿ]{{3,}}'))) AS term"
+_TURNS = f"""
+occ AS (SELECT *, {_CELL} AS cell FROM (
+  SELECT conv_id * 1000 + turn AS msg_id, ((conv_id * 37) % 360 - 180) * 1000000 + 500000 AS lon_e6, (30 + (conv_id * 11) % 120 - 90) * 1000000 + 500000 AS lat_e6, {_TERMS.format("text")} FROM conversations))"""
+_PAGES = f"""
+occ AS (SELECT *, {_CELL} AS cell FROM (
+  SELECT p.page_id AS msg_id, (l.lon + p.page_id % 20 % 5 - 2) * 1000000 + 500000 AS lon_e6, (l.lat + p.page_id % 20 // 5 - 2) * 1000000 + 500000 AS lat_e6,
+    {_TERMS.format("regexp_replace(regexp_replace(regexp_replace(html, '<script.*?</script *>', ' ', 'gis'), '<style.*?</style *>', ' ', 'gis'), '<[^>]*>', ' ', 'gs')")}
+  FROM pages p LEFT JOIN (VALUES {_LANGUAGES}) l(lang, lon, lat) ON l.lang = regexp_extract(p.html, 'lang="([a-z]{{2}})"', 1)))"""
+
+
+@query(f"WITH {_TURNS} {_OCC_OUT}")
 def occ_conversations(spark, sf):
     return _counted(adapters.conversations(spark, sf))
 
 
-@query()
+@query(f"WITH {_PAGES} {_OCC_OUT}")
 def occ_pages(spark, sf):
     return _counted(adapters.pages(spark, sf))
 
@@ -329,10 +363,21 @@ def _rings_out(summary: DataFrame) -> DataFrame:
 
 
 
-@query(_replay(10) + "SELECT term, cell, f, err FROM summary")
+def _planar_bands(spark: SparkSession, sf: str, policy: str, **options) -> DataFrame:
+    rows = counters.exploded(R.build(_occ(spark, sf), 10, list(GRID_EDGES), policy, metric="grid", **options))
+    return rows.select("term", "cell", "f", "err", F.array_join(F.transform("rings", lambda x: x.cast("long").cast("string")), " ").alias("bands"))
+
+
+@query(_band_replay(10, "reset"))
 def ring_summary_reset(spark, sf):
-    """Counters of the reset policy: those of the plain summary."""
-    return counters.exploded(R.build(_occ(spark, sf), 10, policy="reset")).select("term", "cell", "f", "err")
+    """Counters and planar bands of the reset policy."""
+    return _planar_bands(spark, sf, "reset")
+
+
+@query(_band_replay(10, "freeze"))
+def ring_bands_frozen(spark, sf):
+    """Counters and planar bands of the freeze policy, frozen after ten arrivals: replayed before, counted after."""
+    return _planar_bands(spark, sf, "freeze", freeze_after_rows=10)
 
 
 @query()
@@ -406,14 +451,14 @@ def fit_cells(spark, sf):
 @query()
 def fit_all_occurrences(spark, sf):
     radii = M.fine_radii()
-    return M.fit_exact(materialize(exact.counts(_occ(spark, sf)), "counts"), methods.tables(spark, radii), radii, 3)
+    return M.fit_exact(materialize(exact.counts(_occ(spark, sf)), "counts"), methods.tables(spark, radii), radii)
 
 
 @query(EVENTS + "SELECT term, cell AS center_cell FROM ranked WHERE rank = 1")
 def best_center(spark, sf):
-    """The likeliest of three candidate centres, which on these peaked terms is the most frequent cell."""
+    """The likeliest of all stored centres, which on these peaked terms is the most frequent cell."""
     radii = R.edges()
-    return methods.ring_model_exact(_occ(spark, sf), 50, R.band_table(spark, radii), radii, 3).models.select("term", "center_cell")
+    return methods.ring_model_exact(_occ(spark, sf), 50, R.band_table(spark, radii), radii).models.select("term", "center_cell")
 
 
 @query()
@@ -449,9 +494,9 @@ query(_frequency_sql("NULL::DOUBLE", "none"))(_frequency("counter"))
 query(_frequency_sql("coalesce(g.mean, 0)", "neighbours", _AROUND))(_frequency("neighbours"))
 
 
-def _ring_atlas(spark: SparkSession, sf: str, candidates: int = 3) -> methods.Atlas:
+def _ring_atlas(spark: SparkSession, sf: str) -> methods.Atlas:
     radii = R.edges()
-    return methods.ring_model(_occ(spark, sf), 50, methods.tables(spark, radii), radii, candidates=candidates)
+    return methods.ring_model(_occ(spark, sf), 50, methods.tables(spark, radii), radii)
 
 
 @query()
@@ -471,46 +516,51 @@ def _pairs(spark: SparkSession) -> DataFrame:
     return spark.createDataFrame([(k, a, b) for k, (a, b) in enumerate(_PAIRS)], "qid long, a string, b string")
 
 
-_WORD_PAIRS = "tops AS (SELECT term FROM (SELECT term, row_number() OVER (ORDER BY count(*) DESC, term) AS r FROM occ GROUP BY term) WHERE r <= 12)"
+_HEAVY_PAIRS = """heavy AS (SELECT term FROM occ GROUP BY term HAVING count(DISTINCT msg_id) >= 0.02 * (SELECT count(DISTINCT msg_id) FROM occ)),
+heavy_counts AS MATERIALIZED (SELECT c.term, c.cell, c.n FROM counts c JOIN heavy USING (term)),
+pairs AS (SELECT x.term AS a, y.term AS b, count(*) AS n_places, sum(least(x.n, y.n))::BIGINT AS joint FROM heavy_counts x JOIN heavy_counts y ON x.cell = y.cell AND x.term < y.term GROUP BY ALL),
+binned AS (SELECT *, (floor(4 * (rank() OVER (ORDER BY joint) - 1) / count(*) OVER ()) + 1)::INTEGER AS bin FROM pairs),
+asked AS MATERIALIZED (SELECT a || ' ' || b AS qid, a, b, n_places, joint, bin FROM (SELECT *, row_number() OVER (PARTITION BY bin ORDER BY md5(a || ' ' || b), a, b) AS r FROM binned) WHERE r <= 100)"""
+_DOC_PAIRS = f"WITH {_DOCS}, {_COUNTS}, {_HEAVY_PAIRS} "
 
 
 def _word_pairs(occ: DataFrame) -> DataFrame:
-    t = occ.groupBy("term").count().orderBy(F.desc("count"), "term").limit(12).select("term")
-    return t.select(F.col("term").alias("a")).join(t.select(F.col("term").alias("b")), F.col("a") < F.col("b")).select(F.concat_ws(" ", "a", "b").alias("qid"), "a", "b")
+    """A hundred pairs of each of four bins, of all heavy terms with a common place."""
+    return materialize(workloads.binned_pairs(occ), "asked")
 
 
-@query(f"WITH {_DOCS}, {_COUNTS}, {_WORD_PAIRS} SELECT x.term || ' ' || y.term AS qid, x.cell, least(x.n, y.n) AS n FROM counts x JOIN counts y ON x.cell = y.cell AND x.term < y.term WHERE x.term IN (FROM tops) AND y.term IN (FROM tops)")
+@query(_DOC_PAIRS + "SELECT q.qid, x.cell, least(x.n, y.n) AS n FROM asked q JOIN heavy_counts x ON x.term = q.a JOIN heavy_counts y ON y.term = q.b AND y.cell = x.cell")
 def joint_min_counts(spark, sf):
     occ = adapters.documents(spark, sf)
-    return exact.joint_counts(occ, _word_pairs(occ))
+    return exact.joint_counts(occ, _word_pairs(occ).select("qid", "a", "b"))
 
 
-@query(f"WITH {_DOCS}, {_WORD_PAIRS} SELECT x.term || ' ' || y.term AS qid, x.cell, count(*) AS n FROM occ x JOIN occ y ON x.msg_id = y.msg_id AND x.cell = y.cell AND x.term < y.term WHERE x.term IN (FROM tops) AND y.term IN (FROM tops) GROUP BY ALL")
+@query(_DOC_PAIRS + "SELECT q.qid, x.cell, count(*) AS n FROM asked q JOIN occ x ON x.term = q.a JOIN occ y ON y.term = q.b AND y.msg_id = x.msg_id AND y.cell = x.cell GROUP BY ALL")
 def cooccurrence_messages(spark, sf):
     occ = adapters.documents(spark, sf)
-    return exact.joint_counts(occ, _word_pairs(occ), kind="message")
+    return exact.joint_counts(occ, _word_pairs(occ).select("qid", "a", "b"), kind="message")
 
 
-@query(
-    f"""WITH {_DOCS}, {_COUNTS}, {_TOTALS}, tops AS (SELECT term FROM (SELECT term, row_number() OVER (ORDER BY count(*) DESC, term) AS r FROM occ GROUP BY term) WHERE r <= 30),
-pairs AS (SELECT x.term AS a, y.term AS b, count(*) AS n_places, sum(least(x.n, y.n))::BIGINT AS joint FROM counts x JOIN counts y ON x.cell = y.cell AND x.term < y.term WHERE x.term IN (FROM tops) AND y.term IN (FROM tops) GROUP BY ALL)
-SELECT a, b, n_places, joint, (ntile(4) OVER (ORDER BY joint, a, b))::INTEGER AS bin FROM pairs"""
-)
+@query(_DOC_PAIRS + "SELECT a, b, n_places, joint, bin FROM asked")
 def pair_bins(spark, sf):
-    from pyspark.sql import Window
-
-    occ = adapters.documents(spark, sf)
-    t = occ.groupBy("term").count().orderBy(F.desc("count"), "term").limit(30)
-    return exact.term_pairs(occ, t).select("a", "b", "n_places", "joint", F.ntile(4).over(Window.orderBy("joint", "a", "b")).alias("bin"))
+    return _word_pairs(adapters.documents(spark, sf)).select("a", "b", "n_places", "joint", "bin")
 
 
-_PAIR_SQL = "pairs AS (SELECT * FROM (VALUES " + ", ".join(f"({k}::BIGINT, '{a}', '{b}')" for k, (a, b) in enumerate(_PAIRS)) + ") t(qid, a, b))"
+@query(_DOC_PAIRS + "SELECT count(*) AS pairs, sum(joint)::BIGINT AS joint, count(DISTINCT a) AS terms FROM pairs")
+def pair_totals(spark, sf):
+    """All pairs of heavy terms with a common place, in sum."""
+    occ = materialize(adapters.documents(spark, sf), "occ")
+    pairs = exact.term_pairs(occ, counters.heavy_terms(occ, 0.02))
+    return pairs.agg(F.count("*").alias("pairs"), F.sum("joint").alias("joint"), F.count_distinct("a").alias("terms"))
 
 
-@query(_replay(100, f", {_PAIR_SQL}") + "SELECT qid, rank::INTEGER AS rank, cell, n FROM (SELECT p.qid, x.cell, least(x.f, y.f) AS n, row_number() OVER (PARTITION BY p.qid ORDER BY least(x.f, y.f) DESC, x.cell) AS rank FROM pairs p JOIN summary x ON x.term = p.a JOIN summary y ON y.term = p.b AND y.cell = x.cell) WHERE rank <= 3")
+@query(_DOC_PAIRS + "SELECT qid, rank::INTEGER AS rank, cell, n FROM (SELECT q.qid, x.cell, least(x.n, y.n) AS n, row_number() OVER (PARTITION BY q.qid ORDER BY least(x.n, y.n) DESC, x.cell) AS rank FROM asked q JOIN heavy_counts x ON x.term = q.a JOIN heavy_counts y ON y.term = q.b AND y.cell = x.cell) WHERE rank <= 3")
 def multi_intersection(spark, sf):
-    asked = _pairs(spark).select("qid", F.array("a", "b").alias("terms"))
-    return answers.intersect_summaries(_summary(spark, sf, 100), asked, 3)
+    """Intersections of summaries with room for every place, so equal to those of counts."""
+    occ = materialize(adapters.documents(spark, sf), "occ")
+    asked = _word_pairs(occ)
+    used = asked.select(F.explode("terms").alias("term")).distinct()
+    return answers.intersect_summaries(counters.build(occ.join(used, "term", "left_semi"), 128), asked.select("qid", "terms"), 3)
 
 
 def _multi(dependence: str, pairing: str = "best") -> Query:
@@ -601,20 +651,28 @@ def labelled_semi(spark, sf):
     return adapters.documents(spark, sf).join(good, "msg_id", "left_semi").groupBy("cell").agg(F.count_distinct("msg_id").alias("messages"))
 
 
-@query("""WITH e AS (SELECT event_type AS term, epoch_us(ts) AS t, event_id FROM events), m AS (SELECT term, t, event_id FROM e WHERE event_id % 50 = 0), q AS (SELECT event_id AS qid, term, t FROM e WHERE event_id % 7 = 3)
-SELECT q.qid, q.term, q.t AS at, arg_max(m.event_id, (m.t, m.event_id)) AS version FROM q LEFT JOIN m ON m.term = q.term AND m.t <= q.t GROUP BY q.qid, q.term, q.t""")
+@query("""WITH e AS (SELECT event_type AS term, epoch_us(ts) AS t, event_id FROM events), m AS (SELECT term, max(t) AS t, arg_max(event_id, (t, event_id)) AS version FROM e GROUP BY term, t // 86400000000)
+SELECT e.event_id AS qid, e.term, e.t AS at, arg_max(m.version, m.t) AS version FROM e LEFT JOIN m ON m.term = e.term AND m.t <= e.t GROUP BY e.event_id, e.term, e.t""")
 def asof_model(spark, sf):
-    """The latest model version of the term at the time of each asked event; versions are every fiftieth event's."""
+    """For every event the latest model version of its term by then; a term's model is fitted anew by each day's last event."""
     e = read(spark, sf, "events").select(F.col("event_type").alias("term"), F.unix_micros("ts").alias("t"), "event_id")
-    versions = e.where("event_id % 50 = 0").groupBy("term", F.col("t").alias("fitted_at")).agg(F.max("event_id").alias("version"))
-    asked = e.where("event_id % 7 = 3").select(F.col("event_id").alias("qid"), "term", F.col("t").alias("at"))
-    return M.as_of(asked, versions).select("qid", "term", "at", "version")
+    versions = e.groupBy("term", F.floor(F.col("t") / 86_400_000_000)).agg(F.max("t").alias("fitted_at"), F.max_by("event_id", F.struct("t", "event_id")).alias("version"))
+    asked = e.select(F.col("event_id").alias("qid"), "term", F.col("t").alias("at"))
+    return M.as_of(asked, versions.select("term", "fitted_at", "version")).select("qid", "term", "at", "version")
 
 
-@query(f"WITH {_events_sql()} SELECT a.term AS a, b.term AS b, a.cell, a.msg_id AS msg_a, b.msg_id AS msg_b FROM occ a JOIN occ b ON b.cell = a.cell AND b.seq >= a.seq AND b.seq <= a.seq + 3600000000 WHERE a.term = 'click' AND b.term = 'view'")
+_TOP_TWO = "tops AS (SELECT term, row_number() OVER (ORDER BY sum(n) DESC, term) AS place FROM counts GROUP BY term), one AS (SELECT term FROM tops WHERE place = 1), two AS (SELECT term FROM tops WHERE place = 2)"
+
+
+def _top_two(occ: DataFrame) -> list[str]:
+    return [r.term for r in occ.groupBy("term").count().orderBy(F.desc("count"), "term").limit(2).collect()]
+
+
+@query(f"WITH {_DOCS}, {_COUNTS}, {_TOP_TWO} SELECT a.term AS a, b.term AS b, a.cell, a.msg_id AS msg_a, b.msg_id AS msg_b FROM occ a JOIN occ b ON b.cell = a.cell AND b.seq >= a.seq AND b.seq <= a.seq + 3600 WHERE a.term = (FROM one) AND b.term = (FROM two)")
 def interval_pairs(spark, sf):
-    occ = _occ(spark, sf)
-    return summaries.co_occurrence(occ.where("term = 'click'"), occ.where("term = 'view'"))
+    occ = adapters.documents(spark, sf)
+    one, two = _top_two(occ)
+    return summaries.co_occurrence(occ.where(F.col("term") == one), occ.where(F.col("term") == two))
 
 
 @query(f"WITH {_events_sql()}, m AS (SELECT *, CASE WHEN lag(cell) OVER w = cell THEN 0 ELSE 1 END AS fresh FROM occ WINDOW w AS (PARTITION BY term ORDER BY seq, msg_id, cell)), r AS (SELECT *, sum(fresh) OVER (PARTITION BY term ORDER BY seq, msg_id, cell) AS run FROM m) SELECT term, run::BIGINT AS run, cell, min(seq) AS seq, count(*) AS n FROM r GROUP BY term, run, cell")
@@ -666,9 +724,42 @@ def merged_panes(spark, sf):
     return counters.exploded(counters.build(_occ(spark, sf), 50, panes=8)).select("term", "rank", "cell", "f", "err")
 
 
-@query()
+@query(EVENTS + "SELECT term, cell, n AS f, 0::BIGINT AS err FROM counts")
+def merged_panes_roomy(spark, sf):
+    """Panes with room for every place merge to the counts."""
+    return counters.exploded(counters.build(_occ(spark, sf), 4096, panes=8)).select("term", "cell", "f", "err")
+
+
+@query(f"""WITH {_events_sql("(epoch_us(e.ts) - epoch_us(TIMESTAMP '2024-01-01')) // 259200000000 * 1000000")},
+w AS (SELECT {_DAY} - k * 86400000000 AS window_start, term, cell, count(*) AS f FROM occ, range(7) t(k) GROUP BY ALL)
+SELECT window_start, term, arg_max(cell, (f, -cell)) AS cell, max(f) AS f FROM w GROUP BY window_start, term""")
 def windowed_summaries(spark, sf):
-    return workloads.moving(spark, sf)
+    """The hottest place of each week's window, by daily summaries with room for every place."""
+    return workloads.moving(spark, sf, capacity=1024).withColumn("window_start", F.unix_micros("window_start"))
+
+
+@query()
+def merged_ring_panes(spark, sf):
+    """Ring summaries of eight panes a term, merged: bands are scaled by the arrivals their panes saw."""
+    return _rings_out(R.build(_occ(spark, sf), 50, panes=8))
+
+
+@query()
+def spark_sketch(spark, sf):
+    """Spark's count-min sketch of each term's places, in bytes."""
+    return answers.spark_sketch(_occ(spark, sf)).select("term", F.length("sketch").alias("bytes"))
+
+
+@query()
+def single_cell_fit(spark, sf):
+    """The fit on every single cell of the map beside the one on narrow bands of cells, and their gap."""
+    occ = materialize(_occ(spark, sf), "occ")
+    counts = materialize(exact.counts(occ), "counts")
+    top, fine = M.top_cells(counts, 1), M.fine_radii()
+    one = M.fit(M.single_cell_rows(counts, top, R.cells(spark)), source="single_cells")
+    narrow = M.fit(M.cell_rows(counts, top, methods.tables(spark, fine), fine), source="cells").select("term", F.col("focus").alias("f0"), F.col("spread").alias("s0"), F.col("n_eval").alias("n_eval_bands"))
+    gap = lambda a, b: (F.abs(F.col(a) - F.col(b)) / F.col(a))
+    return one.join(narrow, "term").select("term", "center_cell", "focus", "spread", gap("focus", "f0").alias("focus_gap"), gap("spread", "s0").alias("spread_gap"), "n_eval", "n_eval_bands")
 
 
 @query()
@@ -676,31 +767,67 @@ def spark_top_k(spark, sf):
     return answers.spark_top_k(_occ(spark, sf))
 
 
-def _workload(name: str, run: Callable[[workloads.Bench], DataFrame]) -> None:
-    def q(spark: SparkSession, sf: str) -> DataFrame:
-        return run(workloads.Bench(_occ(spark, sf), candidates=3))
+#: Streams of the experiments: all terms of the events, of the drifting events, of line items, and 1000 draws from the messages' terms.
+def _events_bench(spark: SparkSession, sf: str) -> workloads.Bench:
+    return workloads.Bench(_occ(spark, sf))
 
-    q.__name__ = name
-    query()(q)
+
+def _drifting_bench(spark: SparkSession, sf: str) -> workloads.Bench:
+    return workloads.Bench(adapters.drifting(spark, sf))
+
+
+def _lineitem_bench(spark: SparkSession, sf: str) -> workloads.Bench:
+    return workloads.Bench(adapters.lineitem(spark, sf))
 
 
-_workload("ratio_sweep", lambda b: workloads.ratio_sweep(b, ratios=(0.2, 0.4, 0.6, 0.8)))
-_workload("equal_space_table", workloads.equal_space)
-_workload("frequent_recall", workloads.frequent_recall)
-_workload("accuracy_frequency", workloads.frequency_accuracy)
-_workload("policy_table", workloads.policy_table)
-_workload("run_times", workloads.run_times)
-_workload("replacements", workloads.replacements)
-_workload("stability", workloads.stability)
-_workload("maps", workloads.maps)
+def _messages_bench(spark: SparkSession, sf: str) -> workloads.Bench:
+    occ = materialize(adapters.documents(spark, sf), "occ")
+    drawn = materialize(workloads.sampled_terms(occ, n=1000), "terms")
+    return workloads.Bench(occ.join(drawn.select("term"), "term", "left_semi"), times=drawn)
+
+
+def _workload(name: str, bench: Callable[[SparkSession, str], workloads.Bench], run: Callable[[workloads.Bench], DataFrame], sql: str | None = None) -> None:
+    def q(spark: SparkSession, sf: str) -> DataFrame:
+        return run(bench(spark, sf))
+
+    q.__name__ = name
+    query(sql)(q)
+
+
+def _recall_sql(occ: str, settings: tuple[tuple[float, int], ...] = ((0.02, 50), (0.05, 20), (0.1, 10))) -> str:
+    """With 1 / eps counters no eps-frequent place is missed, so the hits are all that exact counts want."""
+    parts = " UNION ALL ".join(f"SELECT {e}::DOUBLE AS eps, {m} AS counters, CASE WHEN count(*) > 0 THEN count(*) END AS hits, count(*) AS wanted, CASE WHEN count(*) > 0 THEN 1.0::DOUBLE END AS recall FROM counts JOIN totals USING (term) WHERE n >= {e} * total" for e, m in settings)
+    return f"WITH {occ}, {_COUNTS}, {_TOTALS} {parts}"
+
+
+#: The messages have 80 places, so a budget of 81 words (27 counters, or 6 with ten bands) is what evicts any.
+WORDS_FEW, FEW, FEW_CELLS = 81, 6, 27
+_workload("ratio_sweep", _events_bench, workloads.ratio_sweep)
+_workload("equal_space_table", _events_bench, workloads.equal_space)
+_workload("frequent_recall", _events_bench, workloads.frequent_recall, _recall_sql(_events_sql()))
+_workload("accuracy_frequency", _events_bench, workloads.frequency_accuracy)
+_workload("policy_table", _events_bench, workloads.policy_table)
+_workload("run_times", _events_bench, workloads.run_times)
+_workload("replacements", _events_bench, workloads.replacements)
+_workload("stability", _events_bench, workloads.stability)
+_workload("maps", _events_bench, workloads.maps)
+_workload("ratio_sweep_documents", _messages_bench, lambda b: workloads.ratio_sweep(b, FEW))
+_workload("equal_space_documents", _messages_bench, lambda b: workloads.equal_space(b, words=WORDS_FEW))
+_workload("accuracy_documents", _messages_bench, lambda b: workloads.frequency_accuracy(b, FEW, FEW_CELLS))
+_workload("policy_table_documents", _messages_bench, lambda b: workloads.policy_table(b, FEW))
+_workload("run_times_documents", _messages_bench, lambda b: workloads.run_times(b, FEW, FEW_CELLS))
+_workload("replacements_documents", _messages_bench, lambda b: workloads.replacements(b, FEW))
+_workload("stability_documents", _messages_bench, lambda b: workloads.stability(b, FEW))
+_workload("policy_table_drifting", _drifting_bench, workloads.policy_table)
+_workload("replacements_drifting", _drifting_bench, workloads.replacements)
+_workload("frequent_recall_lineitem", _lineitem_bench, workloads.frequent_recall, _recall_sql(_LINEITEM))
+_workload("frequent_recall_documents", lambda spark, sf: workloads.Bench(adapters.documents(spark, sf)), workloads.frequent_recall, _recall_sql(_DOCS))
+_workload("run_times_lineitem", _lineitem_bench, workloads.run_times)
 
 
 @query()
 def multi_term_accuracy(spark, sf):
-    occ = adapters.documents(spark, sf)
-    top = occ.groupBy("term").count().orderBy(F.desc("count"), "term").limit(40).select("term")
-    bench = workloads.Bench(occ.join(F.broadcast(top), "term", "left_semi"), candidates=3)
-    return workloads.multi_term(bench, capacity=6, cell_capacity=26, top=40, per_bin=100)
+    return workloads.multi_term(adapters.documents(spark, sf), FEW, FEW_CELLS)
 
 
 @query()
@@ -725,10 +852,11 @@ def summary_vs_truth_outer(spark, sf):
     return M.counts_of(counters.build(occ, 10)).withColumnRenamed("n", "f").join(exact.counts(occ), ["term", "cell"], "full_outer").select("term", "cell", "f", "n")
 
 
-@query(EVENTS + "SELECT cell FROM (SELECT cell FROM ranked WHERE term = 'view' INTERSECT SELECT cell FROM ranked WHERE term = 'error')")
+@query(f"WITH {_DOCS}, {_COUNTS}, {_TOP_TWO} SELECT cell FROM (SELECT cell FROM counts WHERE term = (FROM one) INTERSECT SELECT cell FROM counts WHERE term = (FROM two))")
 def shared_cells_intersect(spark, sf):
-    c = exact.counts(_occ(spark, sf))
-    return c.where("term = 'view'").select("cell").intersect(c.where("term = 'error'").select("cell"))
+    c = materialize(exact.counts(adapters.documents(spark, sf)), "counts")
+    one, two = [r.term for r in c.groupBy("term").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "term").limit(2).collect()]
+    return c.where(F.col("term") == one).select("cell").intersect(c.where(F.col("term") == two).select("cell"))
 
 
 @query(EVENTS + "SELECT cell FROM counts WHERE term = 'error' EXCEPT ALL SELECT cell FROM counts WHERE term <> 'error'")
@@ -807,31 +935,22 @@ def likelihood_terms(spark, sf):
     return metrics.evaluations(rows).withColumn("cells_of_the_map", F.lit(geo.rows() * geo.columns()))
 
 
-@query()
-def equal_space_documents(spark, sf):
-    """The equal-space table on messages: terms drawn from the bag of words, a budget that forces evictions among 80 places."""
-    occ = adapters.documents(spark, sf)
-    terms = materialize(workloads.sampled_terms(occ, n=200), "terms")
-    bench = workloads.Bench(occ.join(F.broadcast(terms.select("term")), "term", "left_semi"), candidates=3)
-    return workloads.equal_space(bench, words=81)
-
-
 # --- the experiments where the decay law is true ---------------------------------------------------
 
 
 def _power_law(name: str, run: Callable[[workloads.Bench], DataFrame]) -> None:
     def q(spark: SparkSession, sf: str) -> DataFrame:
-        return run(workloads.Bench(adapters.power_law(spark), candidates=3))
+        return run(workloads.Bench(adapters.power_law(spark)))
 
     q.__name__ = f"power_law_{name}"
     query()(q)
 
 
-_power_law("multi_term", lambda b: workloads.multi_term(b, capacity=50, cell_capacity=216, top=60, per_bin=100))
+_power_law("multi_term", lambda b: workloads.multi_term(b.occ, capacity=50, cell_capacity=216, share=0.0, per_bin=100))
 _power_law("accuracy", lambda b: workloads.frequency_accuracy(b, terms=60))
 _power_law("equal_space", workloads.equal_space)
 _power_law("policies", workloads.policy_table)
-_power_law("ratio_sweep", lambda b: workloads.ratio_sweep(b, ratios=(0.1, 0.2, 0.3, 0.4, 0.5, 0.6, 2 / 3, 0.7, 0.8, 0.9)))
+_power_law("ratio_sweep", lambda b: workloads.ratio_sweep(b))
 _power_law("stability", workloads.stability)
 
 

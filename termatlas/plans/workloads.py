@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 import time
-from functools import reduce
+from functools import cached_property, reduce
 
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -21,15 +21,28 @@ FREEZE = 0.2
 
 
 class Bench:
-    """A stream with its exact counts, band tables and reference models, each written once."""
+    """A stream with its exact counts, band tables and reference models, each written once, when first asked for.
 
-    def __init__(self, occ: DataFrame, candidates: int = 5):
-        self.spark, self.candidates = occ.sparkSession, candidates
+    times: term, times: how often each term counts in the mean errors (draws with replacement); by default once.
+    """
+
+    def __init__(self, occ: DataFrame, candidates: int | None = None, times: DataFrame | None = None):
+        self.spark, self.candidates, self.times = occ.sparkSession, candidates, times
         self.occ = materialize(occ, "occ")
         self.counts = materialize(exact.counts(self.occ), "counts")
         self.fine = M.fine_radii()
         self._tables: dict[tuple, DataFrame] = {}
-        self.truth = materialize(M.fit_exact(self.counts, self.table(self.fine), self.fine, candidates), "truth")
+
+    @cached_property
+    def truth(self) -> DataFrame:
+        return materialize(M.fit_exact(self.counts, self.table(self.fine), self.fine, self.candidates), "truth")
+
+    @cached_property
+    def drawn(self) -> DataFrame:
+        """The reference models, each as often as its term was drawn."""
+        if self.times is None:
+            return self.truth
+        return self.truth.join(self.times, "term").withColumn("times", F.explode(F.sequence(F.lit(1).cast("long"), "times"))).drop("times")
 
     def table(self, radii: list[float]) -> DataFrame:
         key = tuple(radii)
@@ -81,7 +94,7 @@ def ratio_sweep(bench: Bench, capacity: int = 50, ratios: tuple[float, ...] = (0
     out = []
     for r in ratios:
         models = bench.rings(capacity, R.edges(ratio=r)).models
-        out.append(_tag(metrics.relative_error(models, bench.truth), ratio=round(r, 4), rings=R.count_for(r)))
+        out.append(_tag(metrics.relative_error(models, bench.drawn), ratio=round(r, 4), rings=R.count_for(r)))
     return _all(out)
 
 
@@ -91,7 +104,7 @@ def equal_space(bench: Bench, words: int = R.WORDS) -> DataFrame:
     for ratio, n, m in EQUAL_SPACE:
         m = m if words == R.WORDS else max(2, R.capacity_for_budget(words, n))
         atlas = bench.rings(m, R.edges(ratio=ratio, n=n)) if n else bench.cells(m)
-        row = metrics.relative_error(atlas.models, bench.truth).join(metrics.center_accuracy(atlas.models, bench.truth), F.lit(True))
+        row = metrics.relative_error(atlas.models, bench.drawn).join(metrics.center_accuracy(atlas.models, bench.drawn), F.lit(True))
         out.append(_tag(row, ratio=ratio, rings=n, counters=m))
     return _all(out)
 
@@ -121,36 +134,48 @@ def frequency_accuracy(bench: Bench, capacity: int = 50, cell_capacity: int = 21
 
 
 def policy_table(bench: Bench, capacity: int = 50) -> DataFrame:
-    """Model errors and centre accuracy of the update policies."""
-    out = []
+    """Model errors, centre accuracy, log error of place frequencies and update time of the policies."""
+    out, n = [], bench.occ.count()
+    asked = materialize(sampled_places(bench.counts), "asked")
     for p in R.POLICIES:
-        models = bench.rings(capacity, policy=p).models
-        out.append(_tag(metrics.relative_error(models, bench.truth).join(metrics.center_accuracy(models, bench.truth), F.lit(True)), policy=p))
+        began = time.perf_counter()
+        atlas = bench.rings(capacity, policy=p)
+        seconds = time.perf_counter() - began
+        row = metrics.relative_error(atlas.models, bench.drawn).join(metrics.center_accuracy(atlas.models, bench.drawn), F.lit(True))
+        row = row.join(metrics.frequency_errors(atlas.place_frequency(asked), asked).select("log_error", "log_error_one", "pairs"), F.lit(True))
+        out.append(_tag(row, policy=p, ms_an_arrival=round(1000 * seconds / max(n, 1), 4)))
     return _all(out)
 
 
-def binned_pairs(occ: DataFrame, top: int = 60, per_bin: int = 100, seed: int = 42) -> DataFrame:
-    """qid, a, b, terms, bin (1 rare .. 4 very frequent): pairs of the most frequent terms with a common place, by quartile of joint counts."""
-    terms = occ.groupBy("term").count().orderBy(F.desc("count"), "term").limit(top)
-    pairs = exact.term_pairs(occ, terms).withColumn("bin", F.ntile(4).over(Window.orderBy("joint", "a", "b")))
-    order = Window.partitionBy("bin").orderBy(F.xxhash64("a", "b", F.lit(seed)), "a", "b")
-    rows = pairs.withColumn("r", F.row_number().over(order)).where(F.col("r") <= per_bin)
-    return rows.select(F.xxhash64("a", "b").alias("qid"), "a", "b", F.array("a", "b").alias("terms"), "bin", "joint", "ratio")
-
+def binned_pairs(occ: DataFrame, share: float = 0.02, per_bin: int = 100) -> DataFrame:
+    """qid, a, b, terms, bin (1 rare .. 4 very frequent), n_places, joint, ratio: `per_bin` pairs of each bin.
 
-def multi_term(bench: Bench, capacity: int = 10, cell_capacity: int = 43, top: int = 60, per_bin: int = 100) -> DataFrame:
+    Pairs are all those of terms in at least `share` of the messages that have a place in common. The bin is the quartile of the
+    joint count; equal counts share a bin. Pairs are drawn by a hash of their terms.
+    """
+    pairs = materialize(exact.term_pairs(occ, counters.heavy_terms(occ, share)), "pairs")
+    sizes = pairs.groupBy("joint").agg(F.count("*").alias("same"))
+    below = Window.orderBy("joint").rowsBetween(Window.unboundedPreceding, -1)
+    place = F.floor(4 * F.coalesce(F.sum("same").over(below), F.lit(0)) / F.sum("same").over(Window.partitionBy())) + 1
+    bins = sizes.select("joint", place.cast("int").alias("bin"))
+    qid = F.concat_ws(" ", "a", "b")
+    order = Window.partitionBy("bin").orderBy(F.md5(qid), "a", "b")
+    rows = pairs.join(bins, "joint").withColumn("r", F.row_number().over(order)).where(F.col("r") <= per_bin)
+    return rows.select(qid.alias("qid"), "a", "b", F.array("a", "b").alias("terms"), "bin", "n_places", "joint", "ratio")
+
+
+def multi_term(occ: DataFrame, capacity: int = 10, cell_capacity: int = 43, share: float = 0.02, per_bin: int = 100) -> DataFrame:
     """Top-1 accuracy of two-term queries in four bins, by five contenders; truth is the smaller count."""
-    asked = materialize(binned_pairs(bench.occ, top, per_bin), "pairs")
-    joint = exact.joint_counts(bench.occ, asked.select("qid", "a", "b"))
+    occ = materialize(occ, "occ")
+    asked = materialize(binned_pairs(occ, share, per_bin), "pairs")
+    joint = exact.joint_counts(occ, asked.select("qid", "a", "b"))
     best = materialize(joint.join(joint.groupBy("qid").agg(F.max("n").alias("n")), ["qid", "n"]).select("qid", "cell"), "best")
     bins = asked.select("qid", "bin")
     used = asked.select(F.explode("terms").alias("term")).distinct()
-    occ = bench.occ.join(F.broadcast(used), "term", "left_semi")
-    own = Bench.__new__(Bench)
-    own.__dict__ |= bench.__dict__ | {"occ": materialize(occ, "occ")}
-    # a place without any of the terms can't be the best one; the map is cut to a box of the data's cells
-    cells = materialize(bench.counts.select("cell").distinct(), "cells")
-    cell, ring = own.cells(cell_capacity), own.rings(capacity)
+    bench = Bench(occ.join(used, "term", "left_semi"))
+    # a place without any of the terms can't be the best one; the map is cut to the data's cells
+    cells = materialize(exact.counts(occ).select("cell").distinct(), "cells")
+    cell, ring = bench.cells(cell_capacity), bench.rings(capacity)
     out = []
     for name, atlas in (("cell_model", cell), ("ring", ring)):
         for dep in ("independent", "bound"):
@@ -162,7 +187,10 @@ def multi_term(bench: Bench, capacity: int = 10, cell_capacity: int = 43, top: i
 
 
 def run_times(bench: Bench, capacity: int = 50, cell_capacity: int = 216, queries: int = 10) -> DataFrame:
-    """method, update_ms (an arrival), query_s (a query with its fit), n_eval (likelihood terms a query), of each method and policy."""
+    """method, update_ms (an arrival), query_s (a query with its fit), n_eval (likelihood terms a query), of each method and policy.
+
+    A query's time starts at the summary: assembling bands (for the cell model, its cells), the fit and the answer.
+    """
     n = bench.occ.count()
     asked = materialize(sampled_places(bench.counts, queries, 1), "asked")
     one = asked.count() or 1
@@ -177,12 +205,11 @@ def run_times(bench: Bench, capacity: int = 50, cell_capacity: int = 216, querie
         else:
             given = M.ring_rows(summary, bench.table(R.edges()), R.edges(), 1)
         given = materialize(given.join(asked.select("term").distinct(), "term", "left_semi"), "given")
-        fitted = time.perf_counter()
         models = materialize(M.fit(given), "models")
         answers.place_frequency(summary, asked, models).count()
         done = time.perf_counter()
         evals = models.agg(F.avg("n_eval")).first()[0] or 0.0
-        rows.append((name, 1000 * (built - began) / max(n, 1), (done - fitted) / one, float(evals)))
+        rows.append((name, 1000 * (built - began) / max(n, 1), (done - built) / one, float(evals)))
     return bench.spark.createDataFrame(rows, "method string, update_ms double, query_s double, n_eval double")
 
 
