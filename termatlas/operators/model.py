@@ -148,8 +148,15 @@ def ring_rows(summary: DataFrame, table: DataFrame, radii: list[float], candidat
     """Fit rows from the bands of all centres, or the first `candidates`. table: row, band, cells, mean_dist, small and broadcast.
 
     distances: 'cells' takes the mean distance of a band's cells, 'mid' the band's middle.
+    Likelihoods can only be compared of centres that saw about the same arrivals: a counter that was taken
+    late may hold next to none, and is left out when it saw less than half of what the fullest did.
     """
-    c = summary.select("term", "total", F.posexplode(_first(candidates)).alias("rank", "c")).select("term", "total", "rank", F.col("c.cell").alias("center_cell"), F.col("c.f").alias("f"), F.col("c.rings").alias("rings"))
+
+    def seen(c: Column) -> Column:
+        return c["f"] + F.aggregate(c["rings"], F.lit(0.0), lambda s, x: s + x)
+
+    each = summary.select("term", "total", F.array_max(F.transform("centers", seen)).alias("most"), F.posexplode(_first(candidates)).alias("rank", "c"))
+    c = each.where(2 * seen(F.col("c")) >= F.col("most")).select("term", "total", "rank", F.col("c.cell").alias("center_cell"), F.col("c.f").alias("f"), F.col("c.rings").alias("rings"))
     mids = R.mean_distance(radii, distances)
     place = F.col("mean_dist") if mids is None else F.element_at(F.array(*map(F.lit, mids)), F.col("band") + 1)
     by_row = table.select("row", F.struct("band", place.alias("d"), "cells").alias("t")).groupBy("row").agg(F.array_sort(F.collect_list("t")).alias("ts"))
