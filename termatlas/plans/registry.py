@@ -406,23 +406,44 @@ _SPREADS, _FOCUSES = tuple(k / 4 for k in range(4, 25)), tuple(k / 100 for k in
 _MIDS = "CASE band " + " ".join(f"WHEN {k} THEN {d}" for k, d in enumerate(R.mean_distance(list(GRID_EDGES)))) + " END"
 
 
-@query(
-    EVENTS
-    + f""", {_EXACT}, {_TABLE}, fitrows AS (
+_LATTICE = f"""{_EXACT}, {_TABLE}, fitrows AS (
   SELECT r.term, r.cell AS center_cell, t.total, {_MIDS.replace("band", "tab.band", 1)}::DOUBLE AS d, coalesce(b.n, 0)::DOUBLE AS n, tab.cells::DOUBLE AS cells
   FROM ranked r JOIN totals t ON t.term = r.term JOIN tab ON tab.row = r.cell // 360 LEFT JOIN bands b ON b.term = r.term AND b.center_cell = r.cell AND b.band = tab.band WHERE r.rank = 1),
 lattice AS (
   SELECT f.term, f.center_cell, s.spread::DOUBLE AS spread, c.focus::DOUBLE AS focus,
     round(sum(f.n * ln(least(c.focus * pow(greatest(f.d, 1), -s.spread), 1 - 1e-12)) + greatest(f.total * f.cells - f.n, 0) * ln(1 - least(c.focus * pow(greatest(f.d, 1), -s.spread), 1 - 1e-12))), 3) AS loglik
   FROM fitrows f, (SELECT unnest({list(_SPREADS)}) AS spread) s, (SELECT unnest({list(_FOCUSES)}) AS focus) c GROUP BY ALL),
-best AS (SELECT *, row_number() OVER (PARTITION BY term ORDER BY loglik DESC, spread, focus) AS r FROM lattice)
-SELECT term, center_cell, focus, spread, round(loglik, 1) AS loglik FROM best WHERE r = 1"""
-)
+best AS (SELECT *, row_number() OVER (PARTITION BY term ORDER BY loglik DESC, spread, focus) AS r FROM lattice)"""
+
+
+def _arc_sql(a: str, b: str) -> str:
+    """Great-circle distance of two cells' centres in cells of one degree."""
+    lat, lon = ((f"({c} // 360 - 89.5)::DOUBLE" for c in (a, b)), (f"({c} % 360 - 179.5)::DOUBLE" for c in (a, b)))
+    (lat_a, lat_b), (lon_a, lon_b) = lat, lon
+    h = f"pow(sin((radians({lat_b}) - radians({lat_a})) / 2), 2) + cos(radians({lat_a})) * cos(radians({lat_b})) * pow(sin(radians({lon_b} - {lon_a}) / 2), 2)"
+    return f"degrees(2 * asin(sqrt(least({h}, 1.0))))"
+
+
+def _decay_sql(a: str, b: str, focus: str, spread: str) -> str:
+    return f"least({focus} * pow(greatest({_arc_sql(a, b)}, 1.0), -({spread})), 1.0)"
+
+
+_MODELS = f"{_LATTICE}, models AS MATERIALIZED (SELECT b.term, b.center_cell, b.focus, b.spread, t.total FROM best b JOIN totals t ON t.term = b.term WHERE r = 1)"
+
+
+@query(EVENTS + f", {_LATTICE} SELECT term, center_cell, focus, spread, round(loglik, 1) AS loglik FROM best WHERE r = 1")
 def fit_lattice_rings(spark, sf):
     fitted = M.fit_lattice(_grid_fit_rows(spark, sf), list(_SPREADS), list(_FOCUSES))
     return fitted.select("term", "center_cell", "focus", "spread", F.round("loglik", 1).alias("loglik"))
 
 
+def _lattice_models(spark: SparkSession, sf: str) -> DataFrame:
+    """Each term's model of the lattice fit, with its total."""
+    fitted = M.fit_lattice(_grid_fit_rows(spark, sf), list(_SPREADS), list(_FOCUSES))
+    totals = exact.counts(_occ(spark, sf)).groupBy("term").agg(F.sum("n").alias("total"))
+    return materialize(fitted.join(totals, "term"), "models")
+
+
 @query()
 def fit_lattice_two_stage(spark, sf):
     return M.fit_two_stage(_grid_fit_rows(spark, sf))
@@ -461,7 +482,15 @@ def best_center(spark, sf):
     return methods.ring_model_exact(_occ(spark, sf), 50, R.band_table(spark, radii), radii).models.select("term", "center_cell")
 
 
-@query()
+_AT = _decay_sql("r.cell", "g.i", "0.08", "2.8")
+
+
+@query(
+    EVENTS
+    + f""", every AS (SELECT r.term, r.cell AS center_cell, t.total, coalesce(c.n, 0)::DOUBLE AS n, greatest(least({_AT}, 1 - 1e-12), 1e-300) AS p
+  FROM ranked r JOIN totals t ON t.term = r.term CROSS JOIN (SELECT i::INTEGER AS i FROM range(64800) t(i)) g LEFT JOIN counts c ON c.term = r.term AND c.cell = g.i WHERE r.rank = 1)
+SELECT term, center_cell, round(sum(n * ln(p) + (total - n) * ln(1 - p)), 2) AS loglik FROM every GROUP BY term, center_cell"""
+)
 def cell_loglik(spark, sf):
     """Log-likelihood over every cell of the map at fixed parameters: one distance a cell."""
     c = exact.counts(_occ(spark, sf))
@@ -509,6 +538,37 @@ def place_frequency_model(spark, sf):
     return _ring_atlas(spark, sf).place_frequency(_asked(exact.counts(_occ(spark, sf))), how="model")
 
 
+_MODEL_AT = f", {_MODELS}, around AS (SELECT a.term, a.cell, m.total * {_decay_sql('m.center_cell', 'a.cell', 'm.focus', 'm.spread')} AS mean FROM asked a JOIN models m ON m.term = a.term)"
+
+
+@query("SELECT qid, term, cell, round(est, 6) AS est, lower, upper, how FROM (" + _frequency_sql("g.mean", "model", _MODEL_AT) + ")")
+def place_frequency_lattice(spark, sf):
+    """Counters where they are kept, elsewhere the lattice models."""
+    occ = _occ(spark, sf)
+    got = answers.place_frequency(counters.build(occ, 10), _asked(exact.counts(occ)), _lattice_models(spark, sf))
+    return got.withColumn("est", F.round("est", 6))
+
+
+@query(EVENTS + f", {_MODELS}, {_ASKED} SELECT a.cell::BIGINT AS qid, a.term, a.cell, round(m.total * {_decay_sql('m.center_cell', 'a.cell', 'm.focus', 'm.spread')}, 6) AS est FROM asked a JOIN models m ON m.term = a.term")
+def place_frequency_lattice_only(spark, sf):
+    """The lattice models alone, counters unused."""
+    occ = _occ(spark, sf)
+    got = answers.place_frequency(counters.build(occ, 10), _asked(exact.counts(occ)), _lattice_models(spark, sf), how="model")
+    return got.select("qid", "term", "cell", F.round("est", 6).alias("est"))
+
+
+@query(
+    EVENTS
+    + f", {_MODELS} SELECT 'box' AS region, m.term, round(sum(m.total * {_decay_sql('m.center_cell', 'g.i', 'm.focus', 'm.spread')}), 4) AS est "
+    "FROM models m, (SELECT i::INTEGER AS i FROM range(64800) t(i) WHERE i // 360 BETWEEN 120 AND 149 AND i % 360 BETWEEN 160 AND 219) g GROUP BY m.term"
+)
+def region_frequency_lattice(spark, sf):
+    """Expected arrivals of a box by the lattice models."""
+    boxes = R.cells(spark).where("lat between 30 and 60 and lon between -20 and 40").select(F.lit("box").alias("region"), "cell")
+    got = answers.region_frequency(counters.build(_occ(spark, sf), 10), _lattice_models(spark, sf), boxes, how="model")
+    return got.withColumn("est", F.round("est", 4))
+
+
 _PAIRS = (("purchase", "view"), ("click", "view"), ("error", "view"), ("click", "signup"))
 
 
@@ -584,6 +644,48 @@ def place_frequency_multi(spark, sf):
     return answers.place_frequency_multi(atlas.candidates, atlas.summary, asked)
 
 
+_ASKED_PAIRS = "pairs(qid, a, b) AS (VALUES " + ", ".join(f"({k}, '{a}', '{b}')" for k, (a, b) in enumerate(_PAIRS)) + ")"
+
+
+def _joint_sql(cell: str) -> dict[str, str]:
+    x, y = (_decay_sql(f"{m}.center_cell", cell, f"{m}.focus", f"{m}.spread") for m in "xy")
+    return {"independent": f"{x} * {y}", "bound": f"least({x}, {y})"}
+
+
+def _joint_surface(dependence: str) -> None:
+    sql = f"""{EVENTS}, {_MODELS}, {_ASKED_PAIRS}, surface AS (SELECT q.qid, g.i AS cell, {_joint_sql("g.i")[dependence]} AS p
+  FROM pairs q JOIN models x ON x.term = q.a JOIN models y ON y.term = q.b CROSS JOIN (SELECT i::INTEGER AS i FROM range(64800) t(i)) g)
+SELECT qid::BIGINT AS qid, cell, round(p * 1e9, 3) AS p_e9 FROM surface"""
+
+    def run(spark: SparkSession, sf: str) -> DataFrame:
+        asked = _pairs(spark).select("qid", F.array("a", "b").alias("terms"))
+        p = answers.joint(_lattice_models(spark, sf), asked, R.cells(spark), dependence)
+        return p.select("qid", "cell", F.round(F.col("p") * 1e9, 3).alias("p_e9"))
+
+    run.__name__ = f"joint_surface_{dependence}"
+    query(sql)(run)
+
+
+for _dep in ("independent", "bound"):
+    _joint_surface(_dep)
+
+
+@query(
+    EVENTS
+    + f", {_MODELS}, {_ASKED_PAIRS} "
+    + " UNION ALL ".join(
+        f"SELECT q.qid::BIGINT AS qid, g.cell, '{k}' AS dependence, round({p} * least(x.total, y.total), 6) AS est FROM pairs q JOIN models x ON x.term = q.a JOIN models y ON y.term = q.b CROSS JOIN (SELECT unnest([46906, 49862])::INTEGER AS cell) g"
+        for k, p in _joint_sql("g.cell").items()
+    )
+)
+def place_frequency_multi_lattice(spark, sf):
+    """Two terms at two places by the lattice models, independent and at most."""
+    models = _lattice_models(spark, sf)
+    asked = _pairs(spark).select("qid", F.array("a", "b").alias("terms"), F.explode(F.array(F.lit(46906), F.lit(49862))).alias("cell"))
+    each = [answers.place_frequency_multi(models, models, asked, k).select("qid", "cell", F.lit(k).alias("dependence"), F.round("est", 6).alias("est")) for k in ("independent", "bound")]
+    return each[0].unionByName(each[1])
+
+
 @query()
 def two_center_surface(spark, sf):
     c = exact.counts(adapters.two_centres(spark, sf))
