@@ -77,6 +77,16 @@ def decay(distance: Column | str, focus: Column | str, spread: Column | str, min
     return F.when(d.isNotNull() & p.isNotNull(), F.least(p, F.lit(1.0)))
 
 
+MOST_ON_CELLS = 10_000
+
+
+def on_every_cell(grid: DataFrame, rows: DataFrame, most: int = MOST_ON_CELLS) -> DataFrame:
+    """Each of rows with each cell of the grid. At most `most` rows are broadcast to the cells; of more, both sides stay
+    distributed and Spark chooses by their sizes."""
+    cells = grid.select("cell")
+    return cells.join(F.broadcast(rows), F.lit(True)) if rows.limit(most + 1).count() <= most else rows.crossJoin(cells)
+
+
 def register_sql(spark: SparkSession) -> None:
     """cell_id, arc_cells and decay_prob as SQL functions; Catalyst inlines their bodies."""
     n = columns()

@@ -68,8 +68,8 @@ def place_frequency(summary: DataFrame, asked: DataFrame, models: DataFrame | No
 
 
 def region_frequency(summary: DataFrame, models: DataFrame, regions: DataFrame, how: str = "auto", size_e6: int = geo.SIZE) -> DataFrame:
-    """region, term, est: sums over the cells of regions (region, cell) for every modelled term; models are few."""
-    cells = regions.select("cell").distinct().join(F.broadcast(models.select("term").distinct()), F.lit(True)).withColumn("qid", F.monotonically_increasing_id())
+    """region, term, est: sums over the cells of regions (region, cell) for every modelled term."""
+    cells = geo.on_every_cell(regions.select("cell").distinct(), models.select("term").distinct()).withColumn("qid", F.monotonically_increasing_id())
     est = place_frequency(summary, cells, models, how, size_e6).select("term", "cell", "est")
     return est.join(regions, "cell").groupBy("region", "term").agg(F.sum("est").alias("est"))
 
@@ -79,7 +79,7 @@ def joint(models: DataFrame, asked: DataFrame, cells: DataFrame, dependence: str
 
     independent: the product; bound: the smallest. pairing 'rank' joins the models of equal
     rank of the terms (k ranks), 'best' each term's likeliest. Queries in which a term has no model
-    have no rows. Cells are the probe side and stay where they are; models are broadcast.
+    have no rows. Queries are broadcast to the cells where they are few (geo.MOST_ON_CELLS).
     """
     m = models.select("term", "rank", "center_cell", "focus", "spread", "loglik")
     if pairing == "best":
@@ -87,7 +87,7 @@ def joint(models: DataFrame, asked: DataFrame, cells: DataFrame, dependence: str
     m = m.where(F.col("rank") < k) if pairing == "rank" else m
     t = asked.select("qid", F.array_distinct("terms").alias("terms")).select("qid", F.size("terms").alias("wanted"), F.explode("terms").alias("term"))
     each = t.join(m, "term").groupBy("qid", "rank", "wanted").agg(F.collect_list(F.struct("center_cell", "focus", "spread")).alias("ms")).where(F.size("ms") == F.col("wanted"))
-    rows = cells.select("cell").join(F.broadcast(each), F.lit(True))
+    rows = geo.on_every_cell(cells, each)
     # a query's models on one row: the joint value needs no shuffle of the surface
     ps = F.transform("ms", lambda x: geo.decay(geo.cell_distance(x["center_cell"], F.col("cell"), size_e6), x["focus"], x["spread"]))
     p = F.aggregate(ps, F.lit(1.0), lambda s, x: s * x) if dependence == "independent" else F.array_min(ps)

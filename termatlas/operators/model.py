@@ -263,8 +263,8 @@ def band_loglik(bands: Column, total: Column, focus: Column, spread: Column, lik
 
 
 def cell_loglik(counts: DataFrame, params: DataFrame, grid: DataFrame, likelihood: str = "trial", size_e6: int = geo.SIZE) -> DataFrame:
-    """term, center_cell, loglik over every cell of the grid: one distance a cell. params: term, center_cell, focus, spread, total; few, broadcast."""
-    cells = grid.select("cell").join(F.broadcast(params), F.lit(True)).join(counts, ["term", "cell"], "left").withColumn("n", F.coalesce("n", F.lit(0)).cast("double"))
+    """term, center_cell, loglik over every cell of the grid: one distance a cell. params: term, center_cell, focus, spread, total."""
+    cells = geo.on_every_cell(grid, params).join(counts, ["term", "cell"], "left").withColumn("n", F.coalesce("n", F.lit(0)).cast("double"))
     p = F.greatest(F.least(geo.decay(geo.cell_distance("center_cell", "cell", size_e6), "focus", "spread"), F.lit(1 - 1e-12)), F.lit(1e-300))
     if likelihood == "trial":
         hit, miss = F.col("n"), F.col("total") - F.col("n")
@@ -300,9 +300,9 @@ def fit_two_stage(rows: DataFrame, steps: int = 12, alpha_max: float = ALPHA_MAX
 
 
 def surface(models: DataFrame, grid: DataFrame, size_e6: int = geo.SIZE) -> DataFrame:
-    """term, cell, p, est of each model on every cell; models are few and broadcast."""
+    """term, cell, p, est of each model on every cell."""
     d = geo.cell_distance("center_cell", "cell", size_e6)
-    rows = grid.select("cell").join(F.broadcast(models.select("term", "center_cell", "focus", "spread", "total")), F.lit(True))
+    rows = geo.on_every_cell(grid, models.select("term", "center_cell", "focus", "spread", "total"))
     return rows.withColumn("p", geo.decay(d, "focus", "spread")).select("term", "cell", "p", (F.col("p") * F.col("total")).alias("est"))
 
 

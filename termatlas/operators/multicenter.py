@@ -49,7 +49,7 @@ def fit_joint(counts: DataFrame, centres: DataFrame, grid: DataFrame, rounds: in
     radii = M.fine_radii(n=fine)
     c = centres.groupBy("term", "total").agg(F.array_sort(F.collect_list(F.struct("rank", "cell"))).alias("cs")).select("term", "total", F.transform("cs", lambda x: x["cell"]).alias("cs"))
     d = F.transform("cs", lambda x: geo.cell_distance(x, F.col("cell"), size_e6))
-    cells = grid.select("cell").join(F.broadcast(c), F.lit(True)).join(counts, ["term", "cell"], "left").withColumn("d", d)
+    cells = geo.on_every_cell(grid, c).join(counts, ["term", "cell"], "left").withColumn("d", d)
     key = F.transform("d", lambda x: F.coalesce(R.band(x, radii), F.lit(-1)))
     classes = cells.groupBy("term", "total", "cs", key.alias("key")).agg(F.count("*").alias("cells"), F.sum(F.coalesce("n", F.lit(0))).alias("n"), F.max("d").alias("d"))
     rows = classes.groupBy("term", "total", "cs").agg(F.collect_list(F.struct("d", "n", "cells")).alias("classes"))
@@ -97,7 +97,7 @@ def assign_refit(counts: DataFrame, centres: DataFrame, table: DataFrame, radii:
     models = materialize(M.fit(M.cell_rows(counts, centres, table, radii, size_e6), source="assigned"), "centres")
     for _ in range(rounds):
         p = geo.decay(geo.cell_distance("center_cell", "cell", size_e6), "focus", "spread")
-        chance = own.join(F.broadcast(models.select("term", "center_cell", "focus", "spread")), ["term", "center_cell"]).withColumn("p", p)
+        chance = own.join(models.select("term", "center_cell", "focus", "spread"), ["term", "center_cell"]).withColumn("p", p)
         best = chance.groupBy("term", "cell", "n").agg(F.max_by(F.struct("rank", "center_cell"), F.struct("p", -F.col("rank"))).alias("b"))
         mine = materialize(best.select(F.concat_ws("\x1f", "term", F.col("b.rank").cast("string")).alias("term"), "cell", "n"), "assigned")
         split = centres.withColumn("term", F.concat_ws("\x1f", "term", F.col("rank").cast("string")))
@@ -111,7 +111,7 @@ def grow(counts: DataFrame, grid: DataFrame, threshold: float, most: int = 4, ap
     errors, models = [], None
     for k in range(1, most + 1):
         models = materialize(fit_joint(counts, distant_centres(counts, k, apart, size_e6=size_e6), grid, size_e6=size_e6), "multi")
-        est = counts.join(F.broadcast(models), "term").withColumn("est", F.col("total") * probability(F.col("centers"), F.col("cell"), size_e6))
+        est = counts.join(models, "term").withColumn("est", F.col("total") * probability(F.col("centers"), F.col("cell"), size_e6))
         errors.append(est.agg(F.avg(F.abs(F.col("est") - F.col("n")))).first()[0] or 0.0)
         if errors[-1] < threshold:
             break
@@ -121,7 +121,7 @@ def grow(counts: DataFrame, grid: DataFrame, threshold: float, most: int = 4, ap
 def surface(models: DataFrame, grid: DataFrame, size_e6: int = geo.SIZE) -> DataFrame:
     """term, cell, p, est of MULTI on every cell."""
     p = probability(F.col("centers"), F.col("cell"), size_e6)
-    return grid.select("cell").join(F.broadcast(models), F.lit(True)).select("term", "cell", p.alias("p"), (p * F.col("total")).alias("est"))
+    return geo.on_every_cell(grid, models).select("term", "cell", p.alias("p"), (p * F.col("total")).alias("est"))
 
 
 def strongest(models: DataFrame) -> DataFrame:

@@ -446,10 +446,10 @@ def band_table(spark: SparkSession, radii: list[float], size_e6: int = geo.SIZE,
 
 
 def masked_band_table(grid: DataFrame, centres: DataFrame, radii: list[float], size_e6: int = geo.SIZE, overflow: str = "last") -> DataFrame:
-    """center_cell, band, cells, mean_dist with only the cells of a (masked) grid, for given centres: a bounded side, broadcast."""
+    """center_cell, band, cells, mean_dist with only the cells of a (masked) grid, for given centres."""
     d = geo.cell_distance("center_cell", "cell", size_e6)
     c = centres.select(F.col("cell").alias("center_cell")).distinct()
-    rows = grid.select("cell").join(F.broadcast(c), F.lit(True)).withColumn("d", d).withColumn("band", band("d", radii, overflow=overflow)).where(F.col("band").isNotNull())
+    rows = geo.on_every_cell(grid, c).withColumn("d", d).withColumn("band", band("d", radii, overflow=overflow)).where(F.col("band").isNotNull())
     return rows.groupBy("center_cell", "band").agg(F.count("*").alias("cells"), F.avg("d").alias("mean_dist"))
 
 

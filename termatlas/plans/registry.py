@@ -992,9 +992,8 @@ def hourly_range_frame(spark, sf):
 
 @query(f"WITH {_DOCS} SELECT cell, count(DISTINCT msg_id) AS messages FROM occ WHERE msg_id NOT IN (SELECT d.doc_id FROM documents d WHERE EXISTS (SELECT 1 FROM benchmark b WHERE contains(d.text, b.text))) GROUP BY cell")
 def uncontaminated_anti(spark, sf):
-    """Messages without a passage of the benchmark, a table of a few hundred rows."""
-    docs, bench = read(spark, sf, "documents"), read(spark, sf, "benchmark")
-    hit = docs.select("doc_id", "text").join(F.broadcast(bench.select(F.col("text").alias("passage"))), F.contains(F.col("text"), F.col("passage"))).select(F.col("doc_id").alias("msg_id")).distinct()
+    """Messages without a passage of the benchmark."""
+    hit = workloads.holding(read(spark, sf, "documents"), read(spark, sf, "benchmark")).select(F.col("doc_id").alias("msg_id"))
     return adapters.documents(spark, sf).join(hit, "msg_id", "left_anti").groupBy("cell").agg(F.count_distinct("msg_id").alias("messages"))
 
 
@@ -1012,12 +1011,12 @@ def sql_cell_function(spark, sf):
     return spark.sql("SELECT term, cell_id(lon_e6, lat_e6) AS cell, count(*) AS n FROM occ GROUP BY 1, 2")
 
 
-@query()
+@query(f"SELECT cell, round(p, 9) AS p FROM (SELECT i::INTEGER AS cell, {_decay_sql('46906', 'i', '0.09', '3.2')} AS p FROM range(64800) t(i)) WHERE p >= 0.0001")
 def sql_surface(spark, sf):
     from termatlas.functions import sql
 
     sql.register(spark)
-    return spark.sql("SELECT * FROM surface(46906, 0.09D, 3.2D, 0.0001D)")
+    return spark.sql("SELECT cell, round(p, 9) AS p FROM surface(46906, 0.09D, 3.2D, 0.0001D)")
 
 
 @query(EVENTS + "SELECT term, least(50, count(*)) * 13 AS words, least(50, count(*)) * 13 * 8 AS bytes FROM counts GROUP BY term")

@@ -245,3 +245,30 @@ def moving(spark: SparkSession, sf_dir: str, capacity: int = 50, size: str = "7
     """term, window_start, cell, f: the hottest place of sliding windows over a stream whose centres move east."""
     rows = counters.windowed(adapters.drifting(spark, sf_dir), capacity, size, slide)
     return rows.select("term", "window_start", F.col("centers")[0]["cell"].alias("cell"), F.col("centers")[0]["f"].alias("f"))
+
+
+SHORT, MOST_SHORT = 5, 1000
+
+
+def holding(docs: DataFrame, passages: DataFrame) -> DataFrame:
+    """doc_id of the documents whose text contains a passage's text.
+
+    A passage's second to fourth words stand between white space, so they are words of each text that holds it: documents and
+    passages meet by these three words and `contains` confirms. Passages of fewer than SHORT words, of which there may be
+    at most MOST_SHORT, are looked for in every text. Null texts hold nothing and are held by none.
+    """
+    docs = docs.select("doc_id", "text").where("text is not null")
+    p = passages.select(F.col("text").alias("passage")).where("text is not null").distinct().withColumn("w", F.split("passage", "[ \\t-\\r]+"))
+    short = p.where(F.size("w") < SHORT).select("passage")
+    if (n := short.limit(MOST_SHORT + 1).count()) > MOST_SHORT:
+        raise ValueError(f"over {MOST_SHORT} passages of fewer than {SHORT} words")
+    key = lambda words, k: F.xxhash64(*(F.element_at(words, k + j) for j in range(3)))
+    wanted = p.where(F.size("w") >= SHORT).select(key(F.col("w"), F.lit(2)).alias("key"), "passage")
+    words = docs.withColumn("w", F.split("text", "[ \\t-\\r]+"))
+    at = F.transform(F.sequence(F.lit(1), F.size("w") - 2), lambda k: key(F.col("w"), k))
+    places = words.where(F.size("w") >= 3).select("doc_id", F.explode(F.array_distinct(at)).alias("key"))
+    near = places.join(wanted, "key").select("doc_id", "passage").distinct()
+    hit = near.join(docs, "doc_id").where(F.contains("text", "passage")).select("doc_id")
+    if n:
+        hit = hit.unionByName(docs.join(F.broadcast(short), F.contains("text", "passage")).select("doc_id"))
+    return hit.distinct()
