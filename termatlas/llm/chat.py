@@ -1,8 +1,10 @@
 """Transcripts to canonical turns by a hidden Markov model over lines (operator 1).
 
 A state is a role at the first line of a turn or within one. A line's symbol joins its
-speaker marker's class, whether it asks, and its length. The model's tables are smoothed
-counts over all labelled lines outside the holdout. Viterbi runs over whole transcripts in
+speaker marker's class, whether it asks, its length, and whether it opens its row. The model's
+tables are smoothed counts over all labelled lines outside the holdout. Whether a line opens its
+row counts only for lines without a role's marker, with probabilities of at least LEAN, so rows that hold
+several turns, or parts of one, are parsed too. Viterbi runs over whole transcripts in
 blocks of at most BLOCK rows, cut from all rows in order, so that many rows without a
 position, or at the same one, are many blocks: each block gives the best score from any state before it to any
 state at its end, a small matrix; the matrices of a transcript are chained, and each
@@ -37,7 +39,9 @@ STATES = len(ROLES) * 2  # role * 2 + (0 first line, 1 within)
 NAMES = {"system": ("system", "sys", "instruction", "instructions"), "user": ("user", "human", "q", "question", "customer", "me"), "assistant": ("assistant", "bot", "ai", "a", "answer", "agent", "model")}
 CLASS = {n: i for i, r in enumerate(ROLES) for n in NAMES[r]}
 MARKER = re.compile(r"\s*(?:#{1,4}\s*|\[|<\|?|\*\*)?([A-Za-z]{1,14})(?:\]|\|?>|\*\*)?\s*:\s?")
-OTHER, NONE, SYMBOLS = 3, 4, 5 * 2 * 4
+OTHER, NONE, SYMBOLS = 3, 4, 5 * 2 * 4 * 2
+#: the least probability that a line opens its row, or doesn't, in any state
+LEAN = 0.05
 
 
 def marker(line: str) -> tuple[int, int]:
@@ -49,9 +53,9 @@ def marker(line: str) -> tuple[int, int]:
     return found, m.end() if found < OTHER else 0
 
 
-def symbol(line: str) -> int:
+def symbol(line: str, opens: bool) -> int:
     n = len(line)
-    return (marker(line)[0] * 2 + ("?" in line)) * 4 + (n > 0) + (n > 40) + (n > 160)
+    return ((marker(line)[0] * 2 + ("?" in line)) * 4 + (n > 0) + (n > 40) + (n > 160)) * 2 + opens
 
 
 @dataclass
@@ -71,10 +75,13 @@ class Model:
                 if t % 2 and t // 2 != s // 2:
                     move[s, t] = -1e9  # a turn keeps its role
         # a line's parts are taken as independent: rare combinations keep what each part says
-        by_part = emit.reshape(STATES, 5, 2, 4)
-        marks, asks, sizes = log(by_part.sum(axis=(2, 3)), smooth / 20), log(by_part.sum(axis=(1, 3))), log(by_part.sum(axis=(1, 2)))
-        both = marks[:, :, None, None] + asks[:, None, :, None] + sizes[:, None, None, :]
-        return cls(start, move, both.reshape(STATES, SYMBOLS))
+        by_part = emit.reshape(STATES, 5, 2, 4, 2)
+        marks, asks, sizes = log(by_part.sum(axis=(2, 3, 4)), smooth / 20), log(by_part.sum(axis=(1, 3, 4))), log(by_part.sum(axis=(1, 2, 4)))
+        every = (marks[:, :, None, None, None] + asks[:, None, :, None, None] + sizes[:, None, None, :, None]).repeat(2, axis=4)
+        # a role's marker tells by itself that a turn begins: the place in the row tells of other lines only
+        opens = np.log(LEAN + (1 - 2 * LEAN) * np.exp(log(by_part[:, OTHER:].sum(axis=(1, 2, 3)))))
+        every[:, OTHER:] += opens[:, None, None, None, :]
+        return cls(start, move, every.reshape(STATES, SYMBOLS))
 
     def through(self, seen: np.ndarray, initial: bool) -> np.ndarray:
         """Best scores from each state before the lines (one row for the start) to each state at their end."""
@@ -115,7 +122,7 @@ def fit(pieces: DataFrame) -> Model:
                 r = ROLES.index(role)
                 each = lines(text)
                 for i, line in enumerate(each):
-                    seen["emit", 2 * r + (i > 0), symbol(line)] += 1
+                    seen["emit", 2 * r + (i > 0), symbol(line, i == 0)] += 1
                 if len(each) > 1:
                     seen["move", 2 * r, 2 * r + 1] += 1
                     seen["move", 2 * r + 1, 2 * r + 1] += len(each) - 2
@@ -176,7 +183,7 @@ def parse(pieces: DataFrame, model: Model) -> DataFrame:
     order = [*key, "place"]
 
     def seen_of(group: pd.DataFrame) -> np.ndarray:
-        return np.array([symbol(x) for t in group.text for x in lines(t)])
+        return np.array([symbol(x, i == 0) for t in group.text for i, x in enumerate(lines(t))])
 
     def chain(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         def each(group: pd.DataFrame) -> pd.DataFrame:

@@ -418,6 +418,14 @@ def test_op1_recovers_roles(spark, sf):
     assert "<|assistant|>\nyes\n<|end|>\n<|user|>\nno?" in chat.by_row(chat.parse(one, chat.fit(p))).where("id = 2").first().rendered
 
 
+def test_op1_recovers_turns_without_a_marker(spark):
+    c = spark.read.parquet("/root/testdata/sf0.01/conversations.parquet")
+    p = chat.transcribe(c)
+    got = chat.by_row(chat.parse(p, chat.fit(p))).join(p.select("id", "seq", "role", "text"), ["id", "seq"]).toPandas()
+    bare = got[[chat.marker(chat.lines(t)[0])[0] >= chat.OTHER for t in got.text]]
+    assert len(bare) >= 20 and (bare.role == bare.recovered).mean() > 0.8
+
+
 def test_op1_keeps_rows_without_keys_and_equal_rows(spark, sf):
     c = spark.read.parquet(f"{sf}/conversations.parquet")
     model = chat.fit(chat.transcribe(c))
