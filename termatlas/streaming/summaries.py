@@ -43,8 +43,7 @@ class Keeper(StatefulProcessor):
     def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timerValues) -> Iterator[pd.DataFrame]:  # noqa: N802, N803
         frame = pd.concat(list(rows), ignore_index=True).sort_values(["ts", "seq", "msg_id", "cell"], kind="stable")
         state = _thaw(self.kept.get()[0], self.make()) if self.kept.exists() else self.make()
-        for cell, seq in zip(frame.cell.tolist(), frame.seq.tolist(), strict=True):
-            state.observe(int(cell), 1, int(seq))
+        state.observe_all(frame.cell.to_numpy(), np.ones(len(frame), np.int64), frame.seq.to_numpy())
         self.kept.update((_freeze(state),))
         yield pd.DataFrame([state.row(key[0])])
 

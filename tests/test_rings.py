@@ -134,3 +134,39 @@ def test_distances_and_levels(spark):
     one = spark.createDataFrame([("a", a, 8.0)], "term string, cell int, est double")
     fine = geo.drill_down(one, 2)
     assert fine.agg(F.sum("est")).first()[0] == 8.0 and fine.select("sub_cell").distinct().count() == 4
+
+
+def test_one_replay_serves_several_lists_of_radii(spark):
+    occ, lists = stream(spark, [(t, 40_000 + c * 7) for t, c in random_rows()]), [R.edges(ratio=0.3), R.edges(), [2.0, 40.0]]
+    every = R.build_each(occ, 5, lists).collect()
+    for i, radii in enumerate(lists):
+        want = {r.term: r for r in R.build(occ, 5, radii).collect()}
+        got = {r.term: r for r in every if r.list == i}
+        assert got.keys() == want.keys() and len(got) > 1
+        for t, r in got.items():
+            assert [(c.cell, c.f, c.err) for c in r.centers] == [(c.cell, c.f, c.err) for c in want[t].centers]
+            assert all(np.allclose(a.rings, b.rings) and len(a.rings) == len(radii) for a, b in zip(r.centers, want[t].centers, strict=True))
+
+
+@pytest.mark.parametrize("policy", ["transfer", "reset", "nearby_skip"])
+def test_a_replay_measures_distances_many_at_a_time(policy):
+    cells, calls = np.array(cells_of(5000)), []
+    s = R.RingState(6, R.edges(), policy)
+    between = s.sphere.between
+    s.sphere.between = lambda *a: calls.append(1) or between(*a)
+    s.observe_all(cells, np.ones(5000, int), np.arange(5000))
+    one = replay(policy, cells.tolist())
+    assert s.slot == one.slot and np.allclose(s.rings, one.rings) and s.replaced > 500
+    assert len(calls) < 1000
+
+
+def test_replays_of_runs_longer_than_the_buffer_and_of_many_cells(monkeypatch):
+    monkeypatch.setattr(R, "WAITING", 64)
+    monkeypatch.setattr(R, "ROOM", 100)
+    cells = np.array(cells_of(900))
+    whole, want = R.RingState(6, R.edges()), replay("transfer", cells.tolist())
+    monkeypatch.setattr(R, "WIDE", 10)
+    direct = R.RingState(6, R.edges())
+    for s in (whole, direct):
+        s.observe_all(cells, np.ones(900, int), np.arange(900))
+        assert s.slot == want.slot and np.allclose(s.rings, want.rings) and (s.born == want.born).all()
