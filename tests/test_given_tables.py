@@ -8,6 +8,7 @@ import pytest
 import __spark_entry__ as entry
 
 NAMES = [
+    "equal_space_capacity",
     "ring_counts_by_ratio",
     "ring_edges",
     "cells_dim",
