@@ -8,6 +8,7 @@ import pytest
 import __spark_entry__ as entry
 
 NAMES = [
+    "sql_surface",
     "small_stream_example",
     "ring_transfer_example",
     "band_of_pairs",
