@@ -89,6 +89,9 @@ def session_bursts(occ: DataFrame, gap: str = "10 minutes") -> DataFrame:
 
 def co_occurrence(left: DataFrame, right: DataFrame, hours: int = 1) -> DataFrame:
     """Pairs of arrivals of two streams (or batches) at one cell within some hours; both need watermarks as streams."""
-    a, b = left.alias("a"), right.alias("b")
-    near = (F.col("a.cell") == F.col("b.cell")) & (F.col("b.ts") >= F.col("a.ts")) & (F.col("b.ts") <= F.col("a.ts") + F.expr(f"interval {hours} hours"))
+    # arrivals meet by cell and slice of time, each of `hours`: those of a pair are in the same slice or in neighbouring ones
+    part = F.floor(F.unix_micros(F.col("ts").cast("timestamp")) / F.lit(hours * 3_600_000_000))
+    a = left.withColumn("slice", part).alias("a")
+    b = right.withColumn("slice", F.explode(F.array(part, part - 1))).alias("b")
+    near = (F.col("a.cell") == F.col("b.cell")) & (F.col("a.slice") == F.col("b.slice")) & (F.col("b.ts") >= F.col("a.ts")) & (F.col("b.ts") <= F.col("a.ts") + F.expr(f"interval {hours} hours"))
     return a.join(b, near).select(F.col("a.term").alias("a"), F.col("b.term").alias("b"), F.col("a.cell").alias("cell"), F.col("a.msg_id").alias("msg_a"), F.col("b.msg_id").alias("msg_b"))

@@ -55,3 +55,20 @@ def test_sinks(spark, sf, tmp_path):
     assert spark.read.parquet(str(tmp_path / "b")).count() == 5
     maps = sinks.map_features(counters.exploded(s).select("term", "cell", F.col("f").cast("double").alias("est")))
     assert maps.count() == 25 and '"Point"' in maps.first().feature
+
+
+def test_pairs_within_hours_meet_by_slices_of_time(spark):
+    import random
+
+    from termatlas.streaming import summaries
+
+    rng, hour = random.Random(7), 3600
+    edges = [k * hour + d for k in range(-2, 3) for d in (-1, 0, 1)]  # on both sides of the slices' borders
+    rows = [(i, rng.choice("xy"), rng.randrange(3), t) for i, t in enumerate(edges * 2 + [rng.randrange(-9 * hour, 9 * hour) for _ in range(120)])]
+    occ = spark.createDataFrame(rows, "msg_id long, term string, cell int, at long").withColumn("ts", F.timestamp_seconds("at"))
+    for hours in (1, 2):
+        got = summaries.co_occurrence(occ, occ, hours)
+        want = sorted((a[0], b[0]) for a in rows for b in rows if a[2] == b[2] and a[3] <= b[3] <= a[3] + hours * hour)
+        assert sorted((r.msg_a, r.msg_b) for r in got.collect()) == want
+        keys = got._jdf.queryExecution().executedPlan().toString()
+        assert "slice" in keys
