@@ -6,6 +6,7 @@ import itertools
 import random
 
 from termatlas.functions import geo
+from termatlas.operators import model as M
 from termatlas.operators import rings as R
 from termatlas.plans import workloads
 
@@ -29,3 +30,32 @@ def test_every_cell_with_few_and_with_many_rows(spark):
     grid, rows = R.cells(spark).where("cell < 30"), spark.range(20).withColumnRenamed("id", "k")
     few, many = (geo.on_every_cell(grid, rows, most=m) for m in (100, 5))
     assert {(r.cell, r.k) for r in few.collect()} == {(r.cell, r.k) for r in many.collect()} and many.count() == 600
+
+
+def test_tables_of_many_lists_equal_those_of_one(spark):
+    lists = [R.edges(), R.edges(ratio=0.9), M.fine_radii(n=64)]
+    size = 5_000_000
+    every = R.band_tables(spark, lists, size).collect()
+    for i, radii in enumerate(lists):
+        got = {(r.row, r.band): (r.cells, r.mean_dist) for r in every if r.list == i}
+        want = {(r.row, r.band): (r.cells, r.mean_dist) for r in R.band_table(spark, radii, size).collect()}
+        assert got.keys() == want.keys() and all(got[k][0] == want[k][0] and abs(got[k][1] - want[k][1]) < 1e-9 for k in want)
+    some = R.band_tables(spark, [[2.0, 9.0]], size, overflow="drop")
+    assert {(r.row, r.band, r.cells) for r in some.collect()} == {(r.row, r.band, r.cells) for r in R.band_table(spark, [2.0, 9.0], size, overflow="drop").collect()}
+
+
+def test_fits_of_cells_equal_those_of_rows(spark, monkeypatch):
+    monkeypatch.setattr(M, "BLOCK", 7)
+    rng = random.Random(5)
+    cells = [rng.randrange(180 * 360) for _ in range(20)]
+    counts = spark.createDataFrame([(t, c, rng.randrange(1, 40)) for t in "abc" for c in rng.sample(cells, 15)] + [("d", 0, 3)], "term string, cell int, n long")
+    radii = M.fine_radii(n=64)
+    table, centres = R.band_table(spark, radii), M.top_cells(counts, None)
+    for likelihood in ("trial", "presence", "share"):
+        want = {(r.term, r.center_cell): r for r in M.fit(M.cell_rows(counts, centres, table, radii), likelihood, source="cells").collect()}
+        got = {(r.term, r.center_cell): r for r in M.fit_cells(counts, centres, table, radii, likelihood, source="cells").collect()}
+        assert got.keys() == want.keys() and len(got) == 46
+        for k, w in want.items():
+            g = got[k]
+            assert (g["rank"], g.total, g.n_eval, g.source, g.fitted_at) == (w["rank"], w.total, w.n_eval, w.source, w.fitted_at)
+            assert abs(g.loglik - w.loglik) <= 1e-8 * abs(w.loglik) and abs(g.focus - w.focus) <= 1e-5 * w.focus and abs(g.spread - w.spread) < 1e-4
