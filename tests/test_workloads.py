@@ -5,10 +5,14 @@ from __future__ import annotations
 import itertools
 import random
 
+from pyspark.sql import functions as F
+
 from termatlas.functions import geo
+from termatlas.operators import counters
 from termatlas.operators import model as M
 from termatlas.operators import rings as R
 from termatlas.plans import workloads
+from termatlas.sources import adapters
 
 
 def test_holding_equals_brute_force(spark):
@@ -59,3 +63,18 @@ def test_fits_of_cells_equal_those_of_rows(spark, monkeypatch):
             g = got[k]
             assert (g["rank"], g.total, g.n_eval, g.source, g.fitted_at) == (w["rank"], w.total, w.n_eval, w.source, w.fitted_at)
             assert abs(g.loglik - w.loglik) <= 1e-8 * abs(w.loglik) and abs(g.focus - w.focus) <= 1e-5 * w.focus and abs(g.spread - w.spread) < 1e-4
+
+
+def test_heavy_terms_of_gathered_messages(spark, sf):
+    once = [(1, ["a", "b"]), (2, ["a"]), (3, ["a", "c"]), (4, []), (5, ["b"])]
+    for rows in (once, [*once, (1, ["a", "d"]), (2, ["a"])], [*once, (None, ["a", "c"])]):
+        docs = spark.createDataFrame(rows, "msg_id long, terms array<string>")
+        for share in (0.3, 0.5):
+            want = counters.heavy_terms(docs.select("msg_id", F.explode("terms").alias("term")), share)
+            assert sorted(counters.heavy_gathered(docs, share).collect()) == sorted(want.collect())
+    docs = adapters.gathered_documents(spark, sf)
+    names = ["seq", "ts", "msg_id", "cell", "term"]
+    got = docs.select(*names[:4], F.explode("terms").alias("term"))
+    want = adapters.documents(spark, sf).select(*names)
+    assert got.exceptAll(want).count() == want.exceptAll(got).count() == 0
+    assert sorted(workloads.sampled_terms(docs, n=50).collect()) == sorted(workloads.sampled_terms(adapters.documents(spark, sf), n=50).collect())
