@@ -97,3 +97,45 @@ def test_heavy_terms_and_windows(spark):
     assert counters.only_heavy(occ, 0.5).count() == 9
     w = counters.windowed(occ, 5, "4 seconds", "2 seconds").where("term = 'a'").select(F.unix_seconds("window_start").alias("s"), "total").collect()
     assert {r.s: r.total for r in w} == {-2: 2, 0: 4, 2: 4, 4: 4, 6: 3, 8: 1}
+
+
+def test_replays_of_gathered_arrivals_equal_those_of_occ(spark, monkeypatch):
+    import random
+
+    from pyspark.sql import functions as F
+
+    from termatlas.operators import counters
+    from termatlas.operators import rings as R
+
+    monkeypatch.setattr(counters, "PIECE", 7)
+    rng = random.Random(4)
+    rows = [(k // 3, rng.choice("aaab") if k % 50 else None, rng.choice([45_000 + rng.randrange(40), 300]) if k % 70 else None) for k in range(1500)]
+    occ = spark.createDataFrame(rows, "seq long, term string, cell int").select("*", F.timestamp_seconds("seq").alias("ts"), F.col("seq").alias("msg_id"))
+    once = counters.gathered(occ)
+    assert once.count() > 150 and once.where(F.size("cells") > 7).count() == 0
+    read = lambda df: sorted(map(str, df.collect()))
+    assert read(counters.build(once, 6)) == read(counters.build(occ, 6))
+    for policy in ("transfer", "reset", "nearby_skip"):
+        assert read(R.build(once, 6, policy=policy).drop("centers")) == read(R.build(occ, 6, policy=policy).drop("centers"))
+        assert read(counters.exploded(R.build(once, 6, policy=policy)).drop("rings")) == read(counters.exploded(R.build(occ, 6, policy=policy)).drop("rings"))
+
+
+def test_many_arrivals_equal_those_one_by_one():
+    import numpy as np
+
+    from termatlas.operators import rings as R
+
+    rng = np.random.default_rng(7)
+    cells, sizes = rng.integers(45_000, 45_060, 3000), rng.integers(1, 4, 3000)
+    for policy in ("transfer", "reset", "nearby_skip"):
+        for radii in (R.edges(), [R.edges(ratio=0.3), R.edges()][: 1 + (policy != "nearby_skip")]):
+            many, single = R.RingState(9, radii, policy), R.RingState(9, radii, policy)
+            for a in range(0, 3000, 700):
+                many.observe_all(cells[a : a + 700], sizes[a : a + 700], np.arange(a, min(a + 700, 3000)))
+            for k, (c, n) in enumerate(zip(cells.tolist(), sizes.tolist(), strict=True)):
+                single.observe(c, n, k)
+            for i in range(len(many.lists)):
+                a, b = many.row("t", i), single.row("t", i)
+                assert {k: v for k, v in a.items() if k != "centers"} == {k: v for k, v in b.items() if k != "centers"}
+                for x, y in zip(a["centers"], b["centers"], strict=True):
+                    assert np.allclose(x.pop("rings"), y.pop("rings")) and x == y
