@@ -118,6 +118,12 @@ def test_replays_of_gathered_arrivals_equal_those_of_occ(spark, monkeypatch):
     for policy in ("transfer", "reset", "nearby_skip"):
         assert read(R.build(once, 6, policy=policy).drop("centers")) == read(R.build(occ, 6, policy=policy).drop("centers"))
         assert read(counters.exploded(R.build(once, 6, policy=policy)).drop("rings")) == read(counters.exploded(R.build(occ, 6, policy=policy)).drop("rings"))
+    for more in ({"freeze_fraction": 0.2}, {"freeze_fraction": 0.33}, {"freeze_after_rows": 400}):
+        a, b = (R.build(x, 6, policy="freeze", **more) for x in (once, occ))
+        assert read(a.drop("centers")) == read(b.drop("centers"))
+        a, b = (sorted(counters.exploded(x).collect()) for x in (a, b))
+        for x, y in zip(a, b, strict=True):
+            assert x[:-1] == y[:-1] and max(abs(p - q) for p, q in zip(x.rings, y.rings, strict=True)) < 1e-6
 
 
 def test_many_arrivals_equal_those_one_by_one():
