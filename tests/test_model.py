@@ -101,3 +101,18 @@ def test_neighbours_and_exact_answers(spark):
     assert answers.neighbour_means(counts, asked).first().mean == 0.5
     assert answers.neighbour_means(counts, asked, missing="ignore").first().mean == 4.0
     assert exact.place_frequency(counts, asked).first().n == 8
+
+
+def test_the_focus_is_the_root_also_next_to_certainty():
+    rng = np.random.default_rng(4)
+    d, cells = np.sort(rng.uniform(1, 180, (300, 10)), axis=1), rng.integers(1, 400, (300, 10)).astype(float)
+    n = rng.poisson(rng.uniform(0, 3, (300, 1)) * 200 * d ** -rng.uniform(0.2, 4, (300, 1))).astype(float)
+    d[:, 0], cells[:, 0], n[:20, 1:], n[:20, 0] = 1.0, 1.0, 0, np.arange(20)
+    total = n.sum(axis=1) * np.where(np.arange(300) % 3, 1.0, 1.02)
+    focus, spread, _, _ = M.fit_arrays(d, n, cells, n, total)
+    p = focus[:, None] * d ** -spread[:, None]
+    got = ((total[:, None] * cells - n) * p / (1 - p)).sum(axis=1)
+    inside = (p.max(axis=1) < 0.9) & (n.sum(axis=1) > 0)
+    assert inside.sum() > 100 and np.allclose(got[inside], n.sum(axis=1)[inside], rtol=1e-9)
+    # elsewhere it ends at a probability of all but 1, where hits are not reached yet
+    assert (got <= n.sum(axis=1) * (1 + 1e-4))[(p.max(axis=1) > 1 - 2e-9)].all()

@@ -78,3 +78,47 @@ def test_heavy_terms_of_gathered_messages(spark, sf):
     want = adapters.documents(spark, sf).select(*names)
     assert got.exceptAll(want).count() == want.exceptAll(got).count() == 0
     assert sorted(workloads.sampled_terms(docs, n=50).collect()) == sorted(workloads.sampled_terms(adapters.documents(spark, sf), n=50).collect())
+
+
+def test_one_replay_of_several_settings_equals_those_of_each(spark, monkeypatch):
+    monkeypatch.setattr(R, "WAITING", 500)
+    monkeypatch.setattr(R, "PARTS", 64)
+    rng = random.Random(8)
+    cells = [rng.randrange(180 * 360) for _ in range(40)]
+    rows = [(k // 3, k, k, t, rng.choice(cells)) for k in range(1500) for t in "abc"[: rng.randrange(1, 4)]]
+    occ = spark.createDataFrame(rows, "ts long, seq long, msg_id long, term string, cell int").withColumn("ts", F.timestamp_seconds("ts"))
+    settings = [(27, None), (10, R.edges(ratio=0.3, n=5)), (6, R.edges()), (50, R.edges(ratio=0.5, n=8))]
+    got = R.build_every(counters.gathered(occ), settings).collect()
+    assert len(got) == 12
+    for i, (m, radii) in enumerate(settings):
+        want = {r.term: r for r in (counters.build(occ, m) if radii is None else R.build(occ, m, radii)).collect()}
+        for g in (r for r in got if r.list == i):
+            w = want[g.term]
+            assert (g.total, g.capacity, g.policy, g.n_replaced) == (w.total, w.capacity, w.policy, w.n_replaced)
+            assert [(c.cell, c.f, c.err, c.born_seq) for c in g.centers] == [(c.cell, c.f, c.err, c.born_seq) for c in w.centers]
+            assert all(abs(x - y) < 1e-6 for c, e in zip(g.centers, w.centers, strict=True) for x, y in zip(c.rings, e.rings, strict=True))
+
+
+def test_gathered_messages_are_their_arrivals_in_order(spark, monkeypatch):
+    monkeypatch.setattr(counters, "PIECE", 7)
+    rng = random.Random(9)
+    rows = [(rng.randrange(40), k % 50, rng.choice([k, None]), rng.choice([None, *range(9)]), rng.sample("abcdef", rng.randrange(6))) for k in range(300)]
+    docs = spark.createDataFrame(rows, "ts long, seq long, msg_id long, cell int, terms array<string>").withColumn("ts", F.timestamp_seconds("ts"))
+    terms = ["a", "c", "f"]
+    pieces = counters.gathered_messages(counters.coded_messages(docs.repartition(5), terms), terms).collect()
+    got = {t: [x for p in sorted((p for p in pieces if p.term == t), key=lambda p: p.part) for x in zip(p.cells, p.seqs, strict=True)] for t in terms}
+    low = lambda x: (x is not None, x or 0)
+    order = sorted((r for r in rows if r[3] is not None), key=lambda r: (r[0], r[1], low(r[2]), r[3]))
+    assert got == {t: [(r[3], r[1]) for r in order if t in r[4]] for t in terms}
+    assert {p.term for p in pieces} == set(terms) and max(len(p.cells) for p in pieces) == 7
+
+
+def test_fits_of_several_sides_equal_those_of_each(spark):
+    rng = random.Random(6)
+    counts = [spark.createDataFrame([(t, rng.randrange(180 * 360), rng.randrange(1, 60)) for t in "ab" for _ in range(n)], "term string, cell int, n long") for n in (4, 9)]
+    radii = M.fine_radii(n=64)
+    table = R.band_table(spark, radii)
+    got = M.fit_sides([(c, M.top_cells(c, None), s) for c, s in zip(counts, ("cells", "all"), strict=True)], table, radii, table)
+    for g, c, s in zip(got, counts, ("cells", "all"), strict=True):
+        want = {r.term: r for r in M.fit_exact(c, table, radii, screen=table).collect()}
+        assert {r.term: (r.center_cell, r.focus, r.spread, r.source) for r in g.collect()} == {t: (r.center_cell, r.focus, r.spread, s) for t, r in want.items()}
