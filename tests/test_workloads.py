@@ -99,6 +99,18 @@ def test_one_replay_of_several_settings_equals_those_of_each(spark, monkeypatch)
             assert all(abs(x - y) < 1e-6 for c, e in zip(g.centers, w.centers, strict=True) for x, y in zip(c.rings, e.rings, strict=True))
 
 
+def test_gathered_arrivals_of_a_frequent_term_are_several_tasks(spark):
+    rng = random.Random(2)
+    rows = [(rng.randrange(300), k % 70, rng.randrange(500), rng.choice(["a"] * 9 + ["b", None]), rng.choice([None, *range(9)])) for k in range(6000)]
+    occ = spark.createDataFrame(rows, "ts long, seq long, msg_id long, term string, cell int").withColumn("ts", F.timestamp_seconds("ts"))
+    pieces = counters.gathered(occ.repartition(3)).collect()
+    for t in "ab":
+        own = sorted((p for p in pieces if p.term == t), key=lambda p: p.part)
+        want = sorted((r for r in rows if r[3] == t and r[4] is not None), key=lambda r: (r[0], r[1], r[2], r[4]))
+        assert [x for p in own for x in zip(p.cells, p.seqs, strict=True)] == [(r[4], r[1]) for r in want] and max(len(p.cells) for p in own) <= counters.PIECE
+    assert len(pieces) == len({p.part for p in pieces}) and len({p.part >> 40 for p in pieces if p.term == "a"}) > 1
+
+
 def test_gathered_messages_are_their_arrivals_in_order(spark, monkeypatch):
     monkeypatch.setattr(counters, "PIECE", 7)
     rng = random.Random(9)
